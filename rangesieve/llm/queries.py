@@ -6,7 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .decontamination import op3_decontamination
 from .mixing import op9_mixing
+from .ngram_join import op7_ngram_join
+from .quality import op8_quality
 from .sharding import op1_sharding
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -15,6 +18,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 def queries() -> dict[str, Query]:
     return {
         "op1_sharding": op1_sharding,
+        "op3_decontamination": op3_decontamination,
+        "op7_ngram_join": op7_ngram_join,
+        "op8_quality": op8_quality,
         "op9_mixing": op9_mixing,
     }
 
