@@ -11,6 +11,7 @@ from .mixing import op9_mixing
 from .ngram_join import op7_ngram_join
 from .quality import op8_quality
 from .sharding import op1_sharding
+from .substring_dedup import op2_substring_dedup
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -18,6 +19,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 def queries() -> dict[str, Query]:
     return {
         "op1_sharding": op1_sharding,
+        "op2_substring_dedup": op2_substring_dedup,
         "op3_decontamination": op3_decontamination,
         "op7_ngram_join": op7_ngram_join,
         "op8_quality": op8_quality,
