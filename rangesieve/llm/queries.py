@@ -10,6 +10,7 @@ from .decontamination import op3_decontamination
 from .mixing import op9_mixing
 from .ngram_join import op7_ngram_join
 from .quality import op8_quality
+from .secret_scan import op6_secret_scan
 from .sharding import op1_sharding
 from .substring_dedup import op2_substring_dedup
 
@@ -21,6 +22,7 @@ def queries() -> dict[str, Query]:
         "op1_sharding": op1_sharding,
         "op2_substring_dedup": op2_substring_dedup,
         "op3_decontamination": op3_decontamination,
+        "op6_secret_scan": op6_secret_scan,
         "op7_ngram_join": op7_ngram_join,
         "op8_quality": op8_quality,
         "op9_mixing": op9_mixing,
