@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .decontamination import op3_decontamination
 from .mixing import op9_mixing
 from .ngram_join import op7_ngram_join
+from .personal_data import op10_personal_data
 from .quality import op8_quality
 from .secret_scan import op6_secret_scan
 from .sharding import op1_sharding
@@ -26,6 +27,7 @@ def queries() -> dict[str, Query]:
         "op7_ngram_join": op7_ngram_join,
         "op8_quality": op8_quality,
         "op9_mixing": op9_mixing,
+        "op10_personal_data": op10_personal_data,
     }
 
 
