@@ -14,6 +14,7 @@ from .quality import op8_quality
 from .secret_scan import op6_secret_scan
 from .sharding import op1_sharding
 from .substring_dedup import op2_substring_dedup
+from .url_filter import op4_url_filter
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -23,6 +24,7 @@ def queries() -> dict[str, Query]:
         "op1_sharding": op1_sharding,
         "op2_substring_dedup": op2_substring_dedup,
         "op3_decontamination": op3_decontamination,
+        "op4_url_filter": op4_url_filter,
         "op6_secret_scan": op6_secret_scan,
         "op7_ngram_join": op7_ngram_join,
         "op8_quality": op8_quality,
