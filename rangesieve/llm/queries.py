@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .decontamination import op3_decontamination
+from .line_dedup import op5_line_dedup
 from .mixing import op9_mixing
 from .ngram_join import op7_ngram_join
 from .personal_data import op10_personal_data
@@ -25,6 +26,7 @@ def queries() -> dict[str, Query]:
         "op2_substring_dedup": op2_substring_dedup,
         "op3_decontamination": op3_decontamination,
         "op4_url_filter": op4_url_filter,
+        "op5_line_dedup": op5_line_dedup,
         "op6_secret_scan": op6_secret_scan,
         "op7_ngram_join": op7_ngram_join,
         "op8_quality": op8_quality,
