@@ -70,12 +70,16 @@ def apportion(targets: dict, seats: int, n_shards: int = 8) -> dict:
 
 
 def mix_sources(docs: DataFrame, n_shards: int = 8, seats: int = 20_000, seed: int = 17, share: float = 1.5, cap: float = 2.0, weights: tuple[int, ...] = WEIGHTS, size: Column | None = None, buckets: int = 256) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, source, size, source_size, target, taken of every row; quotas: source, shard, blocks, block_tokens).
+    """(docs with size, source_size, target and taken; quotas: source, shard, blocks, block_tokens).
 
     buckets: parts of a source's seeded order that are summed on their own, so that no source meets in one task.
     """
     spark = docs.sparkSession
-    light = cut_lineage(docs.select("doc_id", "source", (word_count() if size is None else size).alias("size")).withColumn("_at", F.xxhash64(F.lit(seed), "doc_id", "size")))
+    results = ("size", "source_size", "target", "taken")
+    names = [c for c in docs.columns if c not in results]
+    sized = docs.select(*(F.col(f"`{c}`") for c in names), (word_count() if size is None else size).cast("long").alias("size"))
+    sized = sized.withColumn("_at", F.xxhash64(F.lit(seed), "doc_id", "size")).withColumn("_bucket", F.pmod("_at", F.lit(buckets)).cast("int"))
+    light = cut_lineage(sized.select("source", "size", "_bucket"))
     rows = light.groupBy("source").agg(F.sum("size").alias("n")).limit(MAX_SOURCES + 1).collect()
     if len(rows) > MAX_SOURCES:
         raise ValueError(f"more than {MAX_SOURCES} sources")
@@ -89,20 +93,27 @@ def mix_sources(docs: DataFrame, n_shards: int = 8, seats: int = 20_000, seed: i
     plan = spark.createDataFrame([(s, sizes[s], float(targets[s]), words[s]) for s in sizes], "source string, source_size long, target double, _words long")
     quotas = spark.createDataFrame([(s, k, n, block) for s in sizes for k, n in enumerate(blocks[s])], "source string, shard int, blocks long, block_tokens long")
 
-    light = light.withColumn("_bucket", F.pmod("_at", F.lit(buckets)).cast("int"))
     sums = light.groupBy("source", "_bucket").agg(F.sum("size").alias("_n"))
     before = Window.partitionBy("source").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
     starts = sums.select(F.col("source").alias("_s"), F.col("_bucket").alias("_b"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
     # MAX_SOURCES rows at most, and `buckets` times as many
-    joined = light.join(F.broadcast(plan.withColumnRenamed("source", "_p")), F.col("source").eqNullSafe(F.col("_p"))).join(starts, F.col("source").eqNullSafe(F.col("_s")) & (F.col("_bucket") == F.col("_b")))
+    joined = sized.join(F.broadcast(plan.withColumnRenamed("source", "_p")), F.col("source").eqNullSafe(F.col("_p"))).join(starts, F.col("source").eqNullSafe(F.col("_s")) & (F.col("_bucket") == F.col("_b")))
     order = Window.partitionBy("source", "_bucket").orderBy("_at", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
     end = F.sum("size").over(order) + F.col("_start")
     rest = F.when(F.col("source_size") > 0, F.col("_words") % F.col("source_size")).otherwise(0)
     passes = F.when(F.col("source_size") > 0, F.floor(F.col("_words") / F.col("source_size"))).otherwise(0)
     part = F.greatest(F.lit(0), F.least(F.col("_end"), rest) - (F.col("_end") - F.col("size")))
     taken = joined.withColumn("_end", end).withColumn("taken", (passes * F.col("size") + part).cast("long"))
-    return taken.select("doc_id", "source", "size", "source_size", "target", "taken"), quotas
+    return taken.select(*(F.col(f"`{c}`") for c in names), *results), quotas
+
+
+def mixed(docs: DataFrame, **options) -> DataFrame:
+    """The rows of docs as often as the mix takes them, to the nearest whole document."""
+    taken, _ = mix_sources(docs, **options)
+    copies = F.when(F.col("size") > 0, F.round(F.col("taken") / F.col("size"))).otherwise(0).cast("int")
+    names = [f"`{c}`" for c in docs.columns]
+    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(0), copies))).where("_copy > 0").select(*names)
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix_sources(table(spark, sf_dir, "documents"))[0].select("doc_id", "size", "source_size", "target", "taken", "source")
+    return mix_sources(table(spark, sf_dir, "documents").select("doc_id", "source", "text"))[0].select("doc_id", "size", "source_size", "target", "taken", "source")
