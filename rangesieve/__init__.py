@@ -1,0 +1 @@
+"""Range filters over DataFrame keys: may any key lie in [lo, hi]?  Compact, learnt from the key distribution, never a false no."""
