@@ -21,9 +21,11 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from .common import table
 from .textkernel import covered, find_words, mix64, run_hashes, segment_hashes, text_slices, window_starts
@@ -31,10 +33,10 @@ from .textkernel import covered, find_words, mix64, run_hashes, segment_hashes,
 #: Perfect difference sets, {period: residues whose differences hit every offset}.
 COVERS = {7: (0, 1, 3), 13: (0, 1, 3, 9), 21: (0, 1, 4, 14, 16), 31: (0, 1, 3, 8, 12, 18)}
 #: Bytes of text whose hashes meet in one exchange bucket; bounds the memory of the task that reads it.
-BUCKET_BYTES = 16 << 20
+BUCKET_BYTES = 4 << 20
 _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
-_PACKED = "bucket int, ids binary, keys binary, rows binary"
-_FOUND = "doc long, keys binary"
+_PACKED = "bucket int, known boolean, ids binary, keys binary, rows binary"
+_FOUND = "shard int, ids binary, keys binary"
 ENTRY = np.dtype([("h", "<u8"), ("c", "<u4")])
 
 
@@ -71,32 +73,63 @@ class Cover:
         return np.flatnonzero(np.cumsum(edge[:-1]) > 0)
 
 
-def _deal(keys: np.ndarray, rows: np.ndarray, bucket: np.ndarray, ids: np.ndarray) -> pa.RecordBatch:
+def _deal(keys: np.ndarray, rows: np.ndarray, bucket: np.ndarray, ids: np.ndarray, known: bool = False) -> pa.RecordBatch:
+    """One packed row for each bucket: the documents in it, the hashes, and each one's place among the documents."""
     order = np.argsort(bucket, kind="stable")
-    bucket, keys, rows = bucket[order], keys[order], rows[order].astype(np.uint16)
+    bucket, keys, rows = bucket[order], keys[order], rows[order]
     cuts = np.flatnonzero(np.diff(bucket, prepend=-1, append=-1))
+    packed: tuple[list, list, list] = ([], [], [])
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        used, place = np.unique(rows[a:b], return_inverse=True)
+        for to, x in zip(packed, (ids[used], keys[a:b], place.astype(np.uint16)), strict=True):
+            to.append(x.tobytes())
+    columns = [pa.array(bucket[cuts[:-1]].astype(np.int32)), pa.array([known] * len(packed[0]), pa.bool_()), *(pa.array(x, pa.binary()) for x in packed)]
+    return pa.RecordBatch.from_arrays(columns, names=["bucket", "known", "ids", "keys", "rows"])
+
+
+def _unpack(group: pa.Table, dtype: np.dtype) -> dict[bool, tuple[np.ndarray, np.ndarray]]:
+    """{known: (documents, hashes)} of packed rows."""
+    parts: dict[bool, tuple[list, list]] = {True: ([], []), False: ([], [])}
+    for known, i, k, r in zip(*(group.column(c).to_pylist() for c in ("known", "ids", "keys", "rows")), strict=True):
+        parts[known][0].append(np.frombuffer(i, np.int64)[np.frombuffer(r, np.uint16)])
+        parts[known][1].append(np.frombuffer(k, dtype))
+    return {f: (np.concatenate(d or [np.zeros(0, np.int64)]), np.concatenate(k or [np.zeros(0, dtype)])) for f, (d, k) in parts.items()}
+
+
+def shard_of(docs: np.ndarray, shards: int) -> np.ndarray:
+    return (mix64(docs.astype(np.int64).view(np.uint64)) % np.uint64(shards)).astype(np.int32)
+
+
+def _for_shards(docs: np.ndarray, keys: np.ndarray, shards: int) -> pa.Table:
+    """Found (document, hash) pairs, one packed row for each shard of the documents."""
+    shard = shard_of(docs, shards)
+    order = np.argsort(shard, kind="stable")
+    shard, docs, keys = shard[order], docs[order], keys[order]
+    cuts = np.flatnonzero(np.diff(shard, prepend=-1, append=-1))
     spans = list(zip(cuts[:-1], cuts[1:], strict=True))
-    packed = ids.tobytes()
-    return pa.RecordBatch.from_arrays(
-        [pa.array(bucket[cuts[:-1]].astype(np.int32)), pa.array([packed] * len(spans), pa.binary()), pa.array([keys[a:b].tobytes() for a, b in spans], pa.binary()), pa.array([rows[a:b].tobytes() for a, b in spans], pa.binary())],
-        names=["bucket", "ids", "keys", "rows"],
-    )
-
-
-def _known(keys: np.ndarray, rows: np.ndarray, ids: np.ndarray, bucket: int) -> Iterator[pa.RecordBatch]:
-    """Results that need no other batch: one row for each document, with no `rows`, in any bucket."""
-    order = np.argsort(rows, kind="stable")
-    rows, keys = rows[order], keys[order]
-    cuts = np.flatnonzero(np.diff(rows, prepend=-1, append=-1))
-    if len(keys):
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(np.full(len(cuts) - 1, bucket, np.int32)), pa.array([ids[r : r + 1].tobytes() for r in rows[cuts[:-1]]], pa.binary()), pa.array([keys[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:], strict=True)], pa.binary()), pa.array([None] * (len(cuts) - 1), pa.binary())],
-            names=["bucket", "ids", "keys", "rows"],
-        )
+    return pa.table({"shard": pa.array(shard[cuts[:-1]]), "ids": pa.array([docs[a:b].tobytes() for a, b in spans], pa.binary()), "keys": pa.array([keys[a:b].tobytes() for a, b in spans], pa.binary())})
+
 
+def _keyed(docs: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    full = keys if keys.dtype.names is None else keys["h"] + mix64(keys["c"].astype(np.uint64))
+    return mix64(full + mix64(docs.astype(np.int64).view(np.uint64) + np.uint64(1)))
 
-def _ids(batch: pa.RecordBatch) -> np.ndarray:
-    return np.asarray(batch.column(0).to_numpy(zero_copy_only=False), dtype=np.int64)
+
+def _pool(found: pa.Table, dtype: np.dtype) -> np.ndarray:
+    docs = np.frombuffer(b"".join(found.column("ids").to_pylist()), np.int64)
+    return np.unique(_keyed(docs, np.frombuffer(b"".join(found.column("keys").to_pylist()), dtype)))
+
+
+def _among(pool: np.ndarray, docs: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    if not len(pool) or not len(keys):
+        return np.zeros(len(keys), dtype=bool)
+    look = _keyed(docs, keys)
+    return pool[np.minimum(np.searchsorted(pool, look), len(pool) - 1)] == look
+
+
+def _ids(batch: pa.RecordBatch, column: str = "_doc") -> np.ndarray:
+    """The row's documents; rows without one are told apart by nothing and never looked up."""
+    return np.asarray(batch.column(column).fill_null(0).to_numpy(zero_copy_only=False), dtype=np.int64)
 
 
 def anchor_hasher(width: int, buckets: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
@@ -115,65 +148,30 @@ def anchor_hasher(width: int, buckets: int) -> Callable[[Iterator[pa.RecordBatch
             size = np.diff(np.append(head, len(h)))
             # copies of one doc_id don't make an anchor live
             low, high = np.minimum.reduceat(ids[row], head), np.maximum.reduceat(ids[row], head)
-            live = np.repeat(low < high, size)
-            yield from _known(h[live], row[live], ids, int(h[0] % np.uint64(buckets)))
-            send, again = h[head], np.where(low < high, len(ids), row[head])
-            yield _deal(send, again, (send >> np.uint64(24)) % np.uint64(buckets), np.append(ids, -1))
+            twice = low < high
+            live = np.repeat(twice, size)
+            if live.any():
+                yield _deal(h[live], row[live], np.full(int(live.sum()), int(h[0] % np.uint64(buckets))), ids, known=True)
+            # a live anchor sends two of its documents, which is what the others need to know
+            last = np.append(head[1:], len(h)) - 1
+            other = np.array([int(head[i] + np.argmax(ids[row[head[i] : last[i] + 1]] != ids[row[head[i]]])) for i in np.flatnonzero(twice)], dtype=np.int64)
+            send = np.concatenate([head, other])
+            yield _deal(h[send], row[send], (h[send] >> np.uint64(24)) % np.uint64(buckets), ids)
 
     return run
 
 
-def live_anchors(group: pa.Table) -> pa.Table:
-    """(doc, packed anchor hashes that occur in another document too)."""
-    docs, keys, out_docs, out_keys = [], [], [], []
-    for i, k, r in zip(*(group.column(c).to_pylist() for c in ("ids", "keys", "rows")), strict=True):
-        if r is None:
-            out_docs.append(int(np.frombuffer(i, np.int64)[0]))
-            out_keys.append(k)
-        else:
-            ids = np.frombuffer(i, np.int64).copy()
-            place = np.frombuffer(r, np.uint16)
-            marker = np.zeros(len(ids), dtype=bool)
-            marker[-1] = True
-            docs.append(np.stack([ids[place], marker[place].astype(np.int64)], axis=1))
-            keys.append(np.frombuffer(k, np.uint64))
-    if keys:
-        h, d = np.concatenate(keys), np.concatenate(docs)
+def live_anchors(group: pa.Table, shards: int) -> pa.Table:
+    """The anchors that occur in two documents, for each document that holds them."""
+    parts = _unpack(group, np.dtype("<u8"))
+    docs, h = parts[False]
+    if len(h):
         order = np.argsort(h, kind="stable")
-        h, who, mark = h[order], d[order, 0], d[order, 1] > 0
+        docs, h = docs[order], h[order]
         head = np.flatnonzero(np.diff(h, prepend=h[:1] + np.uint64(1)))
-        size = np.diff(np.append(head, len(h)))
-        top = np.iinfo(np.int64)
-        low = np.minimum.reduceat(np.where(mark, top.max, who), head)
-        high = np.maximum.reduceat(np.where(mark, top.min, who), head)
-        live = np.repeat((low < high) & (low < top.max) | np.logical_or.reduceat(mark, head), size) & ~mark
-        _gather(who[live], h[live], out_docs, out_keys)
-    return pa.table({"doc": pa.array(out_docs, pa.int64()), "keys": pa.array(out_keys, pa.binary())})
-
-
-def _gather(docs: np.ndarray, keys: np.ndarray, out_docs: list, out_keys: list) -> None:
-    order = np.argsort(docs, kind="stable")
-    docs, keys = docs[order], keys[order]
-    cuts = np.flatnonzero(np.diff(docs, prepend=docs[:1] - 1, append=docs[-1:] + 1)) if len(docs) else np.zeros(1, int)
-    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-        out_docs.append(int(docs[a]))
-        out_keys.append(keys[a:b].tobytes())
-
-
-def _member(keys: np.ndarray, row: np.ndarray, wanted: list, dtype: np.dtype) -> np.ndarray:
-    """Which (key, row) pairs are among the wanted keys of their row; wanted: per row a list of packed keys or None."""
-    have = [(i, np.frombuffer(b"".join(w), dtype)) for i, w in enumerate(wanted) if w]
-    if not have or not len(keys):
-        return np.zeros(len(keys), dtype=bool)
-    at = np.repeat(np.array([i for i, _ in have]), [len(k) for _, k in have])
-    joined = np.concatenate([k for _, k in have])
-
-    def keyed(k: np.ndarray, r: np.ndarray) -> np.ndarray:
-        full = k if k.dtype.names is None else k["h"] + mix64(k["c"].astype(np.uint64))
-        return mix64(full + mix64(r.astype(np.uint64) + np.uint64(1)))
-
-    pool, look = np.unique(keyed(joined, at)), keyed(keys, row)
-    return pool[np.minimum(np.searchsorted(pool, look), len(pool) - 1)] == look
+        live = np.repeat(np.minimum.reduceat(docs, head) < np.maximum.reduceat(docs, head), np.diff(np.append(head, len(h))))
+        docs, h = docs[live], h[live]
+    return _for_shards(np.concatenate([docs, parts[True][0]]), np.concatenate([h, parts[True][1]]), shards)
 
 
 def _window_keys(words: np.ndarray, begin: np.ndarray, width: int) -> np.ndarray:
@@ -183,76 +181,74 @@ def _window_keys(words: np.ndarray, begin: np.ndarray, width: int) -> np.ndarray
     return out
 
 
-def window_hasher(width: int, buckets: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """(doc_id, text, live) to packed full windows around the live anchors."""
+def windows_near(width: int, buckets: int) -> Callable[[pa.Table, pa.Table], pa.Table]:
+    """Packed full windows around the live anchors of one shard of documents."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cover = Cover(width)
-        for batch, data, offsets in text_slices(batches):
+    def run(rows: pa.Table, live: pa.Table) -> pa.Table:
+        cover, pool = Cover(width), _pool(live, np.dtype("<u8"))
+        out = []
+        known = rows.filter(pa.compute.is_valid(rows.column("_doc"))) if len(pool) else rows.slice(0, 0)
+        for batch, data, offsets in text_slices(iter(known.combine_chunks().to_batches()), "_text"):
             starts, ends, first = find_words(data, offsets)
-            words = segment_hashes(data, starts, ends)
+            words, ids = segment_hashes(data, starts, ends), _ids(batch)
             h, row, begin = cover.anchors(words, first)
-            hit = _member(h, row, batch.column(2).to_pylist(), np.dtype("<u8"))
+            hit = _among(pool, ids[row], h)
             begin = cover.around(begin[hit], row[hit], first, len(words))
             if not len(begin):
                 continue
-            row, keys, ids = np.searchsorted(first, begin, side="right") - 1, _window_keys(words, begin, width), _ids(batch)
+            row, keys = np.searchsorted(first, begin, side="right") - 1, _window_keys(words, begin, width)
             order = np.lexsort((ids[row], keys["c"], keys["h"]))
             keys, row = keys[order], row[order]
-            new = np.ones(len(keys), dtype=bool)
-            new[1:] = (keys["h"][1:] != keys["h"][:-1]) | (keys["c"][1:] != keys["c"][:-1])
-            head = np.flatnonzero(new)
-            least = np.repeat(ids[row[head]], np.diff(np.append(head, len(keys))))
-            gone = ids[row] > least
-            yield from _known(keys[gone], row[gone], ids, int(keys["h"][0] % np.uint64(buckets)))
-            yield _deal(keys[head], row[head], (keys["h"][head] >> np.uint64(24)) % np.uint64(buckets), ids)
+            head = np.flatnonzero(_new(keys))
+            gone = ids[row] > np.repeat(ids[row[head]], np.diff(np.append(head, len(keys))))
+            if gone.any():
+                out.append(_deal(keys[gone], row[gone], np.full(int(gone.sum()), int(keys["h"][0] % np.uint64(buckets))), ids, known=True))
+            out.append(_deal(keys[head], row[head], (keys["h"][head] >> np.uint64(24)) % np.uint64(buckets), ids))
+        empty = _deal(np.zeros(0, ENTRY), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64))
+        return pa.Table.from_batches([empty, *out])
 
     return run
 
 
-def removed_windows(group: pa.Table) -> pa.Table:
-    """(doc, packed windows that start in a smaller document too)."""
-    docs, keys, out_docs, out_keys = [], [], [], []
-    for i, k, r in zip(*(group.column(c).to_pylist() for c in ("ids", "keys", "rows")), strict=True):
-        if r is None:
-            out_docs.append(int(np.frombuffer(i, np.int64)[0]))
-            out_keys.append(k)
-        else:
-            docs.append(np.frombuffer(i, np.int64)[np.frombuffer(r, np.uint16)])
-            keys.append(np.frombuffer(k, ENTRY))
-    if keys:
-        k, d = np.concatenate(keys), np.concatenate(docs)
-        order = np.lexsort((d, k["c"], k["h"]))
-        k, d = k[order], d[order]
-        new = np.ones(len(k), dtype=bool)
-        new[1:] = (k["h"][1:] != k["h"][:-1]) | (k["c"][1:] != k["c"][:-1])
-        head = np.flatnonzero(new)
-        gone = d > np.repeat(d[head], np.diff(np.append(head, len(k))))
-        _gather(d[gone], k[gone], out_docs, out_keys)
-    return pa.table({"doc": pa.array(out_docs, pa.int64()), "keys": pa.array(out_keys, pa.binary())})
-
-
-def remover(width: int, keep: int, with_text: bool) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """(kept columns, doc_id, text, removed) to the kept columns with n_words, n_removed, kept_sha256 and, if wanted, kept_text."""
+def _new(keys: np.ndarray) -> np.ndarray:
+    out = np.ones(len(keys), dtype=bool)
+    out[1:] = (keys["h"][1:] != keys["h"][:-1]) | (keys["c"][1:] != keys["c"][:-1])
+    return out
+
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, data, offsets in text_slices(batches, "_text"):
+def removed_windows(group: pa.Table, shards: int) -> pa.Table:
+    """The windows that start in a smaller document too, for each document that loses them."""
+    parts = _unpack(group, ENTRY)
+    docs, keys = parts[False]
+    if len(keys):
+        order = np.lexsort((docs, keys["c"], keys["h"]))
+        docs, keys = docs[order], keys[order]
+        head = np.flatnonzero(_new(keys))
+        gone = docs > np.repeat(docs[head], np.diff(np.append(head, len(keys))))
+        docs, keys = docs[gone], keys[gone]
+    return _for_shards(np.concatenate([docs, parts[True][0]]), np.concatenate([keys, parts[True][1]]), shards)
+
+
+def remover(width: int, keep: list[str], with_text: bool, schema: pa.Schema) -> Callable[[pa.Table, pa.Table], pa.Table]:
+    """One shard of documents to the kept columns with n_words, n_removed, kept_sha256 and, if wanted, kept_text."""
+
+    def run(rows: pa.Table, found: pa.Table) -> pa.Table:
+        pool, out = _pool(found, ENTRY), []
+        having = np.unique(np.frombuffer(b"".join(found.column("ids").to_pylist()), np.int64))
+        for batch, data, offsets in text_slices(iter(rows.combine_chunks().to_batches()), "_text"):
             starts, ends, first = find_words(data, offsets)
+            ids = _ids(batch)
             gone = np.zeros(len(starts), dtype=bool)
-            wanted = batch.column(keep + 1).to_pylist()
-            some = [i for i, w in enumerate(wanted) if w]
-            if some:
+            pick = np.isin(ids, having) & np.asarray(batch.column("_doc").is_valid())
+            if pick.any():
                 begin, row = window_starts(first, width)
-                pick = np.zeros(batch.num_rows, dtype=bool)
-                pick[some] = True
                 begin, row = begin[pick[row]], row[pick[row]]
-                hit = _member(_window_keys(segment_hashes(data, starts, ends), begin, width), row, wanted, ENTRY)
-                gone = covered(len(starts), begin[hit], width)
+                gone = covered(len(starts), begin[_among(pool, ids[row], _window_keys(segment_hashes(data, starts, ends), begin, width))], width)
             # the kept words, each with one byte after it, in one buffer
             stay = np.flatnonzero(~gone)
             s, e = starts[stay], ends[stay]
             begin = np.cumsum(e - s + 1) - (e - s + 1)
-            out = np.full(int((e - s + 1).sum()), 0x20, dtype=np.uint8)
+            text = np.full(int((e - s + 1).sum()), 0x20, dtype=np.uint8)
             at = np.ones(int((e - s).sum()), dtype=np.int64)
             if len(stay):
                 jump = np.cumsum(e - s)[:-1]
@@ -261,18 +257,17 @@ def remover(width: int, keep: int, with_text: bool) -> Callable[[Iterator[pa.Rec
                 to = np.ones(len(at), dtype=np.int64)
                 to[0] = 0
                 to[jump] = 2
-                out[np.cumsum(to)] = data[np.cumsum(at)]
-            bounds = np.append(begin, len(out))[np.searchsorted(stay, first)]
-            whole = out.tobytes()
+                text[np.cumsum(to)] = data[np.cumsum(at)]
+            bounds = np.append(begin, len(text))[np.searchsorted(stay, first)]
+            whole = text.tobytes()
             texts = [whole[a : max(a, b - 1)] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
             lost = np.zeros(len(gone) + 1, dtype=np.int64)
             np.cumsum(gone, out=lost[1:])
-            columns = [*batch.columns[:keep], pa.array(np.diff(first)), pa.array(np.diff(lost[first])), pa.array([hashlib.sha256(t).hexdigest() for t in texts])]
-            names = [*batch.schema.names[:keep], "n_words", "n_removed", "kept_sha256"]
+            columns = [*(batch.column(c) for c in keep), pa.array(np.diff(first)), pa.array(np.diff(lost[first])), pa.array([hashlib.sha256(t).hexdigest() for t in texts])]
             if with_text:
                 columns.append(pa.array(texts, pa.binary()).cast(pa.string()))
-                names.append("kept_text")
-            yield pa.RecordBatch.from_arrays(columns, names=names)
+            out.append(pa.RecordBatch.from_arrays(columns, names=schema.names))
+        return pa.Table.from_batches([b.cast(schema) for b in out], schema)
 
     return run
 
@@ -282,19 +277,23 @@ def remove_repeats(docs: DataFrame, width: int = 50, keep: list[str] | None = No
     keep = [c for c in (docs.columns if keep is None else keep) if c not in ("n_words", "n_removed", "kept_sha256", "kept_text")]
     total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     buckets = int(total // BUCKET_BYTES) + 1
-    known = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("_doc"), "text")
 
-    anchors = known.mapInArrow(anchor_hasher(width, buckets), _PACKED).groupBy("bucket").applyInArrow(live_anchors, _FOUND)
+    def sharded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            # rows without a doc_id are spread by their length
+            spread = pa.compute.coalesce(batch.column("_doc"), pa.compute.cast(pa.compute.binary_length(batch.column("_text").fill_null("")), pa.int64()))
+            yield batch.append_column("shard", pa.array(shard_of(spread.to_numpy(zero_copy_only=False), buckets)))
+
+    known = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("_doc"), "text")
+    found = known.mapInArrow(anchor_hasher(width, buckets), _PACKED).groupBy("bucket").applyInArrow(lambda g: live_anchors(g, buckets), _FOUND)
     rows = docs.select(*(F.col(f"`{c}`") for c in keep), F.col("text").alias("_text"), F.col("doc_id").cast("long").alias("_doc"))
-    per_doc = lambda found, name: found.groupBy("doc").agg(F.collect_list("keys").alias(name))  # noqa: E731  bounded by the document's own words
-    live = per_doc(anchors, "_live")
-    near = known.join(live, F.col("_doc") == F.col("doc")).select("_doc", "text", "_live")
-    windows = near.mapInArrow(window_hasher(width, buckets), _PACKED).groupBy("bucket").applyInArrow(removed_windows, _FOUND)
-    gone = per_doc(windows, "_gone")
+    rows = rows.mapInArrow(sharded, T.StructType([*rows.schema.fields, T.StructField("shard", T.IntegerType())]))
+    windows = rows.groupBy("shard").cogroup(found.groupBy("shard")).applyInArrow(windows_near(width, buckets), _PACKED)
+    gone = windows.groupBy("bucket").applyInArrow(lambda g: removed_windows(g, buckets), _FOUND)
     fields = [f for f in rows.schema.fields if f.name in keep] + [T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_sha256", T.StringType())]
     fields += [T.StructField("kept_text", T.StringType())] * with_text
-    joined = rows.join(gone, F.col("_doc") == F.col("doc"), "left").select(*(F.col(f"`{c}`") for c in keep), "_text", "_gone")
-    return joined.mapInArrow(remover(width, len(keep), with_text), T.StructType(fields))
+    schema = T.StructType(fields)
+    return rows.groupBy("shard").cogroup(gone.groupBy("shard")).applyInArrow(remover(width, keep, with_text, to_arrow_schema(schema)), schema)
 
 
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
