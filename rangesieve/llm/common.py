@@ -32,6 +32,24 @@ def hex_sha256(column: Column | str) -> Column:
     return F.sha2(F.coalesce(F.col(column) if isinstance(column, str) else column, F.lit("")), 256)
 
 
+#: Bits of the table that thins out rows before an exchange: 1 MB, whatever the data.
+SIEVE_BITS = 1 << 23
+
+
+def sifted(df: DataFrame, column: str, wanted: DataFrame, wanted_column: str) -> DataFrame:
+    """The rows of df whose `column` may be among the wanted values; a join must follow.
+
+    Rows that no wanted value can match stay out of the exchange.  The broadcast table has SIEVE_BITS bits; with far more wanted values
+    than that it lets everything pass, and the join does the work.
+    """
+    place = lambda c: F.pmod(F.xxhash64(c), F.lit(SIEVE_BITS)) + 1
+    held = wanted.select(place(wanted_column).alias("p")).groupBy(F.bitmap_bucket_number("p").alias("_bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("_bits"))
+    bit = F.bitmap_bit_position(place(column))
+    byte = F.conv(F.hex(F.substring(F.col("_bits"), (F.floor(bit / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    joined = df.join(F.broadcast(held), F.bitmap_bucket_number(place(column)) == F.col("_bucket"))
+    return joined.where(F.call_function("shiftright", byte, (bit % 8).cast("int")).bitwiseAND(F.lit(1)) == 1).drop("_bucket", "_bits")
+
+
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, component): the smallest node that is reachable over `edges` (a, b), for each node of an edge.
 

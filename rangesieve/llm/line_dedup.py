@@ -21,7 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut_lineage, table
+from .common import cut_lineage, sifted, table
+from .ngram_join import least_differences, parity_sketches
 from .textkernel import find_words, mix64, segment_hashes, text_slices
 
 #: Words whose counts give the rarity order; all others rank as rarer than these.
@@ -62,19 +63,28 @@ class Lines:
 
 
 def list_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text) to (doc_id, line, cls, n), a row for each line with a word."""
+    """(doc_id, text) to (doc_id, line, cls, n, sketch), a row for each line with a word."""
     for batch, data, offsets in text_slices(batches):
         lines = Lines(data, offsets)
-        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(lines.row)), pa.array(lines.number.astype(np.int32)), pa.array(lines.cls), pa.array(lines.n.astype(np.int32))], names=["doc_id", "line", "cls", "n"])
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(lines.row)), pa.array(lines.number.astype(np.int32)), pa.array(lines.cls), pa.array(lines.n.astype(np.int32)), pa.array(parity_sketches(len(lines.n), lines.of, lines.word), pa.binary())], names=["doc_id", "line", "cls", "n", "sketch"])
 
 
 def count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text) to (word, n): lines of a slice with each word, words of one line only left out."""
+    """(doc_id, text) to (word, n): occurrences of each word in a slice, words that occur there once left out."""
     for _, data, offsets in text_slices(batches):
-        word, n = np.unique(Lines(data, offsets).word, return_counts=True)
+        starts, ends, _ = find_words(data, offsets)
+        word, n = np.unique(segment_hashes(data, starts, ends), return_counts=True)
         yield pa.RecordBatch.from_arrays([pa.array(word[n > 1].view(np.int64)), pa.array(n[n > 1])], names=["word", "n"])
 
 
+def screen(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
+    """(a, b, na, nb, sa, sb) to the (a, b) that the sketches of the sets leave possible."""
+    for batch in batches:
+        rows = zip(*(batch.column(i).to_pylist() for i in range(2, 6)), strict=True)
+        keep = [(num + den) * least_differences(sa, sb) <= (na + nb) * (den - num) for na, nb, sa, sb in rows]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+
 def prefixer(frequent: np.ndarray, num: int, den: int, buckets: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """frequent: word hashes, rarest first."""
     by_hash = np.argsort(frequent)
@@ -230,8 +240,8 @@ def count_common(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def find_similar_lines(docs: DataFrame, num: int = 75, den: int = 100) -> DataFrame:
     """(doc_id, line, cls, n, removed) of every line with a word."""
     known = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    lines = cut_lineage(known.mapInArrow(list_lines, "doc_id long, line int, cls long, n int"))
-    first = cut_lineage(lines.groupBy("cls").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.max("n").alias("n")))
+    lines = cut_lineage(known.mapInArrow(list_lines, "doc_id long, line int, cls long, n int, sketch binary"))
+    first = cut_lineage(lines.groupBy("cls").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.max("n").alias("n"), F.min("sketch").alias("sketch")))
     counts = known.mapInArrow(count_words, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(FREQUENT_WORDS).collect()
     frequent = np.array([r["word"] for r in reversed(counts)], dtype=np.int64).view(np.uint64)
     words = first.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
@@ -239,10 +249,13 @@ def find_similar_lines(docs: DataFrame, num: int = 75, den: int = 100) -> DataFr
     packed = known.mapInArrow(prefixer(frequent, num, den, buckets), "bucket int, ids binary, entries binary")
 
     def verified(pairs: DataFrame) -> DataFrame:
-        """a goes if b stands earlier, and the other way round."""
+        """The pairs that are similar: sketches first, then the texts of what is left."""
+        sa, sb = (first.select(F.col("cls").alias(f"_{x}"), F.col("n").alias(f"n{x}"), F.col("sketch").alias(f"s{x}")) for x in "ab")
+        sized = pairs.join(sa, F.col("a") == F.col("_a")).join(sb, F.col("b") == F.col("_b")).select("a", "b", "na", "nb", "sa", "sb").where(den * F.least("na", "nb") >= num * F.greatest("na", "nb"))
+        pairs = cut_lineage(sized.mapInArrow(lambda b: screen(b, num, den), "a long, b long"))
         ends = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct().join(first.select("cls", "first"), "cls")
-        wanted = ends.groupBy(F.col("first.doc_id").alias("_d")).agg(F.collect_list("cls").alias("classes"))  # a document's own lines
-        texts = cut_lineage(known.join(wanted, F.col("doc_id") == F.col("_d")).select("doc_id", "text", "classes").mapInArrow(line_texts, "cls long, line binary").dropDuplicates(["cls"]))
+        wanted = cut_lineage(ends.groupBy(F.col("first.doc_id").alias("_d")).agg(F.collect_list("cls").alias("classes")))  # a document's own lines
+        texts = cut_lineage(sifted(known, "doc_id", wanted, "_d").join(wanted, F.col("doc_id") == F.col("_d")).select("doc_id", "text", "classes").mapInArrow(line_texts, "cls long, line binary").dropDuplicates(["cls"]))
         ta, tb = texts.select(F.col("cls").alias("_a"), F.col("line").alias("ta")), texts.select(F.col("cls").alias("_b"), F.col("line").alias("tb"))
         both = pairs.join(ta, F.col("a") == F.col("_a")).join(tb, F.col("b") == F.col("_b")).select("a", "b", "ta", "tb")
         return both.mapInArrow(count_common, "a long, b long, common long, united long").where(den * F.col("common") >= num * F.col("united"))

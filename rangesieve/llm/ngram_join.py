@@ -7,7 +7,8 @@ of its band and, as the larger side, probes the cheapest sufficient units in its
 of their subsets where it was signed.  Segments without shingles are the last resort, and are then keyed by exact set size.
 
 Equal sets are one class before anything is compared.  A signature bucket yields one star of candidate pairs around its smallest
-probing set.  Stars are verified exactly on whole texts; pairs between members of a star that are still in different components
+probing set.  Pairs that parity sketches of the sets
+can't rule out are verified exactly on whole texts; pairs between members of a star that are still in different components
 follow in a second round, unless the triangle inequality of the Jaccard distance to the common centre rules them out.  So all
 links that matter for components are verified, and no bucket expands into all of its pairs.
 
@@ -19,21 +20,23 @@ null, and no link; ties go to the smallest doc_id; an empty table gives an empty
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import components, cut_lineage, table
+from .common import components, cut_lineage, sifted, table
 from .textkernel import LOWER, find_words, mix64, run_hashes, segment_hashes, text_slices, window_starts
 
 #: Shingles whose signatures meet in one exchange bucket; bounds the memory of the task that reads it.
-BUCKET_SHINGLES = 2_500_000
+BUCKET_SHINGLES = 1_000_000
+#: Shingles whose corpus frequency is known when segments are priced; all others count as rare.
+FREQUENT_SHINGLES = 1 << 17
 #: Bands of sets up to this size index and probe one-deletion neighbourhoods in all segments, larger ones in none.
 DELETIONS_UP_TO = 128
-SLACK = 1.4
+#: Segments of a band over the most that its sets can differ in: the choice that a probing set has.
+SLACK = 1.8
 INDEX, PROBE = np.uint64(1), np.uint64(2)
 _ROW_SALT = np.uint64(0x9E3779B97F4A7C15)
 _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
@@ -55,11 +58,24 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, width: int = 5) -> tuple
 
 
 def describe(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text) to (doc_id, text_hash, n, s1, s2): the size and a 128-bit hash of each set."""
+    """(doc_id, text_hash, text) to (doc_id, text_hash, n, s1, s2, sketch, shared): the size, a 128-bit hash and a parity sketch of each set.
+
+    shared, in a slice's first row: its shingles that stand in more than one of its sets, with their counts.
+    """
     for rows, data, offsets in text_slices(batches):
         row, h = shingle_sets(data, offsets, width)
         n, s1, s2 = _set_hashes(rows.num_rows, row, h)
-        yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), pa.array(n), pa.array(s1.view(np.int64)), pa.array(s2.view(np.int64))], names=["doc_id", "text_hash", "n", "s1", "s2"])
+        word, count = np.unique(h, return_counts=True)
+        shared = np.stack([word[count > 1].view(np.int64), count[count > 1]]).tobytes()
+        yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), pa.array(n), pa.array(s1.view(np.int64)), pa.array(s2.view(np.int64)), pa.array(parity_sketches(rows.num_rows, row, h), pa.binary()), pa.array([shared] + [None] * (rows.num_rows - 1), pa.binary())], names=["doc_id", "text_hash", "n", "s1", "s2", "sketch", "shared"])
+
+
+def spread_shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(shared) to (shingle, n)."""
+    for batch in batches:
+        for raw in batch.column(0).to_pylist():
+            word, count = np.frombuffer(raw, np.int64).reshape(2, -1)
+            yield pa.RecordBatch.from_arrays([pa.array(word), pa.array(count)], names=["shingle", "n"])
 
 
 def _set_hashes(rows: int, row: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -72,7 +88,6 @@ def _set_hashes(rows: int, row: np.ndarray, h: np.ndarray) -> tuple[np.ndarray,
     return np.diff(at), *out
 
 
-@lru_cache(maxsize=8)
 def bands(num: int, den: int, largest: int) -> tuple[np.ndarray, np.ndarray]:
     """(least set size, number of segments) of each band for the threshold num/den."""
     least, parts = [1], []
@@ -88,12 +103,40 @@ def most_differences(r: int, s: int, num: int, den: int) -> int:
     return (r + s) * (den - num) // (den + num)
 
 
+def parity_sketches(rows: int, row: np.ndarray, h: np.ndarray) -> list[bytes]:
+    """For each set, bit i tells whether an odd number of its shingles falls on i; twice as many bits as shingles, a power of two.
+
+    Sets whose sketches, folded to one length, differ in d bits differ in d shingles at least.
+    """
+    n = np.bincount(row, minlength=rows)
+    bits = np.maximum(64, 1 << np.ceil(np.log2(np.maximum(2 * n, 2))).astype(np.int64))
+    base = np.cumsum(bits) - bits
+    at = base[row] + (mix64(h ^ np.uint64(0x5851F42D4C957F2D)) % bits[row].astype(np.uint64)).astype(np.int64)
+    odd = np.packbits((np.bincount(at, minlength=int(bits.sum())) & 1).astype(np.uint8), bitorder="little")
+    return [odd[b // 8 : (b + k) // 8].tobytes() for b, k in zip(base.tolist(), bits.tolist(), strict=True)]
+
+
+def least_differences(a: bytes, b: bytes) -> int:
+    """A lower bound for the symmetric difference of two sets, from their sketches."""
+    x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
+    if len(x) < len(y):
+        x, y = y, x
+    return int(np.bitwise_count(np.bitwise_xor.reduce(x.reshape(-1, len(y)), axis=0) ^ y).sum())
+
+
+def screen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(a, b, asks, has, na, nb, sa, sb) to (a, b, asks, has, na, nb, apart): apart is a lower bound for the symmetric difference."""
+    for batch in batches:
+        apart = [least_differences(x.as_py(), y.as_py()) for x, y in zip(batch.column(6), batch.column(7), strict=True)]
+        yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(apart, pa.int64())], names=["a", "b", "asks", "has", "na", "nb", "apart"])
+
+
 def _tag(band: np.ndarray, segment: np.ndarray) -> np.ndarray:
     return mix64(band.astype(np.uint64) * np.uint64(1 << 32) + segment.astype(np.uint64) + np.uint64(1))
 
 
-def sign(sizes: np.ndarray, row: np.ndarray, h: np.ndarray, num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
-    """(signature with role bits, row) of sets given as (row, hash)."""
+def sign(sizes: np.ndarray, row: np.ndarray, h: np.ndarray, num: int, den: int, often: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(signature with role bits, row) of sets given as (row, hash); often: in how many sets each shingle is known to stand."""
     least, parts = bands(num, den, int(sizes.max(initial=1)) * 2)
     band = np.searchsorted(least, sizes, side="right") - 1
     sigs, rows = [], []
@@ -108,7 +151,7 @@ def sign(sizes: np.ndarray, row: np.ndarray, h: np.ndarray, num: int, den: int)
         m = np.where(wanted, parts[at], 0)
         base = np.cumsum(m) - m
         use = wanted[row]
-        r, x = row[use], h[use]
+        r, x, known = row[use], h[use], often[use]
         if not len(r):
             continue
         segment = base[r] + ((x >> np.uint64(20)) % m[r].astype(np.uint64)).astype(np.int64)
@@ -125,8 +168,11 @@ def sign(sizes: np.ndarray, row: np.ndarray, h: np.ndarray, num: int, den: int)
         sig &= ~np.uint64(3)
 
         full = np.flatnonzero(~empty)
-        _, inverse, often = np.unique(sig[full], return_inverse=True, return_counts=True)
-        cost = often[inverse].astype(np.int64)
+        _, inverse, here = np.unique(sig[full], return_inverse=True, return_counts=True)
+        # sets that share a subset share all of it: the rarest shingle bounds their number
+        rarest = np.full(total, np.iinfo(np.int64).max)
+        np.minimum.at(rarest, segment, known)
+        cost = np.maximum(here[inverse].astype(np.int64), rarest[full])
         doubled = full[(least[at[owner[full]]] * den // num <= DELETIONS_UP_TO) & (count[full] >= 2)]
         unit = np.concatenate([full, doubled])
         price = np.concatenate([2 * cost, 8 * cost[np.searchsorted(full, doubled)] + 1])
@@ -163,20 +209,20 @@ def sign(sizes: np.ndarray, row: np.ndarray, h: np.ndarray, num: int, den: int)
 
 
 def deal(sigs: np.ndarray, rows: np.ndarray, ids: np.ndarray, buckets: int) -> pa.RecordBatch:
-    """One packed row for each bucket that has signatures: document ids, signatures, and each one's place in the ids."""
+    """One packed row for each bucket that has signatures: its document ids, signatures, and each one's place in the ids."""
     bucket = ((sigs >> np.uint64(32)) % np.uint64(buckets)).astype(np.int32)
     order = np.argsort(bucket, kind="stable")
-    bucket, sigs, rows = bucket[order], sigs[order], rows[order].astype(np.uint16)
+    bucket, sigs, rows = bucket[order], sigs[order], rows[order]
     cuts = np.flatnonzero(np.diff(bucket, prepend=-1, append=-1))
-    packed = ids.tobytes()
-    spans = list(zip(cuts[:-1], cuts[1:], strict=True))
-    return pa.RecordBatch.from_arrays(
-        [pa.array(bucket[cuts[:-1]], pa.int32()), pa.array([packed] * len(spans), pa.binary()), pa.array([sigs[a:b].tobytes() for a, b in spans], pa.binary()), pa.array([rows[a:b].tobytes() for a, b in spans], pa.binary())],
-        names=["bucket", "ids", "sigs", "rows"],
-    )
+    packed: tuple[list, list, list] = ([], [], [])
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        used, place = np.unique(rows[a:b], return_inverse=True)
+        for to, x in zip(packed, (ids[used], sigs[a:b], place.astype(np.uint16)), strict=True):
+            to.append(x.tobytes())
+    return pa.RecordBatch.from_arrays([pa.array(bucket[cuts[:-1]], pa.int32()), *(pa.array(x, pa.binary()) for x in packed)], names=["bucket", "ids", "sigs", "rows"])
 
 
-def signer(width: int, num: int, den: int, buckets: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+def signer(width: int, num: int, den: int, buckets: int, frequent: np.ndarray, counts: np.ndarray) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, data, offsets in text_slices(batches):
             row, h = shingle_sets(data, offsets, width)
@@ -185,7 +231,11 @@ def signer(width: int, num: int, den: int, buckets: int) -> Callable[[Iterator[p
             new = np.zeros(batch.num_rows, dtype=bool)
             new[np.unique(mix64(s1 + mix64(s2 + n.astype(np.uint64))), return_index=True)[1]] = True
             keep = new[row]
-            sigs, rows = sign(np.where(new, n, 0), row[keep], h[keep], num, den)
+            often = np.ones(int(keep.sum()), dtype=np.int64)
+            if len(frequent):
+                at = np.minimum(np.searchsorted(frequent, h[keep]), len(frequent) - 1)
+                often = np.where(frequent[at] == h[keep], counts[at], 1)
+            sigs, rows = sign(np.where(new, n, 0), row[keep], h[keep], num, den, often)
             if len(sigs):
                 yield deal(sigs, rows, np.asarray(batch.column(0).to_numpy(zero_copy_only=False), dtype=np.int64), buckets)
 
@@ -193,7 +243,11 @@ def signer(width: int, num: int, den: int, buckets: int) -> Callable[[Iterator[p
 
 
 def stars(group: pa.Table) -> pa.Table:
-    """Candidate pairs of one bucket: (doc, centre, whether doc probes there)."""
+    """Candidate pairs of one bucket: (doc, centre, asks, has).
+
+    asks and has are 64-bit masks of the signatures that doc probes there, and of all it has there: two documents of a star can be
+    needed as a pair only if one asks for what the other has.
+    """
     packs = list(zip(*(group.column(c).to_pylist() for c in ("ids", "sigs", "rows")), strict=True))
     sigs = np.concatenate([np.frombuffer(s, np.uint64) for _, s, _ in packs])
     docs = np.concatenate([np.frombuffer(i, np.int64)[np.frombuffer(r, np.uint16)] for i, _, r in packs])
@@ -206,7 +260,7 @@ def stars(group: pa.Table) -> pa.Table:
     wide = np.repeat(size > 1, size)
     sigs, docs, roles, size = sigs[wide], docs[wide], roles[wide], size[size > 1]
     if not len(sigs):
-        return pa.table({"doc": pa.array([], pa.int64()), "centre": pa.array([], pa.int64()), "probes": pa.array([], pa.bool_())})
+        return pa.table({c: pa.array([], pa.int64()) for c in ("doc", "centre", "asks", "has")})
     head = np.cumsum(size) - size
     none = np.iinfo(np.int64).max
     probes = (roles & PROBE) > 0
@@ -214,15 +268,19 @@ def stars(group: pa.Table) -> pa.Table:
     met = (centre < none) & (np.maximum.reduceat(roles & INDEX, head) > 0)
     centre, met = np.repeat(centre, size), np.repeat(met, size) & (docs != np.repeat(centre, size))
     docs, centre, probes = docs[met], centre[met], probes[met]
-    order = np.lexsort((~probes, centre, docs))
-    docs, centre, probes = docs[order], centre[order], probes[order]
+    has = np.uint64(1) << (mix64(sigs[met]) >> np.uint64(58))
+    order = np.lexsort((centre, docs))
+    docs, centre, has, asks = docs[order], centre[order], has[order], np.where(probes, has, np.uint64(0))[order]
     new = np.ones(len(docs), dtype=bool)
     new[1:] = (docs[1:] != docs[:-1]) | (centre[1:] != centre[:-1])
-    return pa.table({"doc": docs[new], "centre": centre[new], "probes": probes[new]})
+    at = np.flatnonzero(new)
+    if not len(at):
+        return pa.table({c: pa.array([], pa.int64()) for c in ("doc", "centre", "asks", "has")})
+    return pa.table({"doc": docs[at], "centre": centre[at], "asks": np.bitwise_or.reduceat(asks, at).view(np.int64), "has": np.bitwise_or.reduceat(has, at).view(np.int64)})
 
 
 def overlaps(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
-    """(a, b, probes, ta, tb) to (a, b, probes, common, united): exact counts of the two texts' shingles."""
+    """(a, b, ta, tb) to (a, b, common, united): exact counts of the two texts' shingles."""
     seen: dict[str, np.ndarray] = {}
 
     def shingles(text: str) -> np.ndarray:
@@ -241,7 +299,7 @@ def overlaps(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.Recor
             both.sort(kind="stable")
             common.append(int((both[1:] == both[:-1]).sum()))
             united.append(len(both) - common[-1])
-        yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(common, pa.int64()), pa.array(united, pa.int64())], names=["a", "b", "probes", "common", "united"])
+        yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(common, pa.int64()), pa.array(united, pa.int64())], names=["a", "b", "common", "united"])
 
 
 def join_ngrams(docs: DataFrame, num: int = 75, den: int = 100, width: int = 5) -> tuple[DataFrame, DataFrame]:
@@ -250,50 +308,67 @@ def join_ngrams(docs: DataFrame, num: int = 75, den: int = 100, width: int = 5)
     Links of the similarity num/den or more between different sets decide the components.
     """
     given = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), F.coalesce("text", F.lit("")).alias("text"))
-    sets = cut_lineage(given.select("doc_id", "text_hash", "text").mapInArrow(lambda b: describe(b, width), "doc_id long, text_hash long, n long, s1 long, s2 long"))
+    sets = cut_lineage(given.select("doc_id", "text_hash", "text").mapInArrow(lambda b: describe(b, width), "doc_id long, text_hash long, n long, s1 long, s2 long, sketch binary, shared binary"))
     known = sets.where("doc_id is not null")
     first = known.groupBy("doc_id").agg(F.min_by(F.struct("n", "s1", "s2", "text_hash"), "text_hash").alias("s")).select("doc_id", "s.*")
     classes = first.where("n > 0").groupBy("n", "s1", "s2").agg(F.min("doc_id").alias("class_id"))
     member = cut_lineage(first.join(classes, ["n", "s1", "s2"], "left").select("doc_id", "n", "text_hash", F.coalesce("class_id", "doc_id").alias("class_id")))
+    heads = member.where("doc_id = class_id").select(F.col("doc_id").alias("_i"), F.col("text_hash").alias("_t"))
+    sketches = known.join(heads, (F.col("doc_id") == F.col("_i")) & (F.col("text_hash") == F.col("_t"))).select("doc_id", "n", "sketch").dropDuplicates(["doc_id"])
 
     shingles = sets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     buckets = int(shingles // BUCKET_SHINGLES) + 1
-    packed = given.where("doc_id is not null").select("doc_id", "text").mapInArrow(signer(width, num, den, buckets), "bucket int, ids binary, sigs binary, rows binary")
-    found = packed.groupBy("bucket").applyInArrow(stars, "doc long, centre long, probes boolean")
+    # FREQUENT_SHINGLES rows at most
+    top = sets.where("shared IS NOT NULL").select("shared").mapInArrow(spread_shared, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "shingle").limit(FREQUENT_SHINGLES).toArrow()
+    word, often = top.column("shingle").to_numpy().view(np.uint64), top.column("n").to_numpy()
+    order = np.argsort(word)
+    packed = given.where("doc_id is not null").select("doc_id", "text").mapInArrow(signer(width, num, den, buckets, word[order], often[order]), "bucket int, ids binary, sigs binary, rows binary")
+    found = packed.groupBy("bucket").applyInArrow(stars, "doc long, centre long, asks long, has long")
     of = member.select(F.col("doc_id").alias("_m"), "class_id")
-    mapped = found.groupBy("doc", "centre").agg(F.max("probes").alias("probes"))
-    mapped = mapped.join(of, F.col("doc") == F.col("_m")).select(F.col("class_id").alias("a"), "centre", "probes").join(of, F.col("centre") == F.col("_m")).select("a", F.col("class_id").alias("b"), "probes")
-    edges = cut_lineage(mapped.where("a <> b").groupBy("a", "b").agg(F.max("probes").alias("probes")))
+    masks = (F.bit_or("asks").alias("asks"), F.bit_or("has").alias("has"))
+    mapped = found.groupBy("doc", "centre").agg(*masks)
+    mapped = mapped.join(of, F.col("doc") == F.col("_m")).select(F.col("class_id").alias("a"), "centre", "asks", "has").join(of, F.col("centre") == F.col("_m")).select("a", F.col("class_id").alias("b"), "asks", "has")
+    edges = cut_lineage(mapped.where("a <> b").groupBy("a", "b").agg(*masks))
 
-    wanted = edges.select(F.col("a").alias("doc_id")).union(edges.select(F.col("b").alias("doc_id"))).distinct().join(member.select("doc_id", "text_hash"), "doc_id")
-    texts = cut_lineage(given.where("doc_id is not null").join(wanted.withColumnRenamed("doc_id", "_w").withColumnRenamed("text_hash", "_h"), (F.col("doc_id") == F.col("_w")) & (F.col("text_hash") == F.col("_h"))).select("doc_id", "text").dropDuplicates(["doc_id"]))
+    def screened(pairs: DataFrame) -> DataFrame:
+        """(a, b, asks, has, na, nb, apart), before any text is read."""
+        sa, sb = (sketches.select(F.col("doc_id").alias(f"_{s}"), F.col("n").alias(f"n{s}"), F.col("sketch").alias(f"s{s}")) for s in "ab")
+        both = pairs.join(sa, F.col("a") == F.col("_a")).join(sb, F.col("b") == F.col("_b")).select("a", "b", "asks", "has", "na", "nb", "sa", "sb")
+        return cut_lineage(both.mapInArrow(screen, "a long, b long, asks long, has long, na long, nb long, apart long"))
 
     def verified(pairs: DataFrame) -> DataFrame:
+        """(a, b, common, united) of the screened pairs that can still link."""
+        possible = pairs.where((F.col("apart") * (den + num) <= (F.col("na") + F.col("nb")) * (den - num)) & (den * F.least("na", "nb") >= num * F.greatest("na", "nb"))).select("a", "b")
+        wanted = possible.select(F.explode(F.array("a", "b")).alias("_w")).distinct().join(member.select(F.col("doc_id").alias("_m"), F.col("text_hash").alias("_h")), F.col("_w") == F.col("_m"))
+        wanted = cut_lineage(wanted.select("_w", "_h"))
+        texts = cut_lineage(sifted(given, "doc_id", wanted, "_w").join(wanted, (F.col("doc_id") == F.col("_w")) & (F.col("text_hash") == F.col("_h"))).select("doc_id", "text"))
         ta, tb = texts.select(F.col("doc_id").alias("_a"), F.col("text").alias("ta")), texts.select(F.col("doc_id").alias("_b"), F.col("text").alias("tb"))
-        both = pairs.join(ta, F.col("a") == F.col("_a")).join(tb, F.col("b") == F.col("_b")).select("a", "b", "probes", "ta", "tb")
-        return cut_lineage(both.mapInArrow(lambda b: overlaps(b, width), "a long, b long, probes boolean, common long, united long"))
+        both = possible.join(ta, F.col("a") == F.col("_a")).join(tb, F.col("b") == F.col("_b")).select("a", "b", "ta", "tb")
+        return cut_lineage(both.mapInArrow(lambda b: overlaps(b, width), "a long, b long, common long, united long").distinct())
 
     linked = den * F.col("common") >= num * F.col("united")
-    near = verified(edges)
+    screened_edges = screened(edges)
+    near = verified(screened_edges)
     links = near.where(linked)
     found_components = cut_lineage(components(links.select("a", "b")))
     component = lambda side: found_components.select(F.col("node").alias(f"_{side}"), F.col("component").alias(f"k{side}"))
-    spread = near.join(component("a"), F.col("a") == F.col("_a"), "left").join(component("b"), F.col("b") == F.col("_b"), "left").select(
-        "a", "b", "probes", (1 - F.col("common") / F.col("united")).alias("far"), F.coalesce("ka", "a").alias("ka"), F.coalesce("kb", "b").alias("kb")
-    )
-    sized = cut_lineage(spread.join(member.select(F.col("doc_id").alias("_a"), F.col("n").alias("na")), F.col("a") == F.col("_a")).drop("_a"))
+    exact = near.select(F.col("a").alias("_x"), F.col("b").alias("_y"), (1 - F.col("common") / F.col("united")).alias("far"))
+    size = F.col("na") + F.col("nb")
+    spread = screened_edges.join(exact, (F.col("a") == F.col("_x")) & (F.col("b") == F.col("_y")), "left")
+    spread = spread.join(component("a"), F.col("a") == F.col("_a"), "left").join(component("b"), F.col("b") == F.col("_b"), "left")
+    # the distance to the centre: exact where it was computed, else between what the sketches leave open and 1
+    spread = cut_lineage(spread.select("a", "b", "asks", "has", "na", F.coalesce("far", 2 * F.col("apart") / (size + F.col("apart"))).alias("lo"), F.coalesce("far", F.lit(1.0)).alias("hi"), F.coalesce("ka", "a").alias("ka"), F.coalesce("kb", "b").alias("kb")))
     # members of the centre's own component need no pairs among themselves
-    apart = sized.where("ka <> kb")
-    x, y = apart.alias("x"), sized.alias("y")
+    x, y = spread.where("ka <> kb").alias("x"), spread.alias("y")
     reach = (den - num) / den + 1e-9
     second = x.join(
         y,
-        (F.col("x.b") == F.col("y.b")) & (F.col("x.ka") != F.col("y.ka")) & (F.col("x.probes") | F.col("y.probes")) & (F.abs(F.col("x.far") - F.col("y.far")) <= reach)
-        & (den * F.least("x.na", "y.na") >= num * F.greatest("x.na", "y.na")),
-    ).select(F.least("x.a", "y.a").alias("a"), F.greatest("x.a", "y.a").alias("b")).distinct().join(near.select("a", "b"), ["a", "b"], "left_anti").join(near.select(F.col("b").alias("a"), F.col("a").alias("b")), ["a", "b"], "left_anti")
-    second = cut_lineage(second.withColumn("probes", F.lit(True)))
+        (F.col("x.b") == F.col("y.b")) & (F.col("x.ka") != F.col("y.ka")) & (F.col("x.asks").bitwiseAND(F.col("y.has")).bitwiseOR(F.col("y.asks").bitwiseAND(F.col("x.has"))) != 0) & (F.col("x.lo") - F.col("y.hi") <= reach) & (F.col("y.lo") - F.col("x.hi") <= reach)
+        & (den * F.least("x.na", "y.na") >= num * F.greatest("x.na", "y.na")) & ((F.col("y.ka") == F.col("y.kb")) | (F.col("x.a") < F.col("y.a"))),
+    ).select(F.least("x.a", "y.a").alias("a"), F.greatest("x.a", "y.a").alias("b")).distinct()
+    second = cut_lineage(second.withColumn("asks", F.lit(0).cast("long")).withColumn("has", F.lit(0).cast("long")))
     if not second.isEmpty():
-        near = near.union(verified(second))
+        near = near.union(verified(screened(second))).distinct()
         found_components = components(near.where(linked).select("a", "b"))
     least = found_components.select(F.col("node").alias("_n"), "component")
     grouped = member.join(least, F.col("class_id") == F.col("_n"), "left").select(F.col("doc_id").alias("_d"), "class_id", F.coalesce("component", "class_id").alias("component_id"))

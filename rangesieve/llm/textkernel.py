@@ -12,14 +12,23 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 SLICE_ROWS = 20_000
 
 _MULT = np.uint64(0x9E3779B97F4A7C15 | 1)
 _MULT_INV = np.uint64(pow(int(_MULT), -1, 1 << 64))
 _WORD_MULT = np.uint64(0xD6E8FEB86659FD93)
 _WORD_INV = np.uint64(pow(int(_WORD_MULT), -1, 1 << 64))
-_powers: dict[int, np.ndarray] = {}
+
+
+class _Tables(dict):
+    """Tables that each process makes for itself: they don't travel with pickled kernels."""
+
+    def __reduce__(self):
+        return _Tables, ()
+
+
+_powers = _Tables()
 
 #: Bytes that part words: space and the control characters 0x09 to 0x0D.
 SPACES = np.zeros(256, dtype=bool)
