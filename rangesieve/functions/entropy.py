@@ -11,8 +11,9 @@ import math
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Contexts that are seen less often share the order-0 code.
 LEAST_CONTEXT = 32
@@ -160,29 +161,32 @@ def to_bytes(bits: str) -> bytes:
     return int(bits.ljust(-(-len(bits) // 8) * 8, "0") or "0", 2).to_bytes(max(1, -(-len(bits) // 8)), "big") if bits else b""
 
 
-def encode_columns(df: DataFrame, columns: list[str], book: Codebook) -> DataFrame:
-    """df with each column replaced by its code, zero-padded to bytes, and `<column>_bits`, the code's length."""
-    schema = [f for f in df.schema.fields if f.name not in columns]
-    from pyspark.sql import types as T
+def plain_bits(key: bytes) -> str:
+    return format(int.from_bytes(key, "big"), f"0{8 * len(key)}b") if key else ""
 
-    full = T.StructType([*schema, *(T.StructField(c, T.BinaryType()) for c in columns), *(T.StructField(f"{c}_bits", T.IntegerType()) for c in columns)])
-    rest = [f.name for f in schema]
+
+def encode_columns(df: DataFrame, columns: list[str], book: Codebook | None) -> DataFrame:
+    """df with each column replaced by its code, zero-padded to bytes, and `<column>_code`, the code as a string of 0 and 1.
+
+    Without a book a key's code is its own bits.
+    """
+    rest = [f for f in df.schema.fields if f.name not in columns]
+    full = T.StructType([*rest, *(T.StructField(c, T.BinaryType()) for c in columns), *(T.StructField(f"{c}_code", T.StringType()) for c in columns)])
+    code = plain_bits if book is None else book.encode
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            codes = {c: [None if v is None else book.encode(v.encode() if isinstance(v, str) else v) for v in b.column(c).to_pylist()] for c in columns}
-            yield pa.RecordBatch.from_arrays(
-                [*(b.column(c) for c in rest), *(pa.array([None if v is None else to_bytes(v) for v in codes[c]], pa.binary()) for c in columns), *(pa.array([None if v is None else len(v) for v in codes[c]], pa.int32()) for c in columns)],
-                names=[*rest, *columns, *(f"{c}_bits" for c in columns)],
-            )
+            codes = [[None if v is None else code(v.encode() if isinstance(v, str) else v) for v in b.column(c).to_pylist()] for c in columns]
+            packed = [pa.array([None if v is None else to_bytes(v) for v in c], pa.binary()) for c in codes]
+            yield pa.RecordBatch.from_arrays([*(b.column(f.name) for f in rest), *packed, *(pa.array(c, pa.string()) for c in codes)], names=full.names)
 
     return df.mapInArrow(run, full)
 
 
-def compression_ratio(keys: DataFrame, book: Codebook) -> Column | float:
+def compression_ratio(keys: DataFrame, book: Codebook) -> float:
     """Key bits over code bits."""
     coded = encode_columns(keys.select(F.col("key").cast("binary").alias("key"), F.octet_length(F.col("key").cast("binary")).alias("n")), ["key"], book)
-    row = coded.agg(F.sum("n").alias("a"), F.sum("key_bits").alias("b")).first()
+    row = coded.agg(F.sum("n").alias("a"), F.sum(F.length("key_code")).alias("b")).first()
     return 8.0 * row["a"] / row["b"] if row["b"] else float("nan")
 
 

@@ -50,7 +50,8 @@ class BaseFilter:
         blocks = cls._geometry(block_bounds(anchors, bounds), binary, drop_redundant)
         inner = ranked.where(F.col("rank") % t != 0).select(F.floor(F.col("rank") / t).cast("long").alias("block_id"), "key").join(blocks, "block_id").where("key < succ")
         out = cls(anchors, blocks, df, bounds, t, r, drop_redundant, binary)
-        out.infixes = inner.select("block_id", out._infix(F.col("key")).alias("infix"))
+        out.keyed = inner.select("block_id", "key", "shared", "redundant", out._infix(F.col("key")).alias("infix"))
+        out.infixes = out.keyed.select("block_id", "infix")
         return out
 
     @staticmethod

@@ -158,6 +158,8 @@ class ShardFilter:
     n_inserted: int = 0
     moved: int = 0
     widening: int = 0
+    #: The sentinels that are keys themselves.
+    edge: set[int] = field(default_factory=set)
 
     @property
     def m(self) -> int:
@@ -263,6 +265,21 @@ class ShardFilter:
         b = self.blocks[i]
         return b.positive(b.geo.infix(lo), b.geo.infix(hi))
 
+    def dump(self) -> bytes:
+        plain = {k: v for k, v in self.__dict__.items() if k != "blocks"}
+        return pickle.dumps((plain, [(b.entries, b.n_slots, b.stretches, b.void) for b in self.blocks]))
+
+    @classmethod
+    def load(cls, raw: bytes) -> ShardFilter:
+        plain, blocks = pickle.loads(raw)
+        out = cls(plain["t"], plain["r"], plain["width"], plain["anchors"], [])
+        out.__dict__.update(plain)
+        for (a, b), (entries, n_slots, stretches, void) in zip(zip(out.anchors, out.anchors[1:], strict=False), blocks, strict=True):
+            block = out._block(a, b)
+            block.entries, block.n_slots, block.stretches, block.void = entries, n_slots, stretches, void
+            out.blocks.append(block)
+        return out
+
     def stats(self) -> dict[str, float]:
         slots, used = sum(b.n_slots for b in self.blocks), sum(len(b.entries) for b in self.blocks)
         return {
@@ -289,7 +306,7 @@ class DynamicFilter:
         def one(pdf: pd.DataFrame) -> pd.DataFrame:
             s = int(pdf["shard"].iloc[0])
             shard = ShardFilter.build([int(k) for k in pdf["key"].dropna()], max(0, ends[s] - 1) if s else 0, ends[s + 1], t, r, seed=s, **options)
-            return pd.DataFrame({"shard": [s], "version": [0], "state": [pickle.dumps(_with_first(shard, ends, s, pdf))]})
+            return pd.DataFrame({"shard": [s], "version": [0], "state": [_with_first(shard, pdf).dump()]})
 
         # every shard exists, also without keys
         every = keys.sparkSession.range(len(bounds) + 1).select(F.col("id").cast("int").alias("shard"), F.lit(None).cast("long").alias("key"))
@@ -303,10 +320,10 @@ class DynamicFilter:
         def one(state: pd.DataFrame, todo: pd.DataFrame) -> pd.DataFrame:
             if not len(todo):
                 return state
-            shard = pickle.loads(state["state"].iloc[0])
+            shard = ShardFilter.load(state["state"].iloc[0])
             for op, key in todo.sort_values(["seq", "key"])[["op", "key"]].itertuples(index=False):
                 _change(shard, op, int(key), clean_copies)
-            return pd.DataFrame({"shard": state["shard"], "version": state["version"] + 1, "state": [pickle.dumps(shard)]})
+            return pd.DataFrame({"shard": state["shard"], "version": state["version"] + 1, "state": [shard.dump()]})
 
         return DynamicFilter(self.state.groupBy("shard").cogroup(dealt.groupBy("shard")).applyInPandas(one, STATE), self.bounds, self.t, self.r)
 
@@ -326,7 +343,7 @@ class DynamicFilter:
         def one(state: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
             if not len(state):
                 return pd.DataFrame({"query_id": asked["query_id"], "positive": False})
-            shard = pickle.loads(state["state"].iloc[0])
+            shard = ShardFilter.load(state["state"].iloc[0])
             return pd.DataFrame({"query_id": asked["query_id"], "positive": [_ask(shard, int(a), int(b)) for a, b in zip(asked["lo"], asked["hi"], strict=True)]})
 
         answered = self.state.groupBy("shard").cogroup(parts.groupBy("shard")).applyInPandas(one, "query_id long, positive boolean")
@@ -335,7 +352,7 @@ class DynamicFilter:
     def stats(self) -> DataFrame:
         def one(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for pdf in frames:
-                yield pd.DataFrame([{"shard": int(s), "version": int(v), **pickle.loads(x).stats()} for s, v, x in pdf.itertuples(index=False)], columns=["shard", "version", "blocks", "anchors", "entries", "slots", "stretches", "bits"])
+                yield pd.DataFrame([{"shard": int(s), "version": int(v), **ShardFilter.load(x).stats()} for s, v, x in pdf.itertuples(index=False)], columns=["shard", "version", "blocks", "anchors", "entries", "slots", "stretches", "bits"])
 
         return self.state.mapInPandas(one, "shard int, version long, blocks long, anchors long, entries long, slots long, stretches long, bits long")
 
@@ -345,12 +362,12 @@ class DynamicFilter:
 
         def one(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for pdf in frames:
-                yield pd.DataFrame({"missing": [m - b for x in pdf["state"] for block in pickle.loads(x).blocks for _, b in block.entries]}, dtype="int32")
+                yield pd.DataFrame({"missing": [m - b for x in pdf["state"] for block in ShardFilter.load(x).blocks for _, b in block.entries]}, dtype="int32")
 
         return self.state.mapInPandas(one, "missing int").groupBy("missing").agg(F.count("*").alias("n"))
 
 
-def _with_first(shard: ShardFilter, ends: list, s: int, pdf: pd.DataFrame) -> ShardFilter:
+def _with_first(shard: ShardFilter, pdf: pd.DataFrame) -> ShardFilter:
     """Notes whether the shard's own bound is a key, as sentinels themselves are none."""
     keys = set(pdf["key"].dropna().astype("int64"))
     shard.edge = {e for e in (shard.anchors[0], shard.anchors[-1]) if e in keys}
