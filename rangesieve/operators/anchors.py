@@ -10,8 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Rows in the shard directory, and leaves of the search expression over the bounds.
-SHARDS = 64
+#: Shards that a key set is dealt into unless told otherwise; rows in the directory, and leaves of the search over the bounds.
+SHARDS = 16
 
 
 def shard_bounds(keys: DataFrame, key: str = "key", shards: int = SHARDS) -> list:
