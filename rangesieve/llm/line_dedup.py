@@ -30,8 +30,10 @@ FREQUENT_WORDS = 65_536
 #: Prefix words that meet in one exchange bucket; bounds the memory of the task that reads it.
 BUCKET_WORDS = 600_000
 #: Partners that one bucket proposes for a class at first.
-FIRST_PARTNERS = 8
-ENTRY = np.dtype([("word", "<u4"), ("cls", "<i8"), ("sketch", "<u8"), ("row", "<u2"), ("line", "<u4"), ("n", "<u2"), ("pos", "u1"), ("index", "u1")])
+FIRST_PARTNERS = 3
+ENTRY = np.dtype([("word", "<u4"), ("cls", "<i8"), ("sketch", "<u8"), ("row", "<u2"), ("n", "<u2"), ("pos", "u1")])
+#: Bit of `pos` that tells that the word belongs to the shorter prefix under which the class can be found.
+INDEXED = 128
 _PAIRS = "bucket int, a long, b long, more boolean"
 
 
@@ -120,7 +122,7 @@ def prefixer(frequent: np.ndarray, num: int, den: int, buckets: int) -> Callable
             e = np.empty(int(take.sum()), dtype=ENTRY)
             o = of[take]
             e["word"], e["cls"], e["sketch"], e["row"] = (word[take] & np.uint64(0xFFFFFFFF)).astype(np.uint32), lines.cls[o], sketch[o], lines.row[o]
-            e["line"], e["n"], e["pos"], e["index"] = lines.number[o], np.minimum(n[take], 65535), np.minimum(pos[take], 255), pos[take] < index[take]
+            e["n"], e["pos"] = np.minimum(n[take], 65535), np.minimum(pos[take], 127) + INDEXED * (pos[take] < index[take])
             bucket = ((word[take] >> np.uint64(32)) % np.uint64(buckets)).astype(np.int32)
             order = np.argsort(bucket, kind="stable")
             bucket, e = bucket[order], e[order]
@@ -137,7 +139,8 @@ def _compatible(e: np.ndarray, i: np.ndarray, j: np.ndarray, num: int, den: int)
     big = (a == 65535) | (b == 65535)
     length = den * np.minimum(a, b) >= num * np.maximum(a, b)
     need = -(-num * (a + b) // (num + den))
-    place = 1 + np.minimum(a - e["pos"][i].astype(np.int64), b - e["pos"][j].astype(np.int64)) - 1 >= need
+    at = lambda k: (e["pos"][k] & (INDEXED - 1)).astype(np.int64)
+    place = np.minimum(a - at(i), b - at(j)) >= need
     apart = np.bitwise_count(e["sketch"][i] ^ e["sketch"][j]).astype(np.int64)
     sketch = apart * (num + den) <= (a + b) * (den - num)
     return big | (length & place & sketch)
@@ -157,18 +160,19 @@ def proposer(num: int, den: int, limit: int | None) -> Callable:
             return none
         e, doc = np.concatenate(parts), np.concatenate(docs)
         # of a class that several batches sent, the earliest entry of the word counts
-        order = np.lexsort((e["line"], doc, e["cls"], e["word"]))
+        order = np.lexsort((doc, e["cls"], e["word"]))
         e, doc = e[order], doc[order]
         once = np.ones(len(e), dtype=bool)
         once[1:] = (e["word"][1:] != e["word"][:-1]) | (e["cls"][1:] != e["cls"][:-1])
         e, doc = e[once], doc[once]
-        e = e[np.lexsort((e["cls"], e["line"], doc, e["word"]))]
+        order = np.lexsort((e["cls"], doc, e["word"]))
+        e, doc = e[order], doc[order]
         size = np.diff(np.append(head := np.flatnonzero(np.diff(e["word"].astype(np.int64), prepend=-1)), len(e)))
         start = np.repeat(head, size)
         later = np.flatnonzero(np.arange(len(e)) > start)
         if wanted is not None:
             later = later[np.isin(e["cls"][later], wanted.column("cls").to_numpy())]
-        out_a, out_b, out_more = [], [], []
+        out_a, out_b = [], []
         given = np.zeros(len(e), dtype=np.int64)
         # each round pairs every open entry with its next earlier-ordered chunk of partners
         step = np.zeros(len(later), dtype=np.int64)
@@ -180,7 +184,7 @@ def proposer(num: int, den: int, limit: int | None) -> Callable:
             j = np.repeat(todo, chunk[room])
             within = np.arange(len(j)) - np.repeat(np.cumsum(chunk[room]) - chunk[room], chunk[room])
             i = start[j] + np.repeat(step[room], chunk[room]) + within
-            fit = ((e["index"][i] | e["index"][j]) > 0) & (e["cls"][i] != e["cls"][j])
+            fit = (((e["pos"][i] | e["pos"][j]) & INDEXED) > 0) & (e["cls"][i] != e["cls"][j])
             i, j = i[fit], j[fit]
             fit = _compatible(e, i, j, num, den)
             i, j = i[fit], j[fit]
@@ -188,7 +192,6 @@ def proposer(num: int, den: int, limit: int | None) -> Callable:
                 first = np.flatnonzero(np.diff(j, prepend=-1))
                 seq = given[j] + np.arange(len(j)) - np.repeat(first, np.diff(np.append(first, len(j))))
                 given += np.bincount(j, minlength=len(e))
-                out_more.append(np.unique(e["cls"][j[seq >= limit]]))
                 i, j = i[seq < limit], j[seq < limit]
             out_a.append(e["cls"][j])
             out_b.append(e["cls"][i])
@@ -198,8 +201,13 @@ def proposer(num: int, den: int, limit: int | None) -> Callable:
         if not out_a:
             return none
         pairs = np.unique(np.stack([np.concatenate(out_a), np.concatenate(out_b)]), axis=1)
-        more = np.isin(pairs[0], np.concatenate(out_more)) if out_more else np.zeros(pairs.shape[1], bool)
-        return pa.table({"bucket": pa.array(np.full(pairs.shape[1], group.column("bucket")[0].as_py(), np.int32)), "a": pairs[0], "b": pairs[1], "more": more})
+        # classes with more partners, as pairs with themselves; the order of lines within a document isn't known here, so its other lines count too
+        more = np.zeros(0, np.int64)
+        if limit is not None:
+            group_of = np.cumsum(np.append(True, (e["word"][1:] != e["word"][:-1]) | (doc[1:] != doc[:-1]))) - 1
+            more = np.unique(e["cls"][(np.bincount(group_of, given > limit) > 0)[group_of]])
+        a, b = np.concatenate([pairs[0], more]), np.concatenate([pairs[1], more])
+        return pa.table({"bucket": pa.array(np.full(len(a), group.column("bucket")[0].as_py(), np.int32)), "a": a, "b": b, "more": a == b})
 
     return propose
 
@@ -266,7 +274,7 @@ def find_similar_lines(docs: DataFrame, num: int = 75, den: int = 100) -> DataFr
         return near.select(F.when(F.struct("fa", "a") > F.struct("fb", "b"), F.col("a")).otherwise(F.col("b")).alias("cls")).distinct()
 
     proposed = cut_lineage(packed.groupBy("bucket").applyInArrow(lambda g: proposer(num, den, FIRST_PARTNERS)(g), _PAIRS))
-    gone = cut_lineage(losers(proposed.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()))
+    gone = cut_lineage(losers(proposed.where("not more").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()))
     open_ = cut_lineage(proposed.where("more").select("bucket", F.col("a").alias("cls")).distinct().join(gone, "cls", "left_anti"))
     if not open_.isEmpty():
         rest = packed.groupBy("bucket").cogroup(open_.groupBy("bucket")).applyInArrow(lambda g, w: proposer(num, den, None)(g, w), _PAIRS)

@@ -36,7 +36,7 @@ COVERS = {7: (0, 1, 3), 13: (0, 1, 3, 9), 21: (0, 1, 4, 14, 16), 31: (0, 1, 3, 8
 BUCKET_BYTES = 4 << 20
 _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
 _PACKED = "bucket int, known boolean, ids binary, keys binary, rows binary"
-_FOUND = "shard int, ids binary, keys binary"
+_FOUND = "_shard int, ids binary, keys binary"
 ENTRY = np.dtype([("h", "<u8"), ("c", "<u4")])
 
 
@@ -107,7 +107,7 @@ def _for_shards(docs: np.ndarray, keys: np.ndarray, shards: int) -> pa.Table:
     shard, docs, keys = shard[order], docs[order], keys[order]
     cuts = np.flatnonzero(np.diff(shard, prepend=-1, append=-1))
     spans = list(zip(cuts[:-1], cuts[1:], strict=True))
-    return pa.table({"shard": pa.array(shard[cuts[:-1]]), "ids": pa.array([docs[a:b].tobytes() for a, b in spans], pa.binary()), "keys": pa.array([keys[a:b].tobytes() for a, b in spans], pa.binary())})
+    return pa.table({"_shard": pa.array(shard[cuts[:-1]]), "ids": pa.array([docs[a:b].tobytes() for a, b in spans], pa.binary()), "keys": pa.array([keys[a:b].tobytes() for a, b in spans], pa.binary())})
 
 
 def _keyed(docs: np.ndarray, keys: np.ndarray) -> np.ndarray:
@@ -282,18 +282,18 @@ def remove_repeats(docs: DataFrame, width: int = 50, keep: list[str] | None = No
         for batch in batches:
             # rows without a doc_id are spread by their length
             spread = pa.compute.coalesce(batch.column("_doc"), pa.compute.cast(pa.compute.binary_length(batch.column("_text").fill_null("")), pa.int64()))
-            yield batch.append_column("shard", pa.array(shard_of(spread.to_numpy(zero_copy_only=False), buckets)))
+            yield batch.append_column("_shard", pa.array(shard_of(spread.to_numpy(zero_copy_only=False), buckets)))
 
     known = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("_doc"), "text")
     found = known.mapInArrow(anchor_hasher(width, buckets), _PACKED).groupBy("bucket").applyInArrow(lambda g: live_anchors(g, buckets), _FOUND)
     rows = docs.select(*(F.col(f"`{c}`") for c in keep), F.col("text").alias("_text"), F.col("doc_id").cast("long").alias("_doc"))
-    rows = rows.mapInArrow(sharded, T.StructType([*rows.schema.fields, T.StructField("shard", T.IntegerType())]))
-    windows = rows.groupBy("shard").cogroup(found.groupBy("shard")).applyInArrow(windows_near(width, buckets), _PACKED)
+    rows = rows.mapInArrow(sharded, T.StructType([*rows.schema.fields, T.StructField("_shard", T.IntegerType())]))
+    windows = rows.groupBy("_shard").cogroup(found.groupBy("_shard")).applyInArrow(windows_near(width, buckets), _PACKED)
     gone = windows.groupBy("bucket").applyInArrow(lambda g: removed_windows(g, buckets), _FOUND)
     fields = [f for f in rows.schema.fields if f.name in keep] + [T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_sha256", T.StringType())]
     fields += [T.StructField("kept_text", T.StringType())] * with_text
     schema = T.StructType(fields)
-    return rows.groupBy("shard").cogroup(gone.groupBy("shard")).applyInArrow(remover(width, keep, with_text, to_arrow_schema(schema)), schema)
+    return rows.groupBy("_shard").cogroup(gone.groupBy("_shard")).applyInArrow(remover(width, keep, with_text, to_arrow_schema(schema)), schema)
 
 
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
