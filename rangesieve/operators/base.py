@@ -47,7 +47,8 @@ class BaseFilter:
         bounds = shard_bounds(keys)
         ranked = with_rank(keys, "key", bounds)
         anchors = pick_anchors(ranked, t)
-        blocks = cls._geometry(block_bounds(anchors, bounds), binary, drop_redundant)
+        # one row in t keys, used by routing, infixes and packing alike
+        blocks = cls._geometry(block_bounds(anchors, bounds), binary, drop_redundant).persist()
         inner = ranked.where(F.col("rank") % t != 0).select(F.floor(F.col("rank") / t).cast("long").alias("block_id"), "key").join(blocks, "block_id").where("key < succ")
         out = cls(anchors, blocks, df, bounds, t, r, drop_redundant, binary)
         out.keyed = inner.select("block_id", "key", "shared", "redundant", out._infix(F.col("key")).alias("infix"))
