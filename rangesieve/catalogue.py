@@ -134,7 +134,7 @@ def _bins(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _judged(spark: SparkSession, d: str, name: str, kind: str, length: int, t: int = T, r: int = R) -> DataFrame:
-    keys, asked = k.range_queries(k.integer_keys(spark, d, name), kind, length)
+    keys, asked = k.range_queries(k.integer_keys(spark, d, name).persist(), kind, length)
     f = BaseFilter.build(keys, t=t, eps=2.0 / 2**r, sorted_input=True)
     return range_is_empty(asked, keys, f.bounds).join(f.probe(asked), "query_id")
 
@@ -325,7 +325,7 @@ for _name, _cls in (baselines.CLASSES | {"exact": baselines.ExactRange, "no_filt
 
     @register(_name)
     def _baseline(spark: SparkSession, d: str, cls: type = _cls) -> DataFrame:
-        keys, asked = k.range_queries(k.integer_keys(spark, d, "skewed"), "mixed", 1 << 7)
+        keys, asked = k.range_queries(k.integer_keys(spark, d, "skewed").persist(), "mixed", 1 << 7)
         return metrics.fpr(range_is_empty(asked, keys).join(cls.build(keys).probe(asked), "query_id"))
 
 
