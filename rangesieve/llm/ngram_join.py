@@ -6,11 +6,11 @@ one-deletion neighbourhoods are searched too counts twice, since it tolerates on
 of its band and, as the larger side, probes the cheapest sufficient units in its own and the next smaller band, by the frequency
 of their subsets where it was signed.  Segments without shingles are the last resort, and are then keyed by exact set size.
 
-Equal sets are one class before anything is compared.  A signature bucket yields one star of candidate pairs around its smallest
-probing set.  Pairs that parity sketches of the sets
-can't rule out are verified exactly on whole texts; pairs between members of a star that are still in different components
-follow in a second round, unless the triangle inequality of the Jaccard distance to the common centre rules them out.  So all
-links that matter for components are verified, and no bucket expands into all of its pairs.
+Equal sets are one class before anything is compared.  A signature bucket yields stars: its members, each with the signatures that it
+asks for and has, around the smallest probing set.  A pair of classes belongs to the smallest star in which one asks for what the other
+has, and is looked at there alone.  Large stars are cut into blocks, and each pair of blocks is one cell of work; parity sketches rule
+out most pairs of a cell, and exact counts on whole texts decide the others.  So every link is verified and counted, while what leaves
+a cell is a count for each member and a spanning forest of the cell's links, not the pairs.
 
 Defined results: a null or wordless text has an empty set and links with nothing; fewer words than the shingle width make one
 shingle; rows of one doc_id are one document with the first of its texts by hash; a null doc_id gives a row of its own component,
@@ -37,6 +37,10 @@ FREQUENT_SHINGLES = 1 << 17
 DELETIONS_UP_TO = 128
 #: Segments of a band over the most that its sets can differ in: the choice that a probing set has.
 SLACK = 1.8
+#: Members and shingles of a cell's block; more members make more cells, none is left out.
+BLOCK_MEMBERS, BLOCK_SHINGLES = 256, 400_000
+#: Words of sketches or bitmaps that are compared in one step.
+STEP_WORDS = 1 << 21
 INDEX, PROBE = np.uint64(1), np.uint64(2)
 _ROW_SALT = np.uint64(0x9E3779B97F4A7C15)
 _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
@@ -124,13 +128,6 @@ def least_differences(a: bytes, b: bytes) -> int:
     return int(np.bitwise_count(np.bitwise_xor.reduce(x.reshape(-1, len(y)), axis=0) ^ y).sum())
 
 
-def screen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(a, b, asks, has, na, nb, sa, sb) to (a, b, asks, has, na, nb, apart): apart is a lower bound for the symmetric difference."""
-    for batch in batches:
-        apart = [least_differences(x.as_py(), y.as_py()) for x, y in zip(batch.column(6), batch.column(7), strict=True)]
-        yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(apart, pa.int64())], names=["a", "b", "asks", "has", "na", "nb", "apart"])
-
-
 def _tag(band: np.ndarray, segment: np.ndarray) -> np.ndarray:
     return mix64(band.astype(np.uint64) * np.uint64(1 << 32) + segment.astype(np.uint64) + np.uint64(1))
 
@@ -279,33 +276,146 @@ def stars(group: pa.Table) -> pa.Table:
     return pa.table({"doc": docs[at], "centre": centre[at], "asks": np.bitwise_or.reduceat(asks, at).view(np.int64), "has": np.bitwise_or.reduceat(has, at).view(np.int64)})
 
 
-def overlaps(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
-    """(a, b, ta, tb) to (a, b, common, united): exact counts of the two texts' shingles."""
-    seen: dict[str, np.ndarray] = {}
-
-    def shingles(text: str) -> np.ndarray:
-        if text not in seen:
-            if len(seen) > 64:
-                seen.clear()
-            raw = np.frombuffer(text.encode(), dtype=np.uint8)
-            seen[text] = np.sort(shingle_sets(raw, np.array([0, len(raw)]), width)[1])
-        return seen[text]
-
-    for batch in batches:
-        common, united = [], []
-        for ta, tb in zip(batch.column("ta"), batch.column("tb"), strict=True):
-            a, b = shingles(ta.as_py()), shingles(tb.as_py())
-            both = np.concatenate([a, b])
-            both.sort(kind="stable")
-            common.append(int((both[1:] == both[:-1]).sum()))
-            united.append(len(both) - common[-1])
-        yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(common, pa.int64()), pa.array(united, pa.int64())], names=["a", "b", "common", "united"])
+def _meet(asks: np.ndarray, has: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    return ((asks[i] & has[j]) | (asks[j] & has[i])) != 0
+
+
+def _sketches_apart(sketches: list[bytes], i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """least_differences of each pair of sketches."""
+    words = np.array([len(s) // 8 for s in sketches])
+    out = np.zeros(len(i), dtype=np.int64)
+    long_, short = np.where(words[i] >= words[j], i, j), np.where(words[i] >= words[j], j, i)
+    key = words[long_] * (1 << 32) + words[short]
+    for k in np.unique(key).tolist():
+        at, w, v = np.flatnonzero(key == k), k >> 32, k & 0xFFFFFFFF
+        x, y = np.unique(long_[at], return_inverse=True), np.unique(short[at], return_inverse=True)
+        wide = np.frombuffer(b"".join(sketches[m] for m in x[0]), np.uint64).reshape(len(x[0]), w // v, v)
+        folded, own = np.bitwise_xor.reduce(wide, axis=1), np.frombuffer(b"".join(sketches[m] for m in y[0]), np.uint64).reshape(-1, v)
+        step = max(1, STEP_WORDS // v)
+        for c in range(0, len(at), step):
+            out[at[c : c + step]] = np.bitwise_count(folded[x[1][c : c + step]] ^ own[y[1][c : c + step]]).sum(axis=1, dtype=np.int64)
+    return out
+
+
+def candidate_pairs(cell: pa.Table, num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of a cell that form a pair to be verified: a pair of classes comes out in one star of one cell only."""
+    star, block, asks, has, n = (cell.column(c).to_numpy() for c in ("star", "block", "asks", "has", "n"))
+    across = cell.column("i")[0].as_py() != cell.column("j")[0].as_py()
+    lists = [cell.column(c).combine_chunks() for c in ("stars", "all_asks", "all_has")]
+    starts = lists[0].offsets.to_numpy()
+    every, every_asks, every_has = (x.values.to_numpy() for x in lists)
+    order = np.argsort(star, kind="stable")
+    cuts = np.flatnonzero(np.diff(star[order], prepend=star[order[:1]] + 1, append=star[order[-1:]] + 1))
+    left, right = [], []
+    for s, e in zip(cuts[:-1], cuts[1:], strict=True):
+        rows = order[s:e]
+        if across:
+            low, high = rows[block[rows] == block[rows].min()], rows[block[rows] == block[rows].max()]
+            if not len(low) or block[low[0]] == block[high[0]]:
+                continue
+            i, j = np.repeat(low, len(high)), np.tile(high, len(low))
+        else:
+            x, y = np.triu_indices(len(rows), 1)
+            i, j = rows[x], rows[y]
+        fit = _meet(asks, has, i, j) & (den * np.minimum(n[i], n[j]) >= num * np.maximum(n[i], n[j]))
+        i, j = i[fit], j[fit]
+        if not len(i):
+            continue
+        # pairs that meet in a smaller star belong to that one
+        owner = np.repeat(rows, starts[rows + 1] - starts[rows])
+        place = np.concatenate([np.arange(starts[r], starts[r + 1]) for r in rows])
+        smaller = every[place] < star[rows[0]]
+        owner, place = owner[smaller], place[smaller]
+        if len(place):
+            by_star = np.argsort(every[place], kind="stable")
+            owner, place = owner[by_star], place[by_star]
+            head = np.flatnonzero(np.diff(every[place], prepend=every[place[:1]] + 1, append=every[place[-1:]] + 1))
+            runs = [(a, b) for a, b in zip(head[:-1], head[1:], strict=True) if b - a > 1]
+            there_asks, there_has = np.zeros(len(star), np.int64), np.zeros(len(star), np.int64)
+            for a, b in sorted(runs, key=lambda r: r[0] - r[1]):
+                there_asks[owner[a:b]], there_has[owner[a:b]] = every_asks[place[a:b]], every_has[place[a:b]]
+                own = ~_meet(there_asks, there_has, i, j)
+                there_asks[owner[a:b]] = there_has[owner[a:b]] = 0
+                i, j = i[own], j[own]
+                if not len(i):
+                    break
+        left.append(i)
+        right.append(j)
+    if not left:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    i, j = np.concatenate(left), np.concatenate(right)
+    fit = _sketches_apart(cell.column("sketch").to_pylist(), i, j) * (den + num) <= (n[i] + n[j]) * (den - num)
+    return i[fit], j[fit]
+
+
+def needed(cell: pa.Table, num: int, den: int) -> pa.Table:
+    """(star, i, j, member): whose text the cell needs."""
+    i, j = candidate_pairs(cell, num, den)
+    return cell.select(["star", "i", "j", "member"]).take(pa.array(np.unique(np.concatenate([i, j]))))
+
+
+def linked_pairs(cell: pa.Table, width: int, num: int, den: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row, row, common, united) of the cell's pairs that reach the threshold, by exact counts of shingles."""
+    i, j = candidate_pairs(cell, num, den)
+    if not len(i):
+        return i, j, i, j
+    members, text_of = np.unique(cell.column("member").to_numpy(), return_inverse=True)
+    of_member = np.zeros(len(members), dtype=np.int64)
+    of_member[text_of] = np.arange(cell.num_rows)
+    raw = [t.encode() for t in cell.column("text").take(pa.array(of_member)).to_pylist()]
+    row, h = shingle_sets(np.frombuffer(b"".join(raw), dtype=np.uint8), np.cumsum([0] + [len(t) for t in raw]), width)
+    size = np.bincount(row, minlength=len(members))
+    _, number, count = np.unique(h, return_inverse=True, return_counts=True)
+    shared = count > 1
+    bit = (np.cumsum(shared) - 1)[number]
+    row, bit = row[shared[number]], bit[shared[number]]
+    bits = np.zeros((len(members), (int(shared.sum()) + 63) // 64 + 1), dtype=np.uint64)
+    np.bitwise_or.at(bits, (row, bit >> 6), np.uint64(1) << (bit & 63).astype(np.uint64))
+    x, y = text_of[i], text_of[j]
+    common = np.zeros(len(i), dtype=np.int64)
+    step = max(1, STEP_WORDS // bits.shape[1])
+    for c in range(0, len(i), step):
+        common[c : c + step] = np.bitwise_count(bits[x[c : c + step]] & bits[y[c : c + step]]).sum(axis=1, dtype=np.int64)
+    united = size[x] + size[y] - common
+    fit = den * common >= num * united
+    return i[fit], j[fit], common[fit], united[fit]
+
+
+def list_links(cell: pa.Table, width: int, num: int, den: int) -> pa.Table:
+    """(a, b, common, united) of the cell's links."""
+    i, j, common, united = linked_pairs(cell, width, num, den)
+    member = cell.column("member").to_numpy()
+    return pa.table({"a": np.minimum(member[i], member[j]), "b": np.maximum(member[i], member[j]), "common": common, "united": united})
+
+
+def count_links(cell: pa.Table, width: int, num: int, den: int) -> pa.Table:
+    """(a, b, n): with b null, n documents of other classes link to class a in this cell; else a and b are in one component."""
+    i, j, _, _ = linked_pairs(cell, width, num, den)
+    member, root = np.unique(cell.column("member").to_numpy(), return_inverse=True)
+    x, y = root[i], root[j]
+    weight = np.zeros(len(member), dtype=np.int64)
+    weight[root] = cell.column("weight").to_numpy()
+    linked = np.zeros(len(member), dtype=np.int64)
+    np.add.at(linked, x, weight[y])
+    np.add.at(linked, y, weight[x])
+    label = np.arange(len(member))
+    while True:
+        least = np.minimum(label[x], label[y])
+        if (least == label[x]).all() and (least == label[y]).all():
+            break
+        np.minimum.at(label, x, least)
+        np.minimum.at(label, y, least)
+        label = label[label]
+    some, tied = np.flatnonzero(linked), np.flatnonzero(label != np.arange(len(member)))
+    b = pa.array(np.concatenate([member[some], member[label[tied]]]), mask=np.arange(len(some) + len(tied)) < len(some))
+    return pa.table({"a": np.concatenate([member[some], member[tied]]), "b": b, "n": np.concatenate([linked[some], np.zeros(len(tied), np.int64)])})
 
 
 def join_ngrams(docs: DataFrame, num: int = 75, den: int = 100, width: int = 5) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, n_shingles, class_id, component_id of every document; a, b, common, united of the verified pairs of class representatives).
+    """(doc_id, n_shingles, class_id, component_id, n_links of every document; a, b, common, united of all linked pairs of classes).
 
-    Links of the similarity num/den or more between different sets decide the components.
+    n_links: other documents of similarity num/den or more, those with an equal set among them.  Classes stand for their documents in
+    the second result, which is computed when it is read.
     """
     given = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), F.coalesce("text", F.lit("")).alias("text"))
     sets = cut_lineage(given.select("doc_id", "text_hash", "text").mapInArrow(lambda b: describe(b, width), "doc_id long, text_hash long, n long, s1 long, s2 long, sketch binary, shared binary"))
@@ -330,50 +440,32 @@ def join_ngrams(docs: DataFrame, num: int = 75, den: int = 100, width: int = 5)
     mapped = mapped.join(of, F.col("doc") == F.col("_m")).select(F.col("class_id").alias("a"), "centre", "asks", "has").join(of, F.col("centre") == F.col("_m")).select("a", F.col("class_id").alias("b"), "asks", "has")
     edges = cut_lineage(mapped.where("a <> b").groupBy("a", "b").agg(*masks))
 
-    def screened(pairs: DataFrame) -> DataFrame:
-        """(a, b, asks, has, na, nb, apart), before any text is read."""
-        sa, sb = (sketches.select(F.col("doc_id").alias(f"_{s}"), F.col("n").alias(f"n{s}"), F.col("sketch").alias(f"s{s}")) for s in "ab")
-        both = pairs.join(sa, F.col("a") == F.col("_a")).join(sb, F.col("b") == F.col("_b")).select("a", "b", "asks", "has", "na", "nb", "sa", "sb")
-        return cut_lineage(both.mapInArrow(screen, "a long, b long, asks long, has long, na long, nb long, apart long"))
-
-    def verified(pairs: DataFrame) -> DataFrame:
-        """(a, b, common, united) of the screened pairs that can still link."""
-        possible = pairs.where((F.col("apart") * (den + num) <= (F.col("na") + F.col("nb")) * (den - num)) & (den * F.least("na", "nb") >= num * F.greatest("na", "nb"))).select("a", "b")
-        wanted = possible.select(F.explode(F.array("a", "b")).alias("_w")).distinct().join(member.select(F.col("doc_id").alias("_m"), F.col("text_hash").alias("_h")), F.col("_w") == F.col("_m"))
-        wanted = cut_lineage(wanted.select("_w", "_h"))
-        texts = cut_lineage(sifted(given, "doc_id", wanted, "_w").join(wanted, (F.col("doc_id") == F.col("_w")) & (F.col("text_hash") == F.col("_h"))).select("doc_id", "text"))
-        ta, tb = texts.select(F.col("doc_id").alias("_a"), F.col("text").alias("ta")), texts.select(F.col("doc_id").alias("_b"), F.col("text").alias("tb"))
-        both = possible.join(ta, F.col("a") == F.col("_a")).join(tb, F.col("b") == F.col("_b")).select("a", "b", "ta", "tb")
-        return cut_lineage(both.mapInArrow(lambda b: overlaps(b, width), "a long, b long, common long, united long").distinct())
-
-    linked = den * F.col("common") >= num * F.col("united")
-    screened_edges = screened(edges)
-    near = verified(screened_edges)
-    links = near.where(linked)
-    found_components = cut_lineage(components(links.select("a", "b")))
-    component = lambda side: found_components.select(F.col("node").alias(f"_{side}"), F.col("component").alias(f"k{side}"))
-    exact = near.select(F.col("a").alias("_x"), F.col("b").alias("_y"), (1 - F.col("common") / F.col("united")).alias("far"))
-    size = F.col("na") + F.col("nb")
-    spread = screened_edges.join(exact, (F.col("a") == F.col("_x")) & (F.col("b") == F.col("_y")), "left")
-    spread = spread.join(component("a"), F.col("a") == F.col("_a"), "left").join(component("b"), F.col("b") == F.col("_b"), "left")
-    # the distance to the centre: exact where it was computed, else between what the sketches leave open and 1
-    spread = cut_lineage(spread.select("a", "b", "asks", "has", "na", F.coalesce("far", 2 * F.col("apart") / (size + F.col("apart"))).alias("lo"), F.coalesce("far", F.lit(1.0)).alias("hi"), F.coalesce("ka", "a").alias("ka"), F.coalesce("kb", "b").alias("kb")))
-    # members of the centre's own component need no pairs among themselves
-    x, y = spread.where("ka <> kb").alias("x"), spread.alias("y")
-    reach = (den - num) / den + 1e-9
-    second = x.join(
-        y,
-        (F.col("x.b") == F.col("y.b")) & (F.col("x.ka") != F.col("y.ka")) & (F.col("x.asks").bitwiseAND(F.col("y.has")).bitwiseOR(F.col("y.asks").bitwiseAND(F.col("x.has"))) != 0) & (F.col("x.lo") - F.col("y.hi") <= reach) & (F.col("y.lo") - F.col("x.hi") <= reach)
-        & (den * F.least("x.na", "y.na") >= num * F.greatest("x.na", "y.na")) & ((F.col("y.ka") == F.col("y.kb")) | (F.col("x.a") < F.col("y.a"))),
-    ).select(F.least("x.a", "y.a").alias("a"), F.greatest("x.a", "y.a").alias("b")).distinct()
-    second = cut_lineage(second.withColumn("asks", F.lit(0).cast("long")).withColumn("has", F.lit(0).cast("long")))
-    if not second.isEmpty():
-        near = near.union(verified(screened(second))).distinct()
-        found_components = components(near.where(linked).select("a", "b"))
-    least = found_components.select(F.col("node").alias("_n"), "component")
-    grouped = member.join(least, F.col("class_id") == F.col("_n"), "left").select(F.col("doc_id").alias("_d"), "class_id", F.coalesce("component", "class_id").alias("component_id"))
-    out = sets.join(grouped, F.col("doc_id") == F.col("_d"), "left").select("doc_id", F.col("n").alias("n_shingles"), "class_id", "component_id")
-    return out, near.where(linked).select("a", "b", "common", "united")
+    # a centre meets all members of its star
+    joined = edges.select(F.col("b").alias("star"), F.col("a").alias("member"), "asks", "has").union(edges.select("b", "b", F.lit(-1).cast("long"), F.lit(-1).cast("long")).distinct()).groupBy("star", "member").agg(*masks)
+    weights = member.groupBy("class_id").agg(F.count("*").alias("weight"))
+    memberships = cut_lineage(joined.join(sketches.select(F.col("doc_id").alias("member"), "n"), "member"))
+    # no more than the signatures of a set
+    lists = memberships.groupBy("member").agg(F.collect_list(F.struct("star", "asks", "has")).alias("_l")).select("member", F.col("_l.star").alias("stars"), F.col("_l.asks").alias("all_asks"), F.col("_l.has").alias("all_has"))
+    totals = memberships.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
+    cells = int(totals[0] // BLOCK_MEMBERS + totals[1] // BLOCK_SHINGLES) + 1
+    blocks = memberships.groupBy("star").agg((1 + F.floor(F.count("*") / BLOCK_MEMBERS) + F.floor(F.sum("n") / BLOCK_SHINGLES)).alias("blocks"))
+    placed = memberships.join(blocks, "star").withColumn("block", F.pmod(F.xxhash64("member"), F.col("blocks")))
+    large = F.col("blocks") > 1
+    placed = placed.withColumn("_o", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))).withColumn("large", large).withColumn("cell", F.when(large, F.col("star")).otherwise(F.pmod(F.xxhash64("star"), F.lit(cells)))).withColumn("i", F.least("block", "_o")).withColumn("j", F.greatest("block", "_o"))
+    rows = placed.select("large", "cell", "i", "j", "star", "block", "member", "asks", "has", "n").join(lists, "member").join(sketches.select(F.col("doc_id").alias("member"), "sketch"), "member").join(weights.withColumnRenamed("class_id", "member"), "member")
+    keys = ["large", "cell", "i", "j"]
+    wanted = cut_lineage(rows.groupBy(*keys).applyInArrow(lambda g: needed(g, num, den), "star long, i long, j long, member long"))
+    hashes = cut_lineage(wanted.select(F.col("member").alias("_w")).distinct().join(member.select(F.col("doc_id").alias("_m"), F.col("text_hash").alias("_h")), F.col("_w") == F.col("_m")).select("_w", "_h"))
+    texts = sifted(given, "doc_id", hashes, "_w").join(hashes, (F.col("doc_id") == F.col("_w")) & (F.col("text_hash") == F.col("_h"))).dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("member"), "text")
+    work = rows.join(wanted, ["star", "i", "j", "member"], "left_semi").join(cut_lineage(texts), "member")
+    counted = cut_lineage(work.groupBy(*keys).applyInArrow(lambda g: count_links(g, width, num, den), "a long, b long, n long"))
+    links = work.groupBy(*keys).applyInArrow(lambda g: list_links(g, width, num, den), "a long, b long, common long, united long")
+
+    least = components(counted.where("b is not null").select("a", "b")).select(F.col("node").alias("_n"), "component")
+    others = weights.join(counted.where("b is null").groupBy("a").agg(F.sum("n").alias("_links")), F.col("class_id") == F.col("a"), "left").select(F.col("class_id").alias("_c"), (F.col("weight") - 1 + F.coalesce("_links", F.lit(0))).alias("n_links"))
+    grouped = member.join(least, F.col("class_id") == F.col("_n"), "left").join(others, F.col("class_id") == F.col("_c")).select(F.col("doc_id").alias("_d"), "class_id", F.coalesce("component", "class_id").alias("component_id"), "n_links")
+    out = sets.join(grouped, F.col("doc_id") == F.col("_d"), "left").select("doc_id", F.col("n").alias("n_shingles"), "class_id", "component_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    return out, links
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
@@ -385,4 +477,4 @@ def keep_one(docs: DataFrame, **options) -> DataFrame:
 
 def op7_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     grouped, _ = join_ngrams(table(spark, sf_dir, "documents"))
-    return grouped.select("doc_id", "n_shingles", "component_id")
+    return grouped.select("doc_id", "n_shingles", "component_id", "n_links")

@@ -187,6 +187,27 @@ def test_ngram_join(docs, rows, none):
     assert ngram_join.join_ngrams(none)[0].count() == 0
 
 
+def test_ngram_join_counts_every_link(spark, monkeypatch):
+    monkeypatch.setattr(ngram_join, "BLOCK_MEMBERS", 16)
+    r = random.Random(3)
+    base = [f"w{k}" for k in range(120)]
+    texts = []
+    for k in range(70):
+        w = list(base)
+        for at in r.sample(range(120), r.choice([0, 1, 2, 4])):
+            w[at] = f"x{r.randrange(12) if k % 2 else k}y{at}"
+        texts.append(" ".join(w))
+    texts += [" ".join(f"a{k}b{j}" for j in range(30)) for k in range(8)] + ["", "one", "one"]
+    sets = [{tuple(w[k : k + 5]) for k in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set() for w in map(str.split, texts)]
+    near = lambda a, b: bool(sets[a]) and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b])
+    n = range(len(texts))
+    out, links = ngram_join.join_ngrams(spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3))
+    assert {x["doc_id"]: x["n_links"] for x in out.collect()} == {a: sum(near(a, b) for b in n if b != a) for a in n}
+    heads = [a for a in n if sets[a] and not any(sets[b] == sets[a] for b in range(a))]
+    want = sorted((a, b, len(sets[a] & sets[b]), len(sets[a] | sets[b])) for a in heads for b in heads if a < b and near(a, b))
+    assert sorted(map(tuple, links.collect())) == want and len(want) > 6 * len(heads)
+
+
 def test_signatures_meet_whenever_sets_link():
     import numpy as np
 
