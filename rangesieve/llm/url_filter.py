@@ -1,7 +1,8 @@
 """URL filters: path rules first, then trust and distrust that flow over the links between hosts.
 
-Trust starts at hosts whose pages the rules allow and follows links; distrust starts at hosts whose pages the rules mostly block and
-flows against the links, to those who link there.  Both are personalised PageRanks over the host graph, iterated together.  A host
+Trust starts at every host with pages that the rules allow and follows links; distrust starts at every host with pages that they block
+and flows against the links, to those who link there.  A seed weighs as much as the share of its host's pages.  Both are personalised
+PageRanks over the host graph, iterated together until they stand still.  A host
 is blocked if distrust makes up most of what has reached it; a host that neither reaches is allowed.
 
 Defined results: a null url, or one without "://", has empty host and path, fits no rule and is judged as the empty host; null html
@@ -12,6 +13,8 @@ has their name.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,10 +23,7 @@ from .common import cut_lineage, table
 #: Fixed values: (verdict, host and path).
 RULES = (("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/"))
 DAMPING = 0.85
-ROUNDS = 30
 TOLERANCE = 1e-9
-#: A host with this share of blocked pages is a seed of distrust; one with this share of allowed pages, of trust.
-SEED_SHARE = 0.5
 #: A host is blocked beyond this share of distrust.
 BLOCK_SHARE = 0.5
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -55,10 +55,16 @@ def host_edges(pages: DataFrame) -> DataFrame:
     return far.select("src", host_of(F.col("u")).alias("dst")).where("src <> dst").groupBy("src", "dst").agg(F.count("*").alias("n"))
 
 
-def propagate(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, rounds: int = ROUNDS, tolerance: float = TOLERANCE) -> DataFrame:
+def rounds_to(tolerance: float, damping: float = DAMPING) -> int:
+    """Rounds after which ranks that sum to 1 change by no more than the tolerance."""
+    return math.ceil(math.log(tolerance / 2) / math.log(damping)) + 2
+
+
+def propagate(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, rounds: int | None = None, tolerance: float = TOLERANCE) -> DataFrame:
     """(kind, host, rank) of personalised PageRank along edges (kind, src, dst, n) from seeds (kind, host, seed that sums to 1).
 
-    What hosts without a way out hold goes back to the seeds.
+    What hosts without a way out hold goes back to the seeds.  Without a number of rounds it goes on until the ranks change by less than
+    the tolerance: a round shrinks the change by the damping, so the number of rounds is known, and missing it is an error.
     """
     out_of = edges.groupBy("kind", "src").agg(F.sum("n").alias("_all"))
     weighted = cut_lineage(edges.join(out_of, ["kind", "src"]).select("kind", "src", "dst", (F.col("n") / F.col("_all")).alias("w")))
@@ -67,7 +73,8 @@ def propagate(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, roun
     hosts = weighted.select("kind", F.col("src").alias("host")).union(weighted.select("kind", F.col("dst").alias("host"))).union(seeds.select("kind", "host")).distinct()
     nodes = cut_lineage(hosts.join(seeds, ["kind", "host"], "left").select("kind", "host", F.coalesce("seed", F.lit(0.0)).alias("seed")))
     ranks = nodes.select("kind", "host", F.col("seed").alias("rank"))
-    for _ in range(rounds):
+    enough = rounds_to(tolerance, damping) if rounds is None else rounds
+    for _ in range(enough):
         moved = weighted.join(ranks.withColumnRenamed("host", "src"), ["kind", "src"]).groupBy("kind", F.col("dst").alias("host")).agg(F.sum(F.col("w") * F.col("rank")).alias("inflow"))
         kept = moved.groupBy("kind").agg(F.sum("inflow").alias("moved"))
         # `kept` has one row for each kind, two at most
@@ -78,6 +85,9 @@ def propagate(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, roun
         ranks = nxt.select("kind", "host", "rank")
         if change < tolerance:
             break
+    else:
+        if rounds is None:
+            raise RuntimeError(f"ranks still change by {change} after {enough} rounds")
     return ranks
 
 
@@ -86,7 +96,7 @@ def host_verdicts(pages: DataFrame, rules: tuple[tuple[str, str], ...] = RULES)
     judged = pages.select(host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path")).select("host", rule_for(F.col("host"), F.col("path"), rules)["verdict"].alias("v"))
     share = lambda v: F.avg(F.coalesce((F.col("v") == v).cast("double"), F.lit(0.0))).alias(v)
     shares = cut_lineage(judged.groupBy("host").agg(share("allow"), share("block")))
-    chosen = shares.where(F.col("allow") >= SEED_SHARE).select(F.lit("trust").alias("kind"), "host", F.col("allow").alias("s")).union(shares.where(F.col("block") >= SEED_SHARE).select(F.lit("distrust"), "host", F.col("block")))
+    chosen = shares.where(F.col("allow") > 0).select(F.lit("trust").alias("kind"), "host", F.col("allow").alias("s")).union(shares.where(F.col("block") > 0).select(F.lit("distrust"), "host", F.col("block")))
     totals = chosen.groupBy("kind").agg(F.sum("s").alias("_t"))
     seeds = cut_lineage(chosen.join(F.broadcast(totals), "kind").select("kind", "host", (F.col("s") / F.col("_t")).alias("seed")))
     links = cut_lineage(host_edges(pages))

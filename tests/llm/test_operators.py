@@ -123,6 +123,17 @@ def test_url_filter(spark):
     assert (out[4]["host"], out[4]["path"], out[4]["verdict"], out[8]["verdict"]) == ("", "", "allow", "allow")
 
 
+def test_few_blocked_pages_seed_distrust(spark):
+    data = [(0, "http://m.bad.com/de/1", "")] + [(k, f"http://m.bad.com/x/{k}", "") for k in range(1, 9)] + [(9, "http://fine.com/1", "")]
+    pages = spark.createDataFrame(data, "page_id long, url string, html string")
+    out = {r["page_id"]: r["verdict"] for r in url_filter.filter_urls(pages, rules=(("block", "com/de/"),)).collect()}
+    assert out == {k: "block" for k in range(9)} | {9: "allow"}
+
+
+def test_rounds_reach_the_tolerance():
+    assert 2 * url_filter.DAMPING ** url_filter.rounds_to(url_filter.TOLERANCE) <= url_filter.TOLERANCE
+
+
 def test_propagation_is_pagerank(spark):
     import numpy as np
 
