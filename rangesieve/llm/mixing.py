@@ -3,7 +3,7 @@
 Every source gets a token target; seats, each worth one block, go one after another to the source with the highest
 quotient target / (2 * seats + 1), and the seats of a source are dealt to the shards in that order.  Inside a source
 the documents stand in a seeded random order and are cut into blocks; full passes take all blocks and the last pass
-takes the first blocks of the order.
+takes the first blocks of the order.  `seats` is the least number of blocks: a block is also small against the smallest target.
 
 Defined results: a null text has size 0 and is never taken; the null source is the last source; repeated rows
 and rows of equal hash count each for itself (ties by doc_id, size); an empty table gives an empty result.
@@ -20,6 +20,8 @@ from .common import cut_lineage, table
 
 #: A mixture names its sources one by one, so their number is bounded; a longer list is refused, not cut.
 MAX_SOURCES = 100_000
+#: Blocks that the source of the smallest positive target gets at least, so that rounding is a few per cent of any target.
+LEAST_BLOCKS = 50
 WEIGHTS = (3, 1, 2)
 
 
@@ -54,9 +56,9 @@ def apportion(targets: dict, seats: int, n_shards: int = 8) -> dict:
     held = {s: max(0, int(seats * targets[s] / whole) - len(names)) for s in names}
     given = 0
     for s in names:
-        for _ in range(held[s]):
-            out[s][given % n_shards] += 1
-            given += 1
+        rounds, rest = divmod(held[s], n_shards)
+        out[s] = [rounds + ((k - given) % n_shards < rest) for k in range(n_shards)]
+        given += held[s]
     heap = [(-targets[s] / (2 * held[s] + 1), i) for i, s in enumerate(names) if targets[s] > 0]
     heapq.heapify(heap)
     while given < seats:
@@ -85,7 +87,7 @@ def mix_sources(docs: DataFrame, n_shards: int = 8, seats: int = 20_000, seed: i
         raise ValueError(f"more than {MAX_SOURCES} sources")
     sizes = {r["source"]: r["n"] for r in rows}
     targets = capped_targets(sizes, share, cap, weights)
-    block = max(1, int(sum(targets.values()) / seats))
+    block = max(1, int(min([sum(targets.values()) / seats, *(t / LEAST_BLOCKS for t in targets.values() if t > 0)])))
     seats_in = int(sum(targets.values()) / block)
     blocks = apportion(targets, seats_in, n_shards)
     # a source never gives more than the cap, however its last block falls

@@ -280,6 +280,14 @@ def test_mixing(docs, rows, none):
     assert mixing.mix_sources(none)[0].count() == 0
 
 
+def test_tiny_source_beside_a_hot_one(spark):
+    data = [(k, " ".join(["w"] * 1000), "hot") for k in range(400)] + [(500 + k, "a b c d e", "tiny") for k in range(4)] + [(600, "a b c d", None)]
+    got = mixing.mix_sources(spark.createDataFrame(data, "doc_id long, text string, source string"), seats=200)[0].collect()
+    for s in ("hot", "tiny", None):
+        mine = [r for r in got if r["source"] == s]
+        assert mine[0]["target"] > 0 and abs(sum(r["taken"] for r in mine) - mine[0]["target"]) <= 0.05 * mine[0]["target"] + 1
+
+
 def test_apportionment_follows_highest_quotients():
     targets = {"a": 53.0, "b": 24.0, "c": 23.0}
     out = mixing.apportion(targets, 10, 4)
