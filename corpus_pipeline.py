@@ -8,13 +8,13 @@ from rangesieve.llm.common import cut_lineage, table
 from rangesieve.llm.decontamination import find_contamination
 from rangesieve.llm.mixing import mixed
 from rangesieve.llm.ngram_join import keep_one
-from rangesieve.llm.quality import keep_good
+from rangesieve.llm.quality import cleaned
 from rangesieve.llm.sharding import shard_by_bytes
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality rules keep."""
-    return keep_good(docs)
+    """Documents that the quality rules keep, without the lines above the limit."""
+    return cleaned(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

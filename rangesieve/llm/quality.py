@@ -2,7 +2,8 @@
 
 Normalised lines (A-Z lower-cased, blanks collapsed) are hashed; each counts once for every distinct text of a host.  A line above
 the host's limit is boilerplate: its words count as removed, and a document that keeps too few words is rejected.  Exact copies
-count as one text, so that a group of copies doesn't make its own lines boilerplate.
+count as one text, so that a group of copies doesn't make its own lines boilerplate.  `cleaned` gives the kept documents without
+their boilerplate lines; all other columns stay as given.
 
 Defined results: a null or wordless text fails the base rule; the null host is a host of its own; repeated rows each give a row
 with the same verdict; an empty table gives an empty result; input columns named like an output column are replaced.
@@ -41,6 +42,11 @@ def repeated(keys: np.ndarray) -> np.ndarray:
     return twice[np.minimum(np.searchsorted(twice, keys), len(twice) - 1)] == keys
 
 
+def line_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, head: np.ndarray) -> np.ndarray:
+    """Hash of each normalised line; head: the first word of each."""
+    return run_hashes(segment_hashes(LOWER[data], starts, ends), head, np.append(head[1:], len(starts))).view(np.int64)
+
+
 def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(_id, _host, _text_hash, text) to STATS."""
     for rows, data, offsets in text_slices(batches):
@@ -71,7 +77,7 @@ def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         distinct = np.bincount(line_row[np.unique(raw, return_index=True)[1]], minlength=n)
 
         tail = np.append(head[1:], len(starts))
-        norm = run_hashes(segment_hashes(LOWER[data], starts, ends), head, tail).view(np.int64)
+        norm = line_hashes(data, starts, ends, head)
         order = np.lexsort((norm, line_row))
         r, h, words = line_row[order], norm[order], (tail - head)[order]
         new = np.ones(len(order), dtype=bool)
@@ -88,8 +94,28 @@ def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
+def without_lines(text: str, gone: list[int]) -> str:
+    """The text less the lines whose hashes are in `gone`."""
+    data = np.frombuffer(text.encode(), dtype=np.uint8)
+    starts, ends, _ = find_words(data, np.array([0, len(data)]))
+    line = np.searchsorted(np.flatnonzero(data == 10), starts)
+    head = np.flatnonzero(np.diff(line, prepend=-1))
+    cut = set(line[head][np.isin(line_hashes(data, starts, ends, head), gone)].tolist())
+    return "\n".join(x for k, x in enumerate(text.split("\n")) if k not in cut)
+
+
+def clean_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows with text and, last, the hashes of the lines to take out (or null) to rows without the last column."""
+    for batch in batches:
+        at, gone = batch.schema.get_field_index("text"), batch.column(batch.num_columns - 1)
+        texts = [t if g is None or t is None else without_lines(t, g) for t, g in zip(batch.column(at).to_pylist(), gone.to_pylist(), strict=True)]
+        columns = batch.columns[:-1]
+        columns[at] = pa.array(texts, batch.schema.field(at).type)
+        yield pa.RecordBatch.from_arrays(columns, names=batch.schema.names[:-1])
+
+
 def judge_quality(docs: DataFrame, host: str = "source", min_texts: int = MIN_TEXTS, share: float = SHARE_OF_HOST, least_words: int = LEAST_WORDS, least_share: float = LEAST_SHARE) -> DataFrame:
-    """doc_id, text_hash, host, the measures, base_failed, n_removed_words, kept: a row for each row of docs."""
+    """doc_id, text_hash, host, the measures, base_failed, n_removed_words, kept, removed_lines (hashes, or null): a row for each row of docs."""
     given = docs.select(F.col("doc_id").cast("long").alias("_id"), F.col(f"`{host}`").cast("string").alias("_host"), F.xxhash64("text").alias("_text_hash"), "text")
     stats = cut_lineage(given.mapInArrow(measure, STATS)).withColumn("_row", F.monotonically_increasing_id())
 
@@ -98,14 +124,14 @@ def judge_quality(docs: DataFrame, host: str = "source", min_texts: int = MIN_TE
     counts = texts.select("_host", F.explode("_lines").alias("_line")).groupBy("_host", "_line").agg(F.count("*").alias("_n")).where(F.col("_n") > min_texts)
     above = counts.alias("c").join(hosts.alias("h"), F.col("c._host").eqNullSafe(F.col("h._host"))).where(F.col("_n") > share * F.col("_texts")).select(F.col("c._host").alias("_h"), F.col("_line").alias("_l"))
     held = stats.select("_row", "_host", F.explode(F.arrays_zip("_lines", "_line_words")).alias("e")).select("_row", "_host", F.col("e._lines").alias("_line"), F.col("e._line_words").alias("_w"))
-    removed = held.join(above, F.col("_host").eqNullSafe(F.col("_h")) & (F.col("_line") == F.col("_l"))).groupBy("_row").agg(F.sum("_w").alias("n_removed_words"))
+    removed = held.join(above, F.col("_host").eqNullSafe(F.col("_h")) & (F.col("_line") == F.col("_l"))).groupBy("_row").agg(F.sum("_w").alias("n_removed_words"), F.collect_list("_line").alias("removed_lines"))
 
     judged = stats.drop("_lines", "_line_words").join(removed, "_row", "left").withColumn("n_removed_words", F.coalesce("n_removed_words", F.lit(0)).cast("long"))
     left = F.col("n_words") - F.col("n_removed_words")
     depleted = (F.col("n_removed_words") > 0) & ((left < least_words) | (left < least_share * F.col("n_words")))
     failed = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
     return judged.select(
-        F.col("_id").alias("doc_id"), F.col("_text_hash").alias("text_hash"), F.col("_host").alias("host"), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_removed_words", failed.alias("base_failed"), (~failed & ~depleted).alias("kept")
+        F.col("_id").alias("doc_id"), F.col("_text_hash").alias("text_hash"), F.col("_host").alias("host"), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_removed_words", failed.alias("base_failed"), (~failed & ~depleted).alias("kept"), "removed_lines"
     )
 
 
@@ -116,5 +142,15 @@ def keep_good(docs: DataFrame, **rules) -> DataFrame:
     return docs.join(bad, F.col("doc_id").cast("long").eqNullSafe(F.col("_bad")) & (F.xxhash64("text") == F.col("_hash")) & host.eqNullSafe(F.col("_on")), "left_anti")
 
 
+def cleaned(docs: DataFrame, **rules) -> DataFrame:
+    """The rows of docs that judge_quality keeps, their texts without the lines above the limit."""
+    judged = judge_quality(docs, **rules).where("NOT kept OR removed_lines IS NOT NULL")
+    judged = judged.select(F.col("doc_id").alias("_of"), F.col("text_hash").alias("_hash"), F.col("host").alias("_on"), F.col("kept").alias("_kept"), F.col("removed_lines").alias("_lines")).dropDuplicates(["_of", "_hash", "_on"])
+    host = F.col(f"`{rules.get('host', 'source')}`").cast("string")
+    joined = docs.join(judged, F.col("doc_id").cast("long").eqNullSafe(F.col("_of")) & (F.xxhash64("text") == F.col("_hash")) & host.eqNullSafe(F.col("_on")), "left")
+    kept = joined.where(F.coalesce("_kept", F.lit(True))).select(*(F.col(f"`{c}`") for c in docs.columns), "_lines")
+    return kept.mapInArrow(clean_texts, docs.schema)
+
+
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_quality(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_removed_words")

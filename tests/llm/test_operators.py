@@ -266,6 +266,14 @@ def test_boilerplate_depletes_documents(spark):
     assert out[0]["kept"] and not out[1]["kept"] and out[1]["n_removed_words"] == 40
 
 
+def test_cleaned_texts_lose_boilerplate(spark):
+    own = lambda i: " ".join(f"w{i}x{j}" for j in range(60))
+    data = [(i, f"Share  this page\n\n{own(i)}\nshare this PAGE", "h") for i in range(40)] + [(50, f"Share this page\n{own(50)}", None)]
+    docs = spark.createDataFrame(data, "doc_id long, text string, source string")
+    out = {r["doc_id"]: r["text"] for r in quality.cleaned(docs).collect()}
+    assert out == {i: f"\n{own(i)}" for i in range(40)} | {50: data[-1][1]}
+
+
 def test_mixing(docs, rows, none):
     out, quotas = mixing.mix_sources(docs, seats=500)
     got = out.select("doc_id", "source", F.col("size"), "source_size", "target", "taken").collect()
