@@ -5,7 +5,8 @@ ones by count.  Lines that reach the threshold share a word of their prefixes; l
 out most other pairs, and exact counts on the line texts decide.  A line goes if a similar line stands earlier.
 
 Equal sets are one class, whose first line stays; classes are joined, not lines.  A bucket of the exchange proposes for each class its
-earliest few partners only; a class that these do not settle and that had more gets all of them in a second exchange.
+earliest few partners only; a class that these do not settle and that had more gets all of them in a second exchange, also those of its
+own document, whose line order the exchange doesn't know.
 
 Defined results: a null or wordless text has no lines; lines are parted by newlines and numbered from 0, wordless ones are never
 removed; order is (doc_id, line number); rows that repeat a doc_id are versions side by side and do not remove each other's equal lines;
@@ -198,6 +199,26 @@ def proposer(num: int, den: int, limit: int | None) -> Callable:
             step[room] += 64
             open_ = (step < later - start[later]) & ((given[later] <= limit) if limit is not None else True)
             later, step = later[open_], step[open_]
+        if wanted is not None:
+            # the entries of a wanted class's own document that are ordered after it may stand on earlier lines
+            run = np.flatnonzero(np.append(True, (e["word"][1:] != e["word"][:-1]) | (doc[1:] != doc[:-1])))
+            stop = np.repeat(np.append(run[1:], len(e)), np.diff(np.append(run, len(e))))
+            open_ = np.flatnonzero(np.isin(e["cls"], wanted.column("cls").to_numpy()))
+            step = open_ + 1
+            while len(open_):
+                chunk = np.minimum(stop[open_] - step, 64)
+                room = np.cumsum(chunk) <= 2_000_000
+                room[0] = True
+                j = np.repeat(open_[room], chunk[room])
+                i = np.repeat(step[room], chunk[room]) + np.arange(len(j)) - np.repeat(np.cumsum(chunk[room]) - chunk[room], chunk[room])
+                fit = (((e["pos"][i] | e["pos"][j]) & INDEXED) > 0) & (e["cls"][i] != e["cls"][j])
+                i, j = i[fit], j[fit]
+                fit = _compatible(e, i, j, num, den)
+                out_a.append(e["cls"][j[fit]])
+                out_b.append(e["cls"][i[fit]])
+                step[room] += 64
+                left = step < stop[open_]
+                open_, step = open_[left], step[left]
         if not out_a:
             return none
         pairs = np.unique(np.stack([np.concatenate(out_a), np.concatenate(out_b)]), axis=1)

@@ -165,6 +165,20 @@ def test_line_dedup(docs, rows, none):
     assert line_dedup.find_similar_lines(none).count() == 0
 
 
+def test_line_dedup_within_a_document_beyond_the_cap(spark):
+    data = []
+    for x in range(8):
+        base = [f"t{x}a{k}" for k in range(40)]
+        line = lambda at, new: " ".join(f"{new}{k}" if at <= k < at + 4 else w for k, w in enumerate(base))  # noqa: B023, E731
+        # five variants in earlier documents resemble the first line of the sixth, which only the second line resembles
+        data += [(10 * x + v, line(4 * v, f"v{x}v{v}n")) for v in range(5)] + [(10 * x + 9, " ".join(base) + "\n" + line(36, f"c{x}n"))]
+    sets = {(d, n): frozenset(y.split()) for d, t in data for n, y in enumerate(t.split("\n"))}
+    order = sorted(sets)
+    want = {y: any(100 * len(sets[y] & sets[z]) >= 75 * len(sets[y] | sets[z]) for z in order[:n]) for n, y in enumerate(order)}
+    got = {(r["doc_id"], r["line"]): r["removed"] for r in line_dedup.find_similar_lines(spark.createDataFrame(data, "doc_id long, text string")).collect()}
+    assert got == want and all(want[10 * x + 9, 1] for x in range(8))
+
+
 def test_secret_scan(docs, rows, none):
     kinds = [("assign", re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""), lambda m: len(m[2]) >= 12), ("access", re.compile("AKIA[A-Z0-9]+"), lambda m: len(m[0]) >= 18), ("hex", re.compile("[0-9a-f]+"), lambda m: len(m[0]) >= 16)]
     paths, found, added = secret_scan.scan_versions(docs)
