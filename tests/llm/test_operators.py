@@ -334,6 +334,25 @@ def test_personal_data(docs, rows, none):
     assert n >= 4 and personal_data.find_personal_data(none).count() == 0
 
 
+def test_loose_personal_data_is_added(spark):
+    r = random.Random(2)
+
+    def account():
+        body = "".join(r.choice("0123456789") for _ in range(18))
+        return f"DE{98 - int(body + '131400') % 97:02d}{body}"
+
+    number = lambda *sizes: ["".join(r.choice("123456789") for _ in range(k)) for k in sizes]
+    ident = lambda: f"{r.randrange(100, 600)}-{'-'.join(number(2, 4))}"
+    data = []
+    for k in range(240):
+        # some say what they are, the last ones don't
+        said = k < 200
+        data += [(4 * k, "ssn " * said + ident()), (4 * k + 1, f"pay {account()} now"), (4 * k + 2, f"write joe{k} [at] mail{k} [dot] org"), (4 * k + 3, ("order " if said else "saw ") + number(12)[0])]
+    got = {x["doc_id"]: [s["kind"] for s in x["extra"]] for x in personal_data.find_personal_data(spark.createDataFrame(data, "doc_id long, text string")).collect()}
+    for k in range(240):
+        assert "ident" in got[4 * k] and got[4 * k + 1] == ["account"] and got[4 * k + 2] == ["spelled"] and not got[4 * k + 3], k
+
+
 def test_boosting_separates():
     r = random.Random(5)
     x = [[r.random(), r.random(), float(r.randrange(3))] for _ in range(400)]
