@@ -432,7 +432,9 @@ def join_ngrams(docs: DataFrame, num: int = 75, den: int = 100, width: int = 5)
     top = sets.where("shared IS NOT NULL").select("shared").mapInArrow(spread_shared, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "shingle").limit(FREQUENT_SHINGLES).toArrow()
     word, often = top.column("shingle").to_numpy().view(np.uint64), top.column("n").to_numpy()
     order = np.argsort(word)
-    packed = given.where("doc_id is not null").select("doc_id", "text").mapInArrow(signer(width, num, den, buckets, word[order], often[order]), "bucket int, ids binary, sigs binary, rows binary")
+    # texts of a repeated doc_id that don't count must not stand for an equal set of another document
+    idle = cut_lineage(known.join(first.select(F.col("doc_id").alias("_i"), F.col("text_hash").alias("_t")), (F.col("doc_id") == F.col("_i")) & (F.col("text_hash") != F.col("_t"))).select("doc_id", "text_hash").distinct())
+    packed = given.where("doc_id is not null").join(idle, ["doc_id", "text_hash"], "left_anti").select("doc_id", "text").mapInArrow(signer(width, num, den, buckets, word[order], often[order]), "bucket int, ids binary, sigs binary, rows binary")
     found = packed.groupBy("bucket").applyInArrow(stars, "doc long, centre long, asks long, has long")
     of = member.select(F.col("doc_id").alias("_m"), "class_id")
     masks = (F.bit_or("asks").alias("asks"), F.bit_or("has").alias("has"))

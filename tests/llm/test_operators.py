@@ -233,6 +233,14 @@ def test_ngram_join_counts_every_link(spark, monkeypatch):
     assert sorted(map(tuple, links.collect())) == want and len(want) > 6 * len(heads)
 
 
+def test_ngram_join_of_versions(spark):
+    one, two = (" ".join(f"{c}{k}" for k in range(60)) for c in "ab")
+    a, b = (r["t"] for r in spark.createDataFrame([(one,), (two,)], "t string").orderBy(F.xxhash64("t")).collect())
+    data = [(5, b), (5, a), (7, b), (9, b + " more")]
+    out = ngram_join.join_ngrams(spark.createDataFrame(data, "doc_id long, text string").coalesce(1))[0].collect()
+    assert {(r["doc_id"], r["component_id"], r["n_links"]) for r in out} == {(5, 5, 0), (7, 7, 1), (9, 7, 1)}
+
+
 def test_signatures_meet_whenever_sets_link():
     import numpy as np
 
