@@ -142,6 +142,21 @@ def row_sums(values: np.ndarray, first: np.ndarray) -> np.ndarray:
     return np.diff(total[first])
 
 
+def common_counts(of: np.ndarray, items: np.ndarray, sets: int, x: np.ndarray, y: np.ndarray, step_words: int = 1 << 21) -> np.ndarray:
+    """Sizes of the intersections of sets x[k] and y[k], which are given as (set, item) without repeats."""
+    _, number, count = np.unique(items, return_inverse=True, return_counts=True)
+    shared = count > 1
+    use = shared[number]
+    of, bit = of[use], (np.cumsum(shared) - 1)[number[use]]
+    bits = np.zeros((sets, (int(shared.sum()) + 63) // 64 + 1), dtype=np.uint64)
+    np.bitwise_or.at(bits, (of, bit >> 6), np.uint64(1) << (bit & 63).astype(np.uint64))
+    out = np.zeros(len(x), dtype=np.int64)
+    step = max(1, step_words // bits.shape[1])
+    for c in range(0, len(x), step):
+        out[c : c + step] = np.bitwise_count(bits[x[c : c + step]] & bits[y[c : c + step]]).sum(axis=1, dtype=np.int64)
+    return out
+
+
 def batch_of(schema: pa.Schema, **columns) -> pa.RecordBatch:
     """A record batch of the given columns, cast to the schema's types."""
     arrays = [c if isinstance(c := columns[f.name], (pa.Array, pa.ChunkedArray)) else pa.array(c, type=f.type) for f in schema]
