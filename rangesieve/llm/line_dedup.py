@@ -42,7 +42,7 @@ SEND_WORDS = 1_000_000
 #: Classes of one word that a bucket compares itself; more are a star.
 IN_BUCKET = 4096
 #: Members of a cell's block and words of their texts; more members make more cells, none is left out.
-BLOCK_MEMBERS, BLOCK_WORDS = 512, 200_000
+BLOCK_MEMBERS, BLOCK_WORDS = 2048, 200_000
 #: Bits of the filter that picks lines out of the documents: 4 MB, whatever the data.
 PICK_BITS = 1 << 25
 #: Pairs that are compared in one step, and bytes of texts.
@@ -205,19 +205,45 @@ def pack(held: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> pa.RecordBatc
     order = np.argsort(bucket, kind="stable")
     bucket, e = bucket[order], e[order]
     cuts = np.flatnonzero(np.diff(bucket, prepend=-1, append=-1))
+    rank = np.empty(len(classes), dtype=np.int64)
+    rank[np.lexsort((classes["line"], classes["doc"]))] = np.arange(len(classes))
+    by_rank = np.argsort(rank)
     out: tuple[list, list] = ([], [])
     for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-        part = e[a:b].copy()
-        used, part["at"] = np.unique(part["at"], return_inverse=True)
-        out[0].append(classes[used].tobytes())
-        out[1].append(part.tobytes())
+        part = e[a:b][np.argsort(e["word"][a:b], kind="stable")]
+        used, part["at"] = np.unique(rank[part["at"]], return_inverse=True)
+        out[0].append(dense_bytes(classes[by_rank[used]], "doc"))
+        out[1].append(dense_bytes(part, "word"))
     return pa.RecordBatch.from_arrays([pa.array(bucket[cuts[:-1]].astype(np.int32)), *(pa.array(x, pa.binary()) for x in out)], names=["bucket", "classes", "entries"])
 
 
+def dense_bytes(rows: np.ndarray, ascending: str) -> bytes:
+    """The rows column by column and byte by byte, the ascending column as steps: the exchange's compression finds the zeros."""
+    parts = []
+    for c in rows.dtype.names:
+        x = np.diff(rows[c], prepend=rows[c].dtype.type(0)) if c == ascending else rows[c].copy()
+        parts.append(x.view(np.uint8).reshape(len(x), -1).T.tobytes())
+    return b"".join(parts)
+
+
+def from_dense(raw: list[bytes], dtype: np.dtype, ascending: str) -> np.ndarray:
+    sizes = [len(x) // dtype.itemsize for x in raw]
+    out, to = np.empty(sum(sizes), dtype=dtype), 0
+    for x, k in zip(raw, sizes, strict=True):
+        at = 0
+        for c in dtype.names:
+            wide = dtype[c].itemsize
+            column = np.ascontiguousarray(np.frombuffer(x, np.uint8, k * wide, at).reshape(wide, k).T).view(dtype[c]).ravel()
+            out[c][to : to + k] = np.cumsum(column, dtype=dtype[c]) if c == ascending else column
+            at += k * wide
+        to += k
+    return out
+
+
 def unpack(group: pa.Table) -> tuple[np.ndarray, np.ndarray]:
     """(classes, entries) of packed rows."""
     raw = group.column("classes").to_pylist(), group.column("entries").to_pylist()
-    classes, e = np.frombuffer(b"".join(raw[0]), CLASS), np.frombuffer(b"".join(raw[1]), ENTRY).copy()
+    classes, e = from_dense(raw[0], CLASS, "doc"), from_dense(raw[1], ENTRY, "word")
     starts = np.cumsum([0] + [len(x) // CLASS.itemsize for x in raw[0]])
     e["at"] += np.repeat(starts[:-1], [len(x) // ENTRY.itemsize for x in raw[1]]).astype(np.uint32)
     return classes, e
@@ -246,13 +272,13 @@ def meet(group: pa.Table, num: int, den: int) -> pa.Table:
     new = new_runs(word)
     e = e[order[~(new & np.append(new[1:], True))]]
     at = e["at"]
-    x = {c: classes[c][at] for c in ("cls", "doc", "line")} | {"word": e["word"], "pos": e["pos"], "at": at}
+    x = {c: classes[c][at] for c in ("cls", "s1", "doc", "line")} | {"word": e["word"], "pos": e["pos"], "at": at}
     # of a class that several tasks sent, the first line counts
-    order = np.lexsort((x["line"], x["doc"], x["cls"], x["word"]))
-    order = order[new_runs(x["word"][order], x["cls"][order])]
+    order = np.lexsort((x["line"], x["doc"], x["s1"], x["cls"], x["word"]))
+    order = order[new_runs(x["word"][order], x["cls"][order], x["s1"][order])]
     order = order[np.lexsort((x["line"][order], x["doc"][order], x["word"][order]))]
     x = {c: v[order] for c, v in x.items()}
-    x |= {"n": classes["n"][x["at"]].astype(np.int64), "s1": classes["s1"][x["at"]], "s2": classes["s2"][x["at"]], "pos": x["pos"].astype(np.int64)}
+    x |= {"n": classes["n"][x["at"]].astype(np.int64), "s2": classes["s2"][x["at"]], "pos": x["pos"].astype(np.int64)}
     total = len(order)
     head = np.flatnonzero(new_runs(x["word"]))
     size = np.diff(np.append(head, total))
@@ -342,7 +368,7 @@ def similar(x: np.ndarray, y: np.ndarray, texts: list[bytes], num: int, den: int
 
 
 def confirm(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
-    """(a, a2, ta, tb) to the (c1, c2) of the lines ta that are similar to their tb."""
+    """(a, a2, ta, tb) to the (c1, c2, s1) of the lines ta that are similar to their tb; s1: half of the sketch."""
     for batch in batches:
         size = np.cumsum([len(a) + len(b) for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)])
         at = 0
@@ -351,11 +377,12 @@ def confirm(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[p
             part = batch.slice(at, to - at)
             # pair by pair side by side: the words of a pair are sorted together, so that common ones are neighbours
             of, words = word_sets([t for pair in zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True) for t in pair])
+            sketch = parity_of(words, of, 2 * part.num_rows)[::2, 0]
             order = np.lexsort((words, of >> 1))
             pair, words = of[order] >> 1, words[order]
             both = np.bincount(pair[1:][(words[1:] == words[:-1]) & (pair[1:] == pair[:-1])], minlength=part.num_rows)
             fit = den * both >= num * (np.bincount(pair, minlength=part.num_rows) - both)
-            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1)], names=["c1", "c2"]).filter(pa.array(fit))
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sketch.copy().view(np.int64))], names=["c1", "c2", "s1"]).filter(pa.array(fit))
             at = to
 
 
@@ -448,16 +475,16 @@ def _judged_lines(docs: DataFrame, num: int, den: int) -> tuple[DataFrame, DataF
     ta = texts.select(F.col("c1").alias("a"), F.col("c2").alias("a2"), F.struct("doc", "line").alias("_fa"), F.col("text").alias("ta"))
     tb = texts.select(F.col("c1").alias("b"), F.struct("doc", "line").alias("_fb"), F.col("text").alias("tb"))
     both = pairs.join(ta, "a").join(tb, "b").where("_fb < _fa").select("a", "a2", "ta", "tb")
-    gone = cut_lineage(both.mapInArrow(lambda b: confirm(b, num, den), "c1 long, c2 long").distinct())
+    gone = cut_lineage(both.mapInArrow(lambda b: confirm(b, num, den), "c1 long, c2 long, s1 long").distinct())
 
     # what that leaves open meets all members of its stars
     member = met.where("star IS NOT NULL").drop("a", "b")
-    asking = cut_lineage(member.where("dense").select("star", "cls").distinct().join(gone.select(F.col("c1").alias("cls")).distinct(), "cls", "left_anti"))
+    asking = cut_lineage(member.where("dense").select("star", "cls", "s1").distinct().join(gone.select(F.col("c1").alias("cls"), "s1"), ["cls", "s1"], "left_anti"))
     if not asking.isEmpty():
         stars = asking.select("star").distinct()
         # a hot word's class may have come from several buckets' tasks, each with its own first line
-        least = F.min(F.struct("doc", "line", "s1", "s2", "n", "pos")).alias("m")
-        members = cut_lineage(member.join(stars, "star", "left_semi").groupBy("star", "cls").agg(least).select("star", "cls", "m.*").join(asking.withColumn("asks", F.lit(True)), ["star", "cls"], "left").withColumn("asks", F.coalesce("asks", F.lit(False))))
+        least = F.min(F.struct("doc", "line", "s2", "n", "pos")).alias("m")
+        members = cut_lineage(member.join(stars, "star", "left_semi").groupBy("star", "cls", "s1").agg(least).select("star", "cls", "s1", "m.*").join(asking.withColumn("asks", F.lit(True)), ["star", "cls", "s1"], "left").withColumn("asks", F.coalesce("asks", F.lit(False))))
         totals = members.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
         cells = int(totals[0] // BLOCK_MEMBERS + totals[1] // BLOCK_WORDS) + 1
         blocks = members.groupBy("star").agg((1 + F.floor(F.count("*") / BLOCK_MEMBERS) + F.floor(F.sum("n") / BLOCK_WORDS)).alias("blocks"))
@@ -468,7 +495,7 @@ def _judged_lines(docs: DataFrame, num: int, den: int) -> tuple[DataFrame, DataF
         wanted = cut_lineage(placed.groupBy(*keys).applyInArrow(lambda g: needed(g, num, den), "star long, i long, j long, cls long"))
         held = texts_of(wanted.select(F.col("cls").alias("c1")).distinct()).select(F.col("c1").alias("cls"), "c2", "text")
         work = placed.join(wanted, ["star", "i", "j", "cls"], "left_semi").join(held, "cls")
-        gone = cut_lineage(gone.union(work.groupBy(*keys).applyInArrow(lambda g: settle(g, num, den), "c1 long, c2 long")).distinct())
+        gone = cut_lineage(gone.select("c1", "c2").union(work.groupBy(*keys).applyInArrow(lambda g: settle(g, num, den), "c1 long, c2 long")).distinct())
     # the lines that stay are the first ones of the classes that stay
     stay = first.join(gone, ["c1", "c2"], "left_anti").groupBy(F.col("doc").alias("_d")).agg(F.collect_list(F.struct("line", "c1", "c2")).alias("_stay"))
     own = F.transform(F.arrays_zip("lines", "c1", "c2"), lambda l: F.struct(l["lines"].alias("line"), l["c1"].alias("c1"), l["c2"].alias("c2")))  # noqa: E741
