@@ -38,7 +38,7 @@ DELETIONS_UP_TO = 128
 #: Segments of a band over the most that its sets can differ in: the choice that a probing set has.
 SLACK = 1.8
 #: Members and shingles of a cell's block; more members make more cells, none is left out.
-BLOCK_MEMBERS, BLOCK_SHINGLES = 256, 400_000
+BLOCK_MEMBERS, BLOCK_SHINGLES = 1024, 400_000
 #: Words of sketches or bitmaps that are compared in one step.
 STEP_WORDS = 1 << 21
 INDEX, PROBE = np.uint64(1), np.uint64(2)
