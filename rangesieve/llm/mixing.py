@@ -1,28 +1,31 @@
 """Mixing sources to target weights: whole blocks of equal token counts, apportioned by highest odd-divisor quotients.
 
 Every source gets a token target; seats, each worth one block, go one after another to the source with the highest
-quotient target / (2 * seats + 1), and the seats of a source are dealt to the shards in that order.  Inside a source
-the documents stand in a seeded random order and are cut into blocks; full passes take all blocks and the last pass
-takes the first blocks of the order.  `seats` is the least number of blocks: a block is also small against the smallest target.
+quotient target / (2 * seats + 1), and the seats of a source are dealt to the shards in that order: the quotas.  Inside a source the
+documents stand in a seeded random order, again and again, and each shard takes its quota of blocks from where the one before it ends.
+Only the few documents on such an edge have to be found, by sums over ranges of the order; every other document is told by its place
+before or after them, so that texts never travel.  `seats` is the least number of blocks: a block is also small against the smallest target.
 
-Defined results: a null text has size 0 and is never taken; the null source is the last source; repeated rows
-and rows of equal hash count each for itself (ties by doc_id, size); an empty table gives an empty result.
+Defined results: a null text has size 0 and is never taken; the null source is the last source; rows that are equal in doc_id and text
+share what an edge between them gives; an empty table gives an empty result; input columns named like a result are replaced.
 """
 
 from __future__ import annotations
 
 import heapq
+import math
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import cut_lineage, table
 
-#: A mixture names its sources one by one, so their number is bounded; a longer list is refused, not cut.
-MAX_SOURCES = 100_000
 #: Blocks that the source of the smallest positive target gets at least, so that rounding is a few per cent of any target.
 LEAST_BLOCKS = 50
+#: Rows of a range of the seeded order, on average; a source has as many ranges, and only those with an edge are sorted.
+RANGE_ROWS = 20_000
 WEIGHTS = (3, 1, 2)
+RESULTS = ("size", "source_size", "target", "taken", "shard_taken")
 
 
 def word_count(text: str = "text") -> Column:
@@ -52,8 +55,9 @@ def apportion(targets: dict, seats: int, n_shards: int = 8) -> dict:
     whole = sum(targets.values())
     if not whole or not seats:
         return out
-    # a seat count that no divisor sequence can undercut lets the heap begin near its end
-    held = {s: max(0, int(seats * targets[s] / whole) - len(names)) for s in names}
+    # rounding by a divisor that gives away too few seats yields the first part of the sequence, whatever its length
+    few = max(0.0, seats - len(names) / 2 - 1)
+    held = {s: max(0, math.ceil(few * targets[s] / whole - 0.5)) for s in names}
     given = 0
     for s in names:
         rounds, rest = divmod(held[s], n_shards)
@@ -71,51 +75,69 @@ def apportion(targets: dict, seats: int, n_shards: int = 8) -> dict:
     return out
 
 
-def mix_sources(docs: DataFrame, n_shards: int = 8, seats: int = 20_000, seed: int = 17, share: float = 1.5, cap: float = 2.0, weights: tuple[int, ...] = WEIGHTS, size: Column | None = None, buckets: int = 256) -> tuple[DataFrame, DataFrame]:
-    """(docs with size, source_size, target and taken; quotas: source, shard, blocks, block_tokens).
+def shard_edges(quota: list[int], block: int, most: int) -> list[int]:
+    """Where each shard's words end in a source's repeated order; none lie beyond `most`."""
+    out, at = [], 0
+    for n in quota:
+        at += n * block
+        out.append(min(at, most))
+    return out
+
+
+def mix_sources(docs: DataFrame, n_shards: int = 8, seats: int = 20_000, seed: int = 17, share: float = 1.5, cap: float = 2.0, weights: tuple[int, ...] = WEIGHTS, size: Column | None = None) -> tuple[DataFrame, DataFrame]:
+    """(docs with size, source_size, target, taken and shard_taken, what each shard takes of it; quotas: source, shard, blocks, block_tokens).
 
-    buckets: parts of a source's seeded order that are summed on their own, so that no source meets in one task.
+    The sources of a mixture are a list that the driver holds, some hundred bytes each.
     """
     spark = docs.sparkSession
-    results = ("size", "source_size", "target", "taken")
-    names = [c for c in docs.columns if c not in results]
+    names = [c for c in docs.columns if c not in RESULTS]
     sized = docs.select(*(F.col(f"`{c}`") for c in names), (word_count() if size is None else size).cast("long").alias("size"))
-    sized = sized.withColumn("_at", F.xxhash64(F.lit(seed), "doc_id", "size")).withColumn("_bucket", F.pmod("_at", F.lit(buckets)).cast("int"))
-    light = cut_lineage(sized.select("source", "size", "_bucket"))
-    rows = light.groupBy("source").agg(F.sum("size").alias("n")).limit(MAX_SOURCES + 1).collect()
-    if len(rows) > MAX_SOURCES:
-        raise ValueError(f"more than {MAX_SOURCES} sources")
-    sizes = {r["source"]: r["n"] for r in rows}
+    key = F.struct(F.xxhash64(F.lit(seed), "doc_id", "size").alias("at"), F.xxhash64("doc_id", *(["text"] if "text" in names else []), "size").alias("tie"))
+    light = cut_lineage(sized.select("source", "size", key.alias("k")))
+    totals = light.groupBy("source").agg(F.sum("size").alias("n"), F.count("*").alias("rows")).collect()  # one row for each source
+    sizes = {r["source"]: r["n"] for r in totals}
     targets = capped_targets(sizes, share, cap, weights)
     block = max(1, int(min([sum(targets.values()) / seats, *(t / LEAST_BLOCKS for t in targets.values() if t > 0)])))
-    seats_in = int(sum(targets.values()) / block)
-    blocks = apportion(targets, seats_in, n_shards)
+    blocks = apportion(targets, int(sum(targets.values()) / block), n_shards)
     # a source never gives more than the cap, however its last block falls
-    words = {s: min(sum(blocks[s]) * block, int(cap * sizes[s])) for s in sizes}
-    plan = spark.createDataFrame([(s, sizes[s], float(targets[s]), words[s]) for s in sizes], "source string, source_size long, target double, _words long")
+    edges = {s: shard_edges(blocks[s], block, int(cap * sizes[s])) for s in sizes}
     quotas = spark.createDataFrame([(s, k, n, block) for s in sizes for k, n in enumerate(blocks[s])], "source string, shard int, blocks long, block_tokens long")
 
-    sums = light.groupBy("source", "_bucket").agg(F.sum("size").alias("_n"))
-    before = Window.partitionBy("source").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
-    starts = sums.select(F.col("source").alias("_s"), F.col("_bucket").alias("_b"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
-    # MAX_SOURCES rows at most, and `buckets` times as many
-    joined = sized.join(F.broadcast(plan.withColumnRenamed("source", "_p")), F.col("source").eqNullSafe(F.col("_p"))).join(starts, F.col("source").eqNullSafe(F.col("_s")) & (F.col("_bucket") == F.col("_b")))
-    order = Window.partitionBy("source", "_bucket").orderBy("_at", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
-    end = F.sum("size").over(order) + F.col("_start")
-    rest = F.when(F.col("source_size") > 0, F.col("_words") % F.col("source_size")).otherwise(0)
-    passes = F.when(F.col("source_size") > 0, F.floor(F.col("_words") / F.col("source_size"))).otherwise(0)
-    part = F.greatest(F.lit(0), F.least(F.col("_end"), rest) - (F.col("_end") - F.col("size")))
-    taken = joined.withColumn("_end", end).withColumn("taken", (passes * F.col("size") + part).cast("long"))
-    return taken.select(*(F.col(f"`{c}`") for c in names), *results), quotas
+    # an edge lies some words into a pass over the source's order
+    bits = max([0, *((r["rows"] // RANGE_ROWS).bit_length() for r in totals)])
+    part = F.shiftright(F.col("k.at"), 64 - bits) if bits else F.lit(0).cast("long")
+    sums = light.groupBy("source", part.alias("part")).agg(F.sum("size").alias("n"))
+    before = Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sums.select(F.col("source").alias("_s"), F.col("part").alias("_p"), F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"), "n")
+    asked = spark.createDataFrame([(s, k, e // sizes[s], e % sizes[s]) for s in sizes if sizes[s] for k, e in enumerate(edges[s])], "source string, shard int, passes long, offset long")
+    found = asked.join(starts, F.col("source").eqNullSafe(F.col("_s")) & (F.col("offset") >= F.col("start")) & (F.col("offset") < F.col("start") + F.col("n")))
+    found = cut_lineage(found.select("_s", "_p", "start", "shard", "passes", "offset"))
+    # equal rows of the order are one step of it
+    near = light.withColumn("part", part).join(found.select("_s", "_p", "start").distinct(), F.col("source").eqNullSafe(F.col("_s")) & (F.col("part") == F.col("_p")))
+    steps = near.groupBy("_s", "_p", "start", "k").agg(F.sum("size").alias("words"), F.count("*").alias("copies"))
+    upto = F.sum("words").over(Window.partitionBy("_s", "_p").orderBy("k").rowsBetween(Window.unboundedPreceding, 0))
+    steps = steps.withColumn("begin", F.col("start") + upto - F.col("words")).drop("start")
+    on = found.alias("f").join(steps.alias("t"), F.col("f._s").eqNullSafe(F.col("t._s")) & (F.col("f._p") == F.col("t._p")) & (F.col("offset") >= F.col("begin")) & (F.col("offset") < F.col("begin") + F.col("words")))
+    where = {(r["_s"], r["shard"]): r for r in on.select("f._s", "shard", "passes", "k", F.floor((F.col("offset") - F.col("begin")) / F.col("copies")).alias("inside")).collect()}  # n_shards rows for each source at most
+    cut = lambda s, k: (lambda r: (r["passes"], (r["k"]["at"], r["k"]["tie"]), r["inside"]))(where[s, k])
+    plan = [(s, sizes[s], float(targets[s]), [cut(s, k) for k in range(n_shards)] if sizes[s] else []) for s in sizes]
+    plan = spark.createDataFrame(plan, "_p string, source_size long, target double, _cuts array<struct<passes:bigint,k:struct<at:bigint,tie:bigint>,inside:bigint>>")
+
+    joined = sized.withColumn("_k", key).join(F.broadcast(plan) if len(sizes) <= 10_000 else plan, F.col("source").eqNullSafe(F.col("_p")))
+    upto = F.transform("_cuts", lambda c: c["passes"] * F.col("size") + F.when(F.col("_k") < c["k"], F.col("size")).when(F.col("_k") == c["k"], c["inside"]).otherwise(0))
+    shares = F.transform("_upto", lambda e, i: e - F.when(i > 0, F.get(F.col("_upto"), i - 1)).otherwise(0))
+    taken = F.coalesce(F.get(F.col("_upto"), F.lit(n_shards - 1)), F.lit(0)).cast("long")
+    return joined.withColumn("_upto", upto).withColumns({"taken": taken, "shard_taken": shares}).select(*(F.col(f"`{c}`") for c in names), *RESULTS), quotas
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
     """The rows of docs as often as the mix takes them, to the nearest whole document."""
-    taken, _ = mix_sources(docs, **options)
+    # the results stand beside columns of the same names
+    held = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), *(F.col(f"`{c}`") for c in ("doc_id", "source", "text")))
+    taken, _ = mix_sources(held, **options)
     copies = F.when(F.col("size") > 0, F.round(F.col("taken") / F.col("size"))).otherwise(0).cast("int")
-    names = [f"`{c}`" for c in docs.columns]
-    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(0), copies))).where("_copy > 0").select(*names)
+    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(0), copies))).where("_copy > 0").select("_row.*")
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix_sources(table(spark, sf_dir, "documents").select("doc_id", "source", "text"))[0].select("doc_id", "size", "source_size", "target", "taken", "source")
+    return mix_sources(table(spark, sf_dir, "documents").select("doc_id", "source", "text"))[0].select("doc_id", "size", "source_size", "target", "taken", "source", "shard_taken")
