@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
@@ -11,10 +12,12 @@ from pyspark.sql import functions as F
 
 
 def _shared_folder(spark: SparkSession) -> str:
-    """The cluster's shared checkpoint folder; a temporary one is set only where none is, as in tests."""
+    """The cluster's shared checkpoint folder; where none is set, one process may use a folder of its own, as tests do, and a cluster may not."""
     context = spark.sparkContext
     if not context._jsc.sc().getCheckpointDir().isDefined():
         folder = spark.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir")
+        if folder is None and not re.fullmatch(r"local(\[[^\]]*\])?", context.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoint-"))
     return context._jsc.sc().getCheckpointDir().get()
 
@@ -59,6 +62,16 @@ def hex_sha256(column: Column | str) -> Column:
     return F.sha2(F.coalesce(F.col(column) if isinstance(column, str) else column, F.lit("")), 256)
 
 
+def joined_to_key(rows: DataFrame, key: str, found: DataFrame, copies: int = 16) -> DataFrame:
+    """rows with the columns of found, which has one row for some of the keys; rows of one key are spread over `copies` tasks.
+
+    key: a column of both, which the result keeps.
+    """
+    salt = F.pmod(F.monotonically_increasing_id(), F.lit(copies)).cast("int")
+    many = found.select(F.col(key).alias("_key"), *(F.col(c) for c in found.columns if c != key), F.explode(F.array(*map(F.lit, range(copies)))).alias("_copy"))
+    return rows.withColumn("_salt", salt).join(many, (F.col(key) == F.col("_key")) & (F.col("_salt") == F.col("_copy")), "left").drop("_salt", "_copy", "_key")
+
+
 #: Bits of the table that thins out rows before an exchange: 1 MB, whatever the data.
 SIEVE_BITS = 1 << 23
 

@@ -4,7 +4,8 @@ The ledger says which (blob, rule, rule version) have been scanned.  A run addre
 lacks, scans one text of each blob for its missing rules, and joins new and old findings back to every path that holds the blob.
 
 Defined results: a null text is the empty blob; equal texts are one blob; repeated rows each get the blob's findings; an empty table
-gives an empty result; a rule version that the ledger doesn't know is scanned anew; further columns pass through.
+gives an empty result; a rule version that the ledger doesn't know is scanned anew; further columns pass through, but for those named
+like a result (blob, spans).
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut_lineage, table
+from .common import cut_lineage, joined_to_key, table
 from .spans import all_pieces, joined_spans, pieces, placed
 
 
@@ -67,7 +68,7 @@ def scan_versions(versions: DataFrame, ledger: DataFrame | None = None, findings
 
     ledger: (blob, rule, version) of earlier runs, findings: their FINDING rows.  Append the third result and the new findings to both.
     """
-    paths = versions.withColumn("blob", blob_address()).select(*(f"`{c}`" for c in versions.columns if c not in ("text", "blob")), "blob")
+    paths = versions.withColumn("blob", blob_address()).select(*(f"`{c}`" for c in versions.columns if c not in ("text", "blob", "spans")), "blob")
     names = F.array(*(F.lit(r.name) for r in rules))
     # one text of each blob; equal texts meet in the partial aggregation of their own task first
     texts = versions.select(blob_address().alias("blob"), F.coalesce("text", F.lit("")).alias("text")).dropDuplicates(["blob"])
@@ -91,7 +92,8 @@ def findings_by_path(paths: DataFrame, findings: DataFrame, rules: tuple[Rule, .
     order = F.element_at(F.create_map(*(F.lit(x) for r in rules for x in (r.name, r.order))), F.col("rule"))
     # a blob has no more findings than its text has words
     per_blob = findings.groupBy("blob").agg(F.array_sort(F.collect_list(F.struct("start", order.alias("order"), F.col("rule").alias("kind"), "end"))).alias("spans"))
-    joined = paths.join(per_blob.withColumnRenamed("blob", "_blob"), F.col("blob") == F.col("_blob"), "left").drop("_blob")
+    # a blob may have any number of paths
+    joined = joined_to_key(paths, "blob", per_blob)
     return joined.withColumn("spans", F.coalesce("spans", F.array().cast("array<struct<start:bigint,order:int,kind:string,end:bigint>>")))
 
 
