@@ -30,7 +30,7 @@ LEAST_SHARE = 0.3
 _SYMBOLS = np.zeros(256, dtype=bool)
 _SYMBOLS[np.frombuffer(b"#*$%&|<>", dtype=np.uint8)] = True
 
-STATS = "_id long, _host string, _text_hash long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, _lines array<long>, _line_words array<int>"
+STATS = "_id long, _host string, _text_hash long, _row long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, _lines array<long>, _line_words array<int>"
 
 
 def repeated(keys: np.ndarray) -> np.ndarray:
@@ -48,7 +48,7 @@ def line_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, head: np
 
 
 def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(_id, _host, _text_hash, text) to STATS."""
+    """(_id, _host, _text_hash, _row, text) to STATS."""
     for rows, data, offsets in text_slices(batches):
         n = rows.num_rows
         starts, ends, first = find_words(data, offsets)
@@ -87,10 +87,10 @@ def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lists = pa.array(np.searchsorted(r[at], np.arange(n + 1)), pa.int32())
         yield pa.RecordBatch.from_arrays(
             [
-                *rows.columns[:3], pa.array(np.diff(first)), pa.array(word_chars), pa.array(np.diff(symbols[offsets])), pa.array(np.diff(lines_in) - distinct), pa.array(repeats),
+                *rows.columns[:4], pa.array(np.diff(first)), pa.array(word_chars), pa.array(np.diff(symbols[offsets])), pa.array(np.diff(lines_in) - distinct), pa.array(repeats),
                 pa.ListArray.from_arrays(lists, pa.array(h[at])), pa.ListArray.from_arrays(lists, pa.array(words.astype(np.int32))),
             ],
-            names=["_id", "_host", "_text_hash", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "_lines", "_line_words"],
+            names=["_id", "_host", "_text_hash", "_row", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "_lines", "_line_words"],
         )
 
 
@@ -116,8 +116,9 @@ def clean_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def judge_quality(docs: DataFrame, host: str = "source", min_texts: int = MIN_TEXTS, share: float = SHARE_OF_HOST, least_words: int = LEAST_WORDS, least_share: float = LEAST_SHARE) -> DataFrame:
     """doc_id, text_hash, host, the measures, base_failed, n_removed_words, kept, removed_lines (hashes, or null): a row for each row of docs."""
-    given = docs.select(F.col("doc_id").cast("long").alias("_id"), F.col(f"`{host}`").cast("string").alias("_host"), F.xxhash64("text").alias("_text_hash"), "text")
-    stats = cut_lineage(given.mapInArrow(measure, STATS)).withColumn("_row", F.monotonically_increasing_id())
+    given = docs.select(F.col("doc_id").cast("long").alias("_id"), F.col(f"`{host}`").cast("string").alias("_host"), F.xxhash64("text").alias("_text_hash"), F.monotonically_increasing_id().alias("_row"), "text")
+    # the written table fixes the row numbers
+    stats = cut_lineage(given.mapInArrow(measure, STATS))
 
     texts = stats.select("_host", "_text_hash", "_lines").dropDuplicates(["_host", "_text_hash"])
     hosts = texts.groupBy("_host").agg(F.count("*").alias("_texts"))
