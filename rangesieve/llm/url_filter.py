@@ -6,7 +6,7 @@ PageRanks over the host graph, iterated together until they stand still.  A host
 is blocked if distrust makes up most of what has reached it; a host that neither reaches is allowed.
 
 Defined results: a null url, or one without "://", has empty host and path, fits no rule and is judged as the empty host; null html
-has no links; links without "://" lead to the page's own host and aren't edges; repeated pages and links count each; rules of
+has no links; links that begin with "//" lead to the host that they name; others without "://" lead to the page's own host and aren't edges; repeated pages and links count each; rules of
 equal length are tried in text order; an empty table gives an empty result; further columns pass through unless an output column
 has their name.
 """
@@ -51,7 +51,8 @@ def rule_for(host: Column, path: Column, rules: tuple[tuple[str, str], ...] = RU
 def host_edges(pages: DataFrame) -> DataFrame:
     """(src, dst, n): links between different hosts, counted before they travel."""
     links = F.regexp_extract_all("html", F.lit("(?i)<a\\s[^>]*?href\\s*=\\s*[\"']?([^\"'\\s>]+)"), F.lit(1))
-    far = pages.select(host_of(F.col("url")).alias("src"), F.explode(F.filter(links, lambda u: F.contains(u, F.lit("://")))).alias("u"))
+    whole = F.transform(links, lambda u: F.when(F.startswith(u, F.lit("//")), F.concat(F.lit("http:"), u)).otherwise(u))
+    far = pages.select(host_of(F.col("url")).alias("src"), F.explode(F.filter(whole, lambda u: F.contains(u, F.lit("://")))).alias("u"))
     return far.select("src", host_of(F.col("u")).alias("dst")).where("src <> dst").groupBy("src", "dst").agg(F.count("*").alias("n"))
 
 
