@@ -4,6 +4,8 @@ The rows are dealt into ranges of the key, every range reports one total, the to
 a running sum inside each range adds the rest.  A row belongs to the shard in which the middle of its bytes falls, so
 every shard misses its equal target by less than one row at each end.
 
+The ranges are cut at rows of a sample, so that a key that many rows share is cut too; they only balance the tasks.
+
 Defined results: a null text has size 1; null keys come first; repeated rows each get a slot of their own; ties of
 the key are ordered by size and then by a hash of the row; an empty table gives an empty result; further columns pass
 through, and input columns named like an output column are replaced.
@@ -13,6 +15,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import cut_lineage, shuffle_width, table
 
@@ -37,13 +40,20 @@ def shard_by_bytes(docs: DataFrame, n_shards: int = 8, key: str = "doc_id", size
     sized = docs.select(*(F.col(f"`{c}`") for c in names), size.alias("size")).withColumn("_tie", F.xxhash64(F.col(f"`{key}`"), "size", *plain))
     light = cut_lineage(sized.select(F.col(f"`{key}`").alias("_key"), "size", "_tie"))
 
-    cuts = light.agg(F.percentile_approx("_key", [i / ranges for i in range(1, ranges)], 20 * ranges).alias("c")).first()["c"] or []
-    bounds = F.array(*map(F.lit, sorted(set(cuts)))) if cuts else F.array().cast("array<long>")
+    place = F.struct("_key", "size", "_tie")
+    rows = light.count()
+    # some 20 rows for each range
+    drawn = light.sample(fraction=min(1.0, 20 * ranges / max(rows, 1)), seed=11) if rows > 20 * ranges else light
+    kind = light.select(place.alias("p")).schema["p"].dataType
+    held = drawn.agg(F.array_sort(F.collect_list(place)).alias("all")).select(F.filter("all", lambda _, i: i % F.greatest(F.lit(1), F.floor(F.size("all") / ranges)) == 0).alias("b")).select(F.size("b").alias("n"), F.to_json("b").alias("b")).first()
+    bounds = F.from_json(F.lit(held["b"] or "[]"), T.ArrayType(kind))
 
     def dealt(df: DataFrame, by: str) -> DataFrame:
-        k = F.col(f"`{by}`")
-        nearest = F.size(F.filter(bounds, lambda b: b < k))
-        return df.withColumn("_range", F.when(k.isNull(), -1).otherwise(nearest).cast("int"))
+        at = F.struct(F.col(f"`{by}`").alias("_key"), "size", "_tie")
+        # how many bounds lie before the row, bit by bit
+        steps = F.array(*(F.lit(1 << s) for s in reversed(range(held["n"].bit_length() or 1))))
+        before = F.aggregate(steps, F.lit(0), lambda p, s: F.when((p + s <= held["n"]) & (F.get(bounds, p + s - 1) < at), p + s).otherwise(p))
+        return df.withColumn("_range", before.cast("int"))
 
     totals = dealt(light, "_key").groupBy("_range").agg(F.sum("size").alias("_bytes"))
     before = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
