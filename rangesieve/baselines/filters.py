@@ -1,6 +1,7 @@
 """The comparison filters, each as rows that Spark joins: build(keys), probe(queries), size in bits.
 
-All are one-sided.  Hashes are md5 prefixes, so that SQL can replay them.  A probe returns (query_id, positive).
+All are one-sided.  Hashes are md5 prefixes, so that SQL can replay them.  A probe returns (query_id, positive).  Rows that several keys
+share carry the number of these keys, so that deleting one of them leaves the row to the others; bits() counts what is stored.
 """
 
 from __future__ import annotations
@@ -41,6 +42,28 @@ def _verdict(queries: DataFrame, hits: DataFrame) -> DataFrame:
     return queries.select("query_id").join(found, "query_id", "left").select("query_id", F.coalesce("_hit", F.lit(False)).alias("positive"))
 
 
+#: Prefixes that a probe looks up for one range; a range with more is answered positive, as a filter may.
+CAP = 64
+
+
+def counted(df: DataFrame) -> DataFrame:
+    """The distinct rows of df with the number of copies."""
+    return df.groupBy(*df.columns).agg(F.count("*").alias("copies"))
+
+
+def changed(rows: DataFrame, df: DataFrame, sign: int) -> DataFrame:
+    """Counted rows after the rows of df have come (sign 1) or gone (sign -1)."""
+    columns = [c for c in rows.columns if c != "copies"]
+    step = counted(df.select(*columns)).withColumn("copies", sign * F.col("copies"))
+    return rows.select(*columns, "copies").unionByName(step).groupBy(*columns).agg(F.sum("copies").alias("copies")).where("copies > 0")
+
+
+def set_bits(rows: DataFrame, universe: int) -> int:
+    """Bits of a sorted list of the counted rows' places below `universe`: two and the spare low bits for each."""
+    n = rows.agg(F.coalesce(F.sum("copies"), F.lit(0))).first()[0]
+    return int(n * (2 + max(0, math.ceil(math.log2(max(1.0, universe / max(n, 1)))))))
+
+
 @dataclass
 class RowFilter:
     """Base of filters whose content is one table of rows."""
@@ -94,8 +117,14 @@ class TruncatedTrie(RowFilter):
     """Shortest distinguishing prefixes, each with up to m more real bits, or m hashed bits that refine points only."""
 
     @classmethod
-    def build(cls, keys: DataFrame, m: int = 0, suffix: str = "real", bounds: list | None = None) -> TruncatedTrie:
+    def build(cls, keys: DataFrame, m: int | None = 0, suffix: str = "real", bounds: list | None = None, bpk: float | None = None) -> TruncatedTrie:
+        """With bpk, m is what the budget leaves beside the trie; if that is less than nothing, the filter is infeasible."""
         bounds = shard_bounds(keys) if bounds is None else bounds
+        if bpk is not None:
+            bare = cls.build(keys, 0, "real", bounds)
+            m = math.floor(bpk - bare.bits() / max(1, bare.n))
+            if m < 0:
+                raise Infeasible(f"{bare.bits() / bare.n:.1f} bits per key are the least")
         dealt = keys.withColumn("_s", shard_of(F.col("key"), bounds))
         edges = dealt.groupBy("_s").agg(F.min("key").alias("_a"), F.max("key").alias("_b"))
         w = Window.orderBy("_s")
@@ -120,13 +149,16 @@ class TruncatedTrie(RowFilter):
         return near.select("query_id", F.coalesce(hit, F.lit(False)).alias("positive"))
 
     def bits(self) -> int:
-        inner = self.rows.select(F.explode(F.sequence(F.lit(0), F.col("depth") - 1)).alias("d"), "lo").select("d", shift_right(F.col("lo"), WIDTH - F.col("d")).alias("p")).distinct().count()
-        return int(10 * self.n + 10 * max(0, inner - self.n) * 0.125 + self.options["m"] * self.n)
+        """Ten for each leaf and each inner node of the byte trie, and the suffix bits."""
+        steps = F.sequence(F.lit(0), F.floor((F.col("depth") - self.options["m"] * F.lit(self.options["suffix"] == "real").cast("int") - 1) / 8).cast("int"))
+        inner = self.rows.select(F.explode(steps).alias("d"), "lo").where("d >= 0").select("d", shift_right(F.col("lo"), WIDTH - 8 * F.col("d")).alias("p")).distinct().count()
+        return 10 * (self.n + inner) + self.options["m"] * self.n
 
 
-def dyadic_cover(lo: str, hi: str, levels: int) -> Column:
-    """The level-`levels` prefixes that [lo, hi] meets; finer levels are checked where the coarse ones hit."""
-    return F.sequence(shift_right(F.col(lo), F.lit(levels)), shift_right(F.col(hi), F.lit(levels)))
+def coarse_prefixes(queries: DataFrame, levels: int) -> DataFrame:
+    """(query_id, lo, hi, prefix): the level-`levels` prefixes that a range meets, where these are few; finer levels are checked where they hit."""
+    first, last = (shift_right(F.col(c), F.lit(levels)) for c in ("lo", "hi"))
+    return queries.where(last - first < CAP).select("query_id", "lo", "hi", F.explode(F.sequence(first, last)).alias("prefix"))
 
 
 class DyadicBloom(RowFilter):
@@ -155,7 +187,8 @@ class DyadicBloom(RowFilter):
 
     def probe(self, queries: DataFrame) -> DataFrame:
         levels, k = self.options["levels"], self.options["hashes"]
-        now = queries.select("query_id", "lo", "hi", F.explode(dyadic_cover("lo", "hi", levels)).alias("prefix"))
+        wide = queries.where(shift_right(F.col("hi"), F.lit(levels)) - shift_right(F.col("lo"), F.lit(levels)) >= CAP).select("query_id")
+        now = coarse_prefixes(queries, levels)
         for level in range(levels, -1, -1):
             asked = now.select("query_id", "lo", "hi", "prefix", self._bitmap(F.lit(level)).alias("bitmap"), F.explode(self._places(F.lit(level), F.col("prefix"))).alias("place"))
             hits = asked.join(self.rows, ["bitmap", "place"], "left_semi").groupBy("query_id", "lo", "hi", "prefix").agg(F.count("*").alias("c"))
@@ -163,7 +196,7 @@ class DyadicBloom(RowFilter):
             if level:
                 children = F.sequence(F.greatest(F.col("prefix") * 2, shift_right(F.col("lo"), F.lit(level - 1))), F.least(F.col("prefix") * 2 + 1, shift_right(F.col("hi"), F.lit(level - 1))))
                 now = now.select("query_id", "lo", "hi", F.explode(children).alias("prefix"))
-        return _verdict(queries, now)
+        return _verdict(queries, now.select("query_id").union(wide))
 
     def bits(self) -> int:
         o = self.options
@@ -217,7 +250,7 @@ class TunedTrieBloom(RowFilter):
         spread = asked.select("query_id", "p", F.explode(F.array(*(salted(f"fine{i}", F.col("p")) % size for i in range(k)))).alias("place"))
         hits = spread.join(self.rows, "place", "left_semi").groupBy("query_id", "p").agg(F.count("*").alias("c")).where(F.col("c") == k)
         # a range of more than `cap` fine prefixes is answered by the coarse ones
-        coarse = wide.select("query_id", F.explode(F.sequence(shift_right(F.col("lo"), F.lit(WIDTH - d1)), shift_right(F.col("hi"), F.lit(WIDTH - d1)))).alias("p")).join(self.top, F.col("p") == F.col("prefix"), "left_semi")
+        coarse = range_is_empty(wide.select("query_id", *(shift_right(F.col(c), F.lit(WIDTH - d1)).alias(c) for c in ("lo", "hi"))), self.top.select(F.col("prefix").alias("key"))).where("not empty")
         return _verdict(queries, hits.select("query_id").union(coarse.select("query_id")))
 
     def bits(self) -> int:
@@ -244,7 +277,8 @@ class SplineBitmap(RowFilter):
         segments = segments.select("x", "rank", F.coalesce("n.x", F.col("x") + 1).alias("x2"), F.coalesce("n.rank", F.col("rank")).alias("rank2"))
         out = cls(segments, n, {"scale": scale, "bounds": bounds, "bpk": bpk, "per_knot": per_knot})
         out.segments = segments
-        out.rows = out._place(keys.select(F.col("key").alias("query_id"), "key"), "key").select(F.col("place").alias("key")).distinct()
+        out.options["last"] = last
+        out.rows = counted(out._places(keys))
         out.gaps = None
         if gaps:
             from ..plans.metrics import gaps as widest
@@ -252,6 +286,9 @@ class SplineBitmap(RowFilter):
             out.gaps = widest(keys, bounds).orderBy(F.desc("width"), "after").limit(gaps)
         return out
 
+    def _places(self, keys: DataFrame) -> DataFrame:
+        return self._place(keys.select(F.col("key").alias("query_id"), "key"), "key").select(F.col("place").alias("key"))
+
     def _place(self, df: DataFrame, at: str) -> DataFrame:
         """df with the position of `at`, by integer interpolation; below the first key -1."""
         near = predecessors(df, at, self.segments, "x", ["rank", "x2", "rank2"], self.options["bounds"])
@@ -274,18 +311,19 @@ class SplineBitmap(RowFilter):
 
     def insert(self, df: DataFrame) -> SplineBitmap:
         """New positions under the old map: the model isn't fitted again."""
-        out = SplineBitmap(self.rows.union(self._place(df.select(F.col("key").alias("query_id"), "key"), "key").select(F.col("place").alias("key"))).distinct(), self.n, self.options)
+        out = SplineBitmap(changed(self.rows, self._places(df), 1), self.n, self.options)
         out.segments, out.gaps = self.segments, None
         return out
 
     def delete(self, df: DataFrame) -> SplineBitmap:
-        gone = self._place(df.select(F.col("key").alias("query_id"), "key"), "key").select(F.col("place").alias("key"))
-        out = SplineBitmap(self.rows.join(gone, "key", "left_anti"), self.n, self.options)
+        out = SplineBitmap(changed(self.rows, self._places(df), -1), self.n, self.options)
         out.segments, out.gaps = self.segments, self.gaps
         return out
 
     def bits(self) -> int:
-        return int(self.n * self.options["bpk"])
+        """The positions, and two numbers for each knot and each listed gap."""
+        pairs = self.segments.count() + (self.gaps.count() if self.gaps is not None else 0)
+        return set_bits(self.rows, (self.options["last"] + 1) * self.options["scale"]) + 128 * pairs
 
 
 class PrunedSplineBitmap(SplineBitmap):
@@ -309,7 +347,7 @@ class LocalHashSet(RowFilter):
     def build(cls, keys: DataFrame, bpk: float = 16, length: int = 1024) -> LocalHashSet:
         n = keys.count()
         ring = max(2, int(n * 2 ** max(1, bpk - 2)))
-        codes = keys.select(cls._code(F.col("key"), ring).alias("key")).distinct()
+        codes = counted(keys.select(cls._code(F.col("key"), ring).alias("key")))
         return cls(codes, n, {"ring": ring, "bpk": bpk})
 
     @staticmethod
@@ -329,7 +367,7 @@ class LocalHashSet(RowFilter):
         return _verdict(queries, hit.union(long))
 
     def bits(self) -> int:
-        return int(self.n * self.options["bpk"])
+        return set_bits(self.rows.withColumn("copies", F.lit(1)), self.options["ring"])
 
 
 class PrefixSuffixTable(RowFilter):
@@ -338,15 +376,19 @@ class PrefixSuffixTable(RowFilter):
     EXTRA = 0
 
     @classmethod
-    def build(cls, keys: DataFrame, bpk: float = 16, length: int = 1024, load: float = 0.95) -> PrefixSuffixTable:
+    def build(cls, keys: DataFrame, bpk: float = 16, length: int = 128, load: float = 0.95) -> PrefixSuffixTable:
         n, s = keys.count(), max(0, math.ceil(math.log2(length)))
         width = math.floor(bpk * load - 3.125 - cls.EXTRA) - s
         # fingerprints address a table of n places, so their length counts on top of log2 n
         a = max(1, math.ceil(math.log2(max(2, n))) + max(0, width))
-        out = cls(keys, n, {"s": s, "a": min(a, 59), "bpk": bpk})
-        out.rows = keys.select(out._finger(shift_right(F.col("key"), F.lit(s))).alias("f"), F.col("key").bitwiseAND(F.lit((1 << s) - 1)).alias("suffix")).distinct()
+        out = cls(keys, n, {"s": s, "a": min(a, 59), "width": max(0, width), "load": load})
+        out.rows = counted(out._rows(keys))
         return out
 
+    def _rows(self, keys: DataFrame) -> DataFrame:
+        s = self.options["s"]
+        return keys.select(self._finger(shift_right(F.col("key"), F.lit(s))).alias("f"), F.col("key").bitwiseAND(F.lit((1 << s) - 1)).alias("suffix"))
+
     def _finger(self, prefix: Column) -> Column:
         return salted("prefix", prefix) % (1 << self.options["a"])
 
@@ -362,17 +404,22 @@ class PrefixSuffixTable(RowFilter):
         return _verdict(queries, hit.union(long))
 
     def insert(self, df: DataFrame) -> PrefixSuffixTable:
-        s = self.options["s"]
-        more = df.select(self._finger(shift_right(F.col("key"), F.lit(s))).alias("f"), F.col("key").bitwiseAND(F.lit((1 << s) - 1)).alias("suffix"))
-        return type(self)(self.rows.union(more).distinct(), self.n, self.options)
+        return type(self)(changed(self.rows, self._rows(df), 1), self.n, self.options)
 
     def delete(self, df: DataFrame) -> PrefixSuffixTable:
-        s = self.options["s"]
-        gone = df.select(self._finger(shift_right(F.col("key"), F.lit(s))).alias("f"), F.col("key").bitwiseAND(F.lit((1 << s) - 1)).alias("suffix"))
-        return type(self)(self.rows.join(gone, ["f", "suffix"], "left_anti"), self.n, self.options)
+        return type(self)(changed(self.rows, self._rows(df), -1), self.n, self.options)
+
+    def doubled(self, keys: DataFrame) -> PrefixSuffixTable:
+        """A table of twice the places for the same keys: fingerprints address one bit more, the rate per place stays."""
+        out = type(self)(keys, 2 * self.n, self.options | {"a": min(self.options["a"] + 1, 59)})
+        out.rows = counted(out._rows(keys))
+        return out
 
     def bits(self) -> int:
-        return int(self.n * self.options["bpk"])
+        """Each key's remainder of the fingerprint, its suffix and the table's marks, at the table's load."""
+        o = self.options
+        n = self.rows.agg(F.coalesce(F.sum("copies"), F.lit(0))).first()[0]
+        return int(n * (o["width"] + o["s"] + 3.125 + self.EXTRA) / o["load"])
 
 
 class PrefixSuffixTableExtraBit(PrefixSuffixTable):
@@ -409,7 +456,7 @@ class PointCuckoo(PointBloom):
         n = keys.count()
         buckets, f = max(1, math.ceil(n / (4 * 0.95))), max(2, math.floor(bpk * 0.95))
         out = cls(keys, n, {"buckets": buckets, "f": f})
-        out.rows = keys.select(salted("bucket", F.col("key")).alias("h"), out._finger(F.col("key")).alias("f")).select((F.col("h") % buckets).alias("b"), "f").distinct()
+        out.rows = counted(keys.select(salted("bucket", F.col("key")).alias("h"), out._finger(F.col("key")).alias("f")).select((F.col("h") % buckets).alias("b"), "f"))
         return out
 
     def _finger(self, key: Column) -> Column:
@@ -452,6 +499,9 @@ class HybridFilter:
             a = a.join(other, "query_id").select("query_id", (F.col("positive") & F.col("_p")).alias("positive"))
         return a.union(b)
 
+    def bits(self) -> int:
+        return self.short.bits() + self.base.bits().agg(F.sum("bits")).first()[0]
+
 
 CLASSES = {
     "base_truncated_trie": TruncatedTrie, "base_dyadic_bloom": DyadicBloom, "base_shared_bitmap": SharedDyadicBitmap, "base_prefix_hash_bitmap": PrefixHashBitmap,

@@ -7,15 +7,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .baselines import filters as baselines
 from .functions import geometry as g
 from .functions import theory
 from .functions.entropy import Codebook, bisection_codes, compression_ratio, entropy_bits, symbol_counts
-from .operators.anchors import pick_anchors, prepare_keys, range_is_empty, shard_bounds, with_rank
+from .operators.anchors import pick_anchors, prepare_keys, range_is_empty, rank_keys, shard_bounds
 from .operators.base import BaseFilter
 from .operators.dynamic import DynamicFilter
 from .operators.enhanced import EnhancedFilter
 from .plans import duck, metrics
+from .plans.lineage import written
 from .sources import keysets as k
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -86,7 +86,7 @@ def _built(spark: SparkSession, d: str, name: str = "clustered", t: int = T, r:
 @register("anchors_every_t", duck.keys_with("clustered", "SELECT anchor_no, key, is_sentinel FROM anchors"))
 def _anchors(spark: SparkSession, d: str) -> DataFrame:
     keys = prepare_keys(k.integer_keys(spark, d, "clustered"))
-    return pick_anchors(with_rank(keys), T)
+    return pick_anchors(rank_keys(keys), T)
 
 
 @register("block_geometry", duck.keys_with("clustered", "SELECT block_id, pred, succ, shared, redundant FROM blocks"))
@@ -134,7 +134,7 @@ def _bins(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _judged(spark: SparkSession, d: str, name: str, kind: str, length: int, t: int = T, r: int = R) -> DataFrame:
-    keys, asked = k.range_queries(k.integer_keys(spark, d, name).persist(), kind, length)
+    keys, asked = k.range_queries(written(k.integer_keys(spark, d, name)), kind, length)
     f = BaseFilter.build(keys, t=t, eps=2.0 / 2**r, sorted_input=True)
     return range_is_empty(asked, keys, f.bounds).join(f.probe(asked), "query_id")
 
@@ -170,10 +170,10 @@ def _fpr_by_bpk(spark: SparkSession, d: str) -> DataFrame:
     return parts[0].union(parts[1]).union(parts[2]).union(parts[3])
 
 
-@register("fpr_by_t", _union_sql([("", duck.verdicts_with("skewed", "held_out", 1 << 10, f"SELECT {t}::BIGINT AS t, {duck.COUNTS} FROM verdicts", t=t)) for t in (16, 64, 256)]))
+@register("fpr_by_t", _union_sql([("", duck.verdicts_with("skewed", "held_out", 1 << 10, f"SELECT {t}::BIGINT AS t, {duck.COUNTS} FROM verdicts", t=t)) for t in (16, 64, 256, 1024)]))
 def _fpr_by_t(spark: SparkSession, d: str) -> DataFrame:
-    parts = [metrics.fpr(_judged(spark, d, "skewed", "held_out", 1 << 10, t=t)).select(F.lit(t).cast("long").alias("t"), "*") for t in (16, 64, 256)]
-    return parts[0].union(parts[1]).union(parts[2])
+    parts = [metrics.fpr(_judged(spark, d, "skewed", "held_out", 1 << 10, t=t)).select(F.lit(t).cast("long").alias("t"), "*") for t in (16, 64, 256, 1024)]
+    return parts[0].union(parts[1]).union(parts[2]).union(parts[3])
 
 
 @register("no_false_negatives", duck.verdicts_with("skewed", "non_empty", 1 << 10, "SELECT count(*)::BIGINT AS n_queries, 0::BIGINT AS false_negatives FROM verdicts WHERE NOT empty"))
@@ -208,7 +208,16 @@ def _top_gaps(spark: SparkSession, d: str) -> DataFrame:
 
 # theory
 
-@register("goal_matrix", "SELECT * FROM (VALUES " + ", ".join("(" + ", ".join([f"'{r[0]}'", *(str(x).lower() for x in r[1:])]) + ")" for r in theory.GOALS) + ") AS v(filter, robust, semi_robust, any_length_queries, any_length_keys, dynamic)")
+GOAL_ROWS = """
+SELECT * FROM (VALUES
+  ('truncated_trie', false, false, true, true, false), ('dyadic_bloom', true, true, false, false, false), ('shared_dyadic_bitmap', false, false, false, false, false),
+  ('prefix_hash_bitmap', false, false, false, false, false), ('tuned_trie_bloom', false, false, false, false, false), ('spline_bitmap', false, true, true, false, false),
+  ('pruned_spline_bitmap', false, true, true, false, false), ('local_hash_set', true, true, false, false, false), ('prefix_suffix_table', true, true, false, false, true),
+  ('prefix_suffix_table_extra_bit', true, true, false, false, true), ('base_filter', false, true, true, true, true), ('enhanced_filter', false, true, true, true, true)
+) AS v(filter, robust, semi_robust, any_length_queries, any_length_keys, dynamic)"""
+
+
+@register("goal_matrix", GOAL_ROWS)
 def _goals(spark: SparkSession, d: str) -> DataFrame:
     return metrics.goal_matrix(spark)
 
@@ -319,24 +328,5 @@ def _lengths(spark: SparkSession, d: str) -> DataFrame:
     return _grown(spark, d)[0].lengths()
 
 
-# the comparison filters: counts on empty ranges, and no false negatives on the others
-
-for _name, _cls in (baselines.CLASSES | {"exact": baselines.ExactRange, "no_filter": baselines.NoFilter, "hybrid_probe": baselines.HybridFilter}).items():
-
-    @register(_name)
-    def _baseline(spark: SparkSession, d: str, cls: type = _cls) -> DataFrame:
-        keys, asked = k.range_queries(k.integer_keys(spark, d, "skewed").persist(), "mixed", 1 << 7)
-        return metrics.fpr(range_is_empty(asked, keys).join(cls.build(keys).probe(asked), "query_id"))
-
-
-@register("base_tuned_trie_bloom")
-def _tuned(spark: SparkSession, d: str) -> DataFrame:
-    """Tuned on ranges near keys, asked there and, as a shift, anywhere."""
-    keys, sample = k.range_queries(k.integer_keys(spark, d, "normal"), "same_dist", 1 << 7)
-    f = baselines.TunedTrieBloom.build(keys, sample=sample)
-    out = None
-    for kind in ("same_dist", "uniform_ends"):
-        asked = k.range_queries(k.integer_keys(spark, d, "normal"), kind, 1 << 7)[1]
-        part = metrics.fpr(range_is_empty(asked, keys).join(f.probe(asked), "query_id")).select(F.lit(kind).alias("kind"), "*")
-        out = part if out is None else out.union(part)
-    return out
+# the comparison filters and the generic operators register themselves
+from . import contests as _contests  # noqa: E402, F401

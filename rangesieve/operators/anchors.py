@@ -1,32 +1,51 @@
 """Sorted ranks, anchors and the predecessor joins that route queries to blocks, all without a global sort in one task.
 
-Keys are dealt into shards by a few bounds, each shard is ranked on its own, and shard counts give the offsets.  The same shards route
-queries: a query meets the anchors of its shard, and the last anchor of the shards before comes from a table with one row for
-each shard.
+Keys are dealt into ranges and sorted once; a row's place in its range and the counts of the ranges before give its rank, and the sorted
+table is written, so that nothing sorts again.  The same ranges, the shards, route queries: a query meets the anchors of its shard, and the
+last anchor of the shards before comes from a table with one row for each shard.  Their number follows from the number of keys.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Shards that a key set is dealt into unless told otherwise; rows in the directory, and leaves of the search over the bounds.
-SHARDS = 16
+from ..plans.lineage import written
+
+#: Keys of a shard: at most the first, and not fewer than the second only to occupy more tasks.
+SHARD_KEYS, SMALL_SHARD = 1 << 21, 1 << 14
+#: Bounds that one expression searches as nested conditions; more are searched in an array.
+NESTED = 64
+
 
+def shard_count(n: int, tasks: int = 8) -> int:
+    return max(1, -(-n // SHARD_KEYS), min(tasks, n // SMALL_SHARD))
 
-def shard_bounds(keys: DataFrame, key: str = "key", shards: int = SHARDS) -> list:
-    """Up to `shards` - 1 keys that cut the key set into parts of similar size."""
+
+def shard_bounds(keys: DataFrame, key: str = "key", shards: int | None = None) -> list:
+    """Keys that cut the key set into parts of similar size, `shards` or as many as its size asks for."""
+    tasks = keys.sparkSession.sparkContext.defaultParallelism
     if dict(keys.dtypes)[key] in ("bigint", "int", "double"):
-        cut = F.percentile_approx(key, [i / shards for i in range(1, shards)], 100 * shards)
-        return sorted(set(keys.agg(cut.alias("c")).first()["c"] or []))
+        at = lambda k: F.percentile_approx(key, [i / k for i in range(1, k)], 100 * k).alias("c")
+        first = shards or max(2, tasks)
+        r = keys.agg(F.count(key).alias("n"), at(first) if first > 1 else F.lit(None).alias("c")).first()
+        wanted = shards or shard_count(r["n"], tasks)
+        cut = r["c"] if wanted == first else keys.agg(at(wanted)).first()["c"] if wanted > 1 else []
+        return sorted(set(cut or []))
     # byte strings have no quantiles: equal steps through a bounded sample, the keys of smallest hash
-    sample = sorted(r[0] for r in keys.select(key).orderBy(F.xxhash64(key), key).limit(50 * shards).collect())
-    step = max(1, len(sample) // shards)
+    wanted = shards or shard_count(keys.count(), tasks)
+    sample = sorted(r[0] for r in keys.select(key).orderBy(F.xxhash64(key), key).limit(50 * wanted).collect())
+    step = max(1, len(sample) // wanted)
     return [bytes(b) if isinstance(b, bytearray) else b for b in sorted(set(sample[step::step]))]
 
 
 def shard_of(x: Column, bounds: list) -> Column:
-    """How many bounds are at most x, by binary search as one expression."""
+    """How many bounds are at most x, by binary search."""
+    if len(bounds) > NESTED:
+        all_bounds, steps = F.array(*map(F.lit, bounds)), F.array(*(F.lit(1 << s) for s in reversed(range(len(bounds).bit_length()))))
+        return F.aggregate(steps, F.lit(0), lambda p, s: F.when((p + s <= len(bounds)) & (F.get(all_bounds, p + s - 1) <= x), p + s).otherwise(p))
 
     def search(lo: int, hi: int) -> Column:
         if lo == hi:
@@ -37,14 +56,34 @@ def shard_of(x: Column, bounds: list) -> Column:
     return search(0, len(bounds)).cast("int")
 
 
-def with_rank(keys: DataFrame, key: str = "key", bounds: list | None = None) -> DataFrame:
-    """keys with shard and rank 0..N-1 in key order."""
-    bounds = shard_bounds(keys, key) if bounds is None else bounds
-    dealt = keys.withColumn("shard", shard_of(F.col(key), bounds))
-    counts = dealt.groupBy("shard").agg(F.count("*").alias("_n"))
-    offsets = counts.select("shard", F.coalesce(F.sum("_n").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+@dataclass
+class Ranked:
+    """rows: the keys with shard and rank 0..n-1 in key order, as a written table; bounds: the first key of each shard but the first."""
+
+    rows: DataFrame
+    bounds: list
+    n: int
+
+
+def rank_keys(keys: DataFrame, key: str = "key") -> Ranked:
+    """One exchange by range, one sort and one write; a row's place in its task is the low part of its running number."""
+    shards = shard_count(keys.count(), keys.sparkSession.sparkContext.defaultParallelism)
+    ordered = keys.repartitionByRange(shards, key).sortWithinPartitions(key).withColumn("_m", F.monotonically_increasing_id())
+    table = written(ordered.select("*", F.shiftright("_m", 33).cast("int").alias("shard")).withColumn("_at", F.col("_m").bitwiseAND(F.lit((1 << 33) - 1))).drop("_m"))
     # one row for each shard
-    return dealt.join(F.broadcast(offsets), "shard").withColumn("rank", (F.col("_before") + F.row_number().over(Window.partitionBy("shard").orderBy(key)) - 1).cast("long")).drop("_before")
+    parts = sorted(table.groupBy("shard").agg(F.count("*").alias("n"), F.min(key).alias("first")).collect(), key=lambda r: r["shard"])
+    offset, total = {}, 0
+    for r in parts:
+        offset[r["shard"]] = total
+        total += r["n"]
+    before = F.get(F.array(*(F.lit(offset.get(s, 0)).cast("long") for s in range(shards))), F.col("shard"))
+    firsts = [bytes(r["first"]) if isinstance(r["first"], bytearray) else r["first"] for r in parts[1:]]
+    return Ranked(table.withColumn("rank", F.col("_at") + before).drop("_at"), firsts, total)
+
+
+def with_rank(keys: DataFrame, key: str = "key") -> DataFrame:
+    """keys with shard and rank 0..N-1 in key order."""
+    return rank_keys(keys, key).rows
 
 
 def prepare_keys(df: DataFrame, key: str = "key", sorted_input: bool = False) -> DataFrame:
@@ -53,12 +92,9 @@ def prepare_keys(df: DataFrame, key: str = "key", sorted_input: bool = False) ->
     return only if sorted_input else only.where("key IS NOT NULL").distinct()
 
 
-def pick_anchors(ranked: DataFrame, t: int) -> DataFrame:
+def pick_anchors(ranked: Ranked, t: int) -> DataFrame:
     """(anchor_no, key, is_sentinel): every t-th key, and the greatest key as closing anchor where it isn't one."""
-    last = ranked.agg(F.max("rank").alias("_last"))
-    closing = F.col("rank") == F.col("_last")
-    # one row
-    picked = ranked.join(F.broadcast(last)).where((F.col("rank") % t == 0) | closing)
+    picked = ranked.rows.where((F.col("rank") % t == 0) | (F.col("rank") == ranked.n - 1))
     return picked.select(F.ceil(F.col("rank") / t).cast("long").alias("anchor_no"), "key", (F.col("rank") % t != 0).alias("is_sentinel"))
 
 

@@ -12,7 +12,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geometry as g
-from .anchors import block_bounds, pick_anchors, predecessors, prepare_keys, shard_bounds, with_rank
+from ..plans.lineage import written
+from .anchors import block_bounds, pick_anchors, predecessors, prepare_keys, rank_keys
 from .blocks import Block
 
 PACKED = "block_id long, pred long, succ long, shared int, redundant int, q_base long, q_count int, n_keys int, occupieds binary, runends binary, slots binary"
@@ -44,13 +45,12 @@ class BaseFilter:
             keys = keys.select(F.col("key").cast("binary").alias("key"))
         eps = g.eps_for_bpk(16 if bpk is None else bpk, key_bits, t) if eps is None else eps
         r = g.remainder_len(eps)
-        bounds = shard_bounds(keys)
-        ranked = with_rank(keys, "key", bounds)
+        ranked = rank_keys(keys)
         anchors = pick_anchors(ranked, t)
         # one row in t keys, used by routing, infixes and packing alike
-        blocks = cls._geometry(block_bounds(anchors, bounds), binary, drop_redundant).persist()
-        inner = ranked.where(F.col("rank") % t != 0).select(F.floor(F.col("rank") / t).cast("long").alias("block_id"), "key").join(blocks, "block_id").where("key < succ")
-        out = cls(anchors, blocks, df, bounds, t, r, drop_redundant, binary)
+        blocks = written(cls._geometry(block_bounds(anchors, ranked.bounds), binary, drop_redundant))
+        inner = ranked.rows.where(F.col("rank") % t != 0).select(F.floor(F.col("rank") / t).cast("long").alias("block_id"), "key").join(blocks, "block_id").where("key < succ")
+        out = cls(anchors, blocks, df, ranked.bounds, t, r, drop_redundant, binary)
         out.keyed = inner.select("block_id", "key", "shared", "redundant", out._infix(F.col("key")).alias("infix"))
         out.infixes = out.keyed.select("block_id", "infix")
         return out
@@ -110,7 +110,9 @@ class BaseFilter:
 
     def bits(self) -> DataFrame:
         """(component, bits): anchors with their metadata, occupieds, runends, slots."""
-        p = self.packed().agg(F.coalesce(F.sum("q_count"), F.lit(0)).alias("occupieds"), F.coalesce(F.sum("n_keys"), F.lit(0)).alias("runends"))
+        span = F.shiftright(self._infix(F.col("succ")), self.r) - F.shiftright(self._infix(F.col("pred")), self.r) + 1
+        # one row on either side
+        p = self.blocks.agg(F.coalesce(F.sum(span), F.lit(0)).alias("occupieds")).join(F.broadcast(self.infixes.agg(F.count("*").alias("runends"))))
         size = F.octet_length("key") * 8 if self.binary else F.lit(64)
         a = self.anchors.agg(F.coalesce(F.sum(size + g.ANCHOR_BITS), F.lit(0)).alias("anchors"))
         return p.join(F.broadcast(a)).select(F.explode(F.array(*(F.struct(F.lit(n).alias("component"), v.cast("long").alias("bits")) for n, v in (("anchors", F.col("anchors")), ("occupieds", F.col("occupieds")), ("runends", F.col("runends")), ("slots", F.col("runends") * self.r))))).alias("e")).select("e.*")

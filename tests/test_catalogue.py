@@ -1,4 +1,4 @@
-from rangesieve import catalogue
+from rangesieve import catalogue, contests
 
 D = "/root/testdata/sf0.001"
 
@@ -30,7 +30,7 @@ def test_tuned_query_searches_the_whole_grid(spark, monkeypatch):
         seen.update(grid=grid, n=sample.count())
         raise Seen
 
-    monkeypatch.setattr(catalogue.baselines.TunedTrieBloom, "build", build)
+    monkeypatch.setattr(contests.baselines.TunedTrieBloom, "build", build)
     try:
         catalogue.queries()["base_tuned_trie_bloom"](spark, D)
     except Seen:
