@@ -36,7 +36,7 @@ LEVELS = 8
 #: A word with more occurrences has its classes dealt over several buckets, and meets them in cells.
 HOT_WORD = 200_000
 #: Prefix words that meet in one exchange bucket; bounds the memory of the task that reads it.
-BUCKET_WORDS = 600_000
+BUCKET_WORDS = 300_000
 #: Prefix words that a task of the exchange gathers before it sends them.
 SEND_WORDS = 1_000_000
 #: Classes of one word that a bucket compares itself; more are a star.
@@ -111,15 +111,24 @@ def list_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     cuts = np.searchsorted(used, np.arange(0, (1 << COUNTER_BITS) + 1, SEGMENT))
     for k in np.flatnonzero(np.diff(cuts)).tolist():
         part = used[cuts[k] : cuts[k + 1]]
-        row = [pa.nulls(1, pa.int64()), *(pa.nulls(1, pa.list_(t)) for t in (pa.int32(), pa.int64(), pa.int64())), pa.array([k], pa.int32()), pa.array([(part % SEGMENT).astype(np.uint16).tobytes()], pa.binary()), pa.array([counters[part].tobytes()], pa.binary())]
+        row = [pa.nulls(1, pa.int64()), *(pa.nulls(1, pa.list_(t)) for t in (pa.int32(), pa.int64(), pa.int64())), pa.array([k], pa.int32()), pa.array([by_bytes(np.diff((part % SEGMENT).astype(np.uint16), prepend=np.uint16(0)))], pa.binary()), pa.array([by_bytes(counters[part])], pa.binary())]
         yield pa.RecordBatch.from_arrays(row, names=names)
 
 
+def by_bytes(x: np.ndarray) -> bytes:
+    """First bytes, second bytes and so on of all numbers: the exchange's compression finds the zeros."""
+    return np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T.tobytes() if len(x) else b""
+
+
+def from_bytes(raw: bytes, dtype: np.dtype) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(dtype.itemsize, -1).T).view(dtype).ravel()
+
+
 def add_counters(group: pa.Table) -> pa.Table:
     """The levels of one segment of counters."""
     total = np.zeros(SEGMENT, dtype=np.int64)
     for cells, counts in zip(group.column("cells").to_pylist(), group.column("counts").to_pylist(), strict=True):
-        total[np.frombuffer(cells, np.uint16)] += np.frombuffer(counts, np.uint32)
+        total[np.cumsum(from_bytes(cells, np.dtype(np.uint16)), dtype=np.uint16)] += from_bytes(counts, np.dtype(np.uint32))
     level = np.where(total > 0, np.minimum(1 + LEVELS * np.log2(np.maximum(total, 1)), 255), 0).astype(np.uint8)
     return pa.table({"segment": group.column("segment").slice(0, 1), "levels": pa.array([level.tobytes()], pa.binary())})
 
@@ -218,11 +227,10 @@ def pack(held: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> pa.RecordBatc
 
 
 def dense_bytes(rows: np.ndarray, ascending: str) -> bytes:
-    """The rows column by column and byte by byte, the ascending column as steps: the exchange's compression finds the zeros."""
+    """The rows column by column and byte by byte, the ascending column as steps."""
     parts = []
     for c in rows.dtype.names:
-        x = np.diff(rows[c], prepend=rows[c].dtype.type(0)) if c == ascending else rows[c].copy()
-        parts.append(x.view(np.uint8).reshape(len(x), -1).T.tobytes())
+        parts.append(by_bytes(np.diff(rows[c], prepend=rows[c].dtype.type(0)) if c == ascending else rows[c]))
     return b"".join(parts)
 
 
@@ -233,7 +241,7 @@ def from_dense(raw: list[bytes], dtype: np.dtype, ascending: str) -> np.ndarray:
         at = 0
         for c in dtype.names:
             wide = dtype[c].itemsize
-            column = np.ascontiguousarray(np.frombuffer(x, np.uint8, k * wide, at).reshape(wide, k).T).view(dtype[c]).ravel()
+            column = from_bytes(x[at : at + k * wide], dtype[c])
             out[c][to : to + k] = np.cumsum(column, dtype=dtype[c]) if c == ascending else column
             at += k * wide
         to += k
