@@ -331,3 +331,4 @@ def _lengths(spark: SparkSession, d: str) -> DataFrame:
 # the comparison filters and the generic operators register themselves
 from . import contests as _contests  # noqa: E402, F401
 from . import generic as _generic  # noqa: E402, F401
+from . import endtoend as _endtoend  # noqa: E402, F401

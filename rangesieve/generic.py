@@ -39,16 +39,13 @@ def _exact_str(spark: SparkSession, d: str) -> DataFrame:
 
 # joins that a filter stands in front of
 
-_EVENTS = "SELECT event_id, user_id, epoch_us(ts) AS moment FROM events"
-
-
-@register("join_asof", f"WITH e AS ({_EVENTS}) SELECT o_orderkey, max(event_id) AS event_id FROM (SELECT o_orderkey, event_id, moment FROM (SELECT o_orderkey, epoch_us(o_orderdate) AS t FROM orders) o ASOF JOIN (SELECT max(event_id) AS event_id, moment FROM e GROUP BY moment) v ON o.t >= v.moment) GROUP BY o_orderkey")
+@register("join_asof", "WITH o AS (SELECT epoch_us(o_orderdate) AS moment, max(o_orderkey) AS last FROM orders GROUP BY moment) SELECT count(last)::BIGINT AS n, sum(last)::BIGINT AS checksum FROM (SELECT epoch_us(l_shipdate) AS t FROM lineitem) l ASOF LEFT JOIN o ON l.t >= o.moment")
 def _asof(spark: SparkSession, d: str) -> DataFrame:
-    """The last event at or before each order."""
-    events = spark.read.parquet(f"{d}/events.parquet").groupBy(F.unix_micros(F.col("ts").cast("timestamp")).alias("at")).agg(F.max("event_id").alias("event_id"))
-    orders = spark.read.parquet(f"{d}/orders.parquet").select("o_orderkey", F.unix_micros(F.col("o_orderdate").cast("timestamp")).alias("t"))
-    return predecessors(orders, "t", events, "at", ["event_id"], shard_bounds(events, "at")).where("near_key IS NOT NULL").select("o_orderkey", F.col("near_event_id").alias("event_id"))
-
+    """The last order at or before each shipment."""
+    orders = spark.read.parquet(f"{d}/orders.parquet").groupBy(F.unix_micros(F.col("o_orderdate").cast("timestamp")).alias("moment")).agg(F.max("o_orderkey").alias("last"))
+    items = spark.read.parquet(f"{d}/lineitem.parquet").select(F.unix_micros(F.col("l_shipdate").cast("timestamp")).alias("t"))
+    near = predecessors(items, "t", orders, "moment", ["last"], shard_bounds(orders, "moment"))
+    return near.agg(F.count("near_last").alias("n"), F.sum("near_last").cast("long").alias("checksum"))
 
 
 _ORDER_KEYS = f"SELECT o_orderkey AS key, o_totalprice FROM orders WHERE {k.h60_duck('o_orderkey::VARCHAR')} % 16 = 0"
@@ -109,7 +106,6 @@ def _cells(spark: SparkSession, d: str) -> DataFrame:
 
 
 
-
 def _counted(grouped) -> DataFrame:
     return grouped.agg(F.count("*").alias("n_queries"), F.sum((F.col("empty") & F.col("positive")).cast("long")).alias("false_positives"))
 

@@ -1,8 +1,9 @@
 """The dynamic base filter: blocks that stretch and split, remainders of any length, duplicates for lost bits, deletes and merges.
 
-A stored infix is (value, bits): the leading `bits` bits of a full m-bit infix.  The missing ones are wildcards.  A shard of blocks is
-one unit of work: updates of a shard are applied in order by one task, shards never touch each other, and the shard's outer bounds are
-sentinels that are never deleted, so that a merge stays inside.
+A stored infix is (value, bits): the leading `bits` bits of a full m-bit infix.  The missing ones are wildcards.  At rest a block is one
+row: an occupieds bitmap, and for every slot a run end and a padded remainder, each run at or near its home slot, empty slots zero.  The
+rows of a shard are one unit of work: updates of a shard are applied in order by one task, shards never touch each other, and the shard's
+outer bounds are sentinels that are never deleted, so that a merge stays inside.
 """
 
 from __future__ import annotations
@@ -10,18 +11,19 @@ from __future__ import annotations
 import bisect
 import hashlib
 import math
-import pickle
-from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.geometry import ANCHOR_BITS, WIDTH, Geometry
 from .anchors import prepare_keys, shard_bounds, shard_of
+from .blocks import pack_bits, unpack_bits
 
-STATE = "shard int, version long, state binary"
+STATE = "shard int, version long, block int, pred long, succ long, extra int, n_slots int, stretches int, void long, copied long, moved long, n_inserted long, n_built long, edge boolean, occupieds binary, runends binary, slots binary"
+_COLUMNS = [c.split()[0] for c in STATE.split(", ")]
 
 
 def pad_remainder(value: int, bits: int, width: int) -> int:
@@ -51,6 +53,8 @@ class DynamicBlock:
     stretches: int = 0
     #: Keys, at most, that entries without remainder bits stand for; such entries are shared.
     void: int = 0
+    #: Entries that were made for missing quotient bits, beyond the first of each group.
+    copied: int = 0
 
     def quotient_bits(self) -> int:
         return self.geo.m - self.r
@@ -70,6 +74,7 @@ class DynamicBlock:
             if lo <= full <= hi and (at == len(self.entries) or self.entries[at] != entry):
                 self.entries.insert(at, entry)
                 n += 1
+        self.copied += max(0, n - 1)
         return n
 
     def fill(self) -> None:
@@ -100,6 +105,32 @@ class DynamicBlock:
             limit = slots[i] = min(slots[i], limit - 1)
         return slots
 
+    def packed(self) -> tuple[bytes, bytes, bytes]:
+        """(occupieds, runends, slots): the entries where the layout puts them."""
+        lo, q = self.geo.low >> self.r, self.quotient_bits()
+        occupieds = np.zeros((self.geo.high >> self.r) - lo + 1, dtype=bool)
+        runends, slots = np.zeros(self.n_slots, dtype=bool), np.zeros(self.n_slots, dtype=np.int64)
+        places = self.layout()
+        for i, ((value, bits), at) in enumerate(zip(self.entries, places, strict=True)):
+            home = value >> self.r
+            occupieds[home - lo] = True
+            runends[at] = i + 1 == len(places) or self.entries[i + 1][0] >> self.r != home
+            known = bits - q
+            slots[at] = pad_remainder((value & ((1 << self.r) - 1)) >> (self.r - known), known, self.r + 1)
+        return np.packbits(occupieds).tobytes(), np.packbits(runends).tobytes(), pack_bits(slots, self.r + 1)
+
+    def unpack(self, occupieds: bytes, runends: bytes, slots: bytes) -> None:
+        """The entries of packed(): the i-th run belongs to the i-th occupied quotient, and a slot without a delimiter is empty."""
+        lo, q = self.geo.low >> self.r, self.quotient_bits()
+        homes = np.flatnonzero(np.unpackbits(np.frombuffer(occupieds, np.uint8), count=(self.geo.high >> self.r) - lo + 1))
+        ends = np.unpackbits(np.frombuffer(runends, np.uint8), count=self.n_slots) if self.n_slots else np.zeros(0, np.uint8)
+        run, self.entries = 0, []
+        for end, slot in zip(ends.tolist(), unpack_bits(slots, self.n_slots, self.r + 1).tolist(), strict=True):
+            if slot:
+                rest, known = unpad_remainder(slot, self.r + 1)
+                self.entries.append((((int(homes[run]) + lo) << self.r) | (rest << (self.r - known)), q + known))
+                run += end
+
     def delete(self, key: int, clean_copies: bool = False) -> bool:
         """Removes the longest stored infix that matches the key; clean_copies also drops duplicates that no key needs any more."""
         full = self.geo.infix(key)
@@ -114,6 +145,7 @@ class DynamicBlock:
         self.void -= 1
         if clean_copies and self.void <= 0:
             self.entries = [e for e in self.entries if e[1] > self.quotient_bits()]
+            self.copied = 0
         return True
 
     def positive(self, low: int, high: int) -> bool:
@@ -156,8 +188,10 @@ class ShardFilter:
     at: float = 0.95
     expansion: str = "stretch"
     n_inserted: int = 0
+    n_built: int = 0
     moved: int = 0
-    widening: int = 0
+    #: "per_doubling": blocks that are made anew get a remainder bit more for each doubling of the keys, which holds the rate.
+    widening: str = "none"
     #: The sentinels that are keys themselves.
     edge: set[int] = field(default_factory=set)
 
@@ -170,7 +204,7 @@ class ShardFilter:
         """Sorted keys strictly between the sentinels; every t-th is an anchor."""
         keys = sorted(set(keys) - {low, high})
         anchors = [low, *keys[t - 1 :: t], high]
-        out = cls(t, r, width, anchors, [], **options)
+        out = cls(t, r, width, anchors, [], n_built=len(keys), **options)
         for a, b in zip(anchors, anchors[1:], strict=False):
             block = out._block(a, b)
             inner = keys[bisect.bisect_right(keys, a) : bisect.bisect_left(keys, b)]
@@ -180,8 +214,10 @@ class ShardFilter:
             out.blocks.append(block)
         return out
 
-    def _block(self, a: int, b: int) -> DynamicBlock:
-        return DynamicBlock(Geometry(a, b, self.width, self.m), self.r)
+    def _block(self, a: int, b: int, extra: int | None = None) -> DynamicBlock:
+        if extra is None:
+            extra = max(0, math.floor(math.log2((self.n_built + self.n_inserted) / max(1, self.n_built)))) if self.widening == "per_doubling" and self.n_inserted else 0
+        return DynamicBlock(Geometry(a, b, self.width, self.m + extra), self.r + extra)
 
     def promotes(self, key: int) -> bool:
         """Whether a new key becomes an anchor: by hash with probability 1/t, or every t-th one, which an adversary can exploit."""
@@ -265,18 +301,25 @@ class ShardFilter:
         b = self.blocks[i]
         return b.positive(b.geo.infix(lo), b.geo.infix(hi))
 
-    def dump(self) -> bytes:
-        plain = {k: v for k, v in self.__dict__.items() if k != "blocks"}
-        return pickle.dumps((plain, [(b.entries, b.n_slots, b.stretches, b.void) for b in self.blocks]))
+    def rows(self, shard: int, version: int) -> pd.DataFrame:
+        """STATE rows, one for each block; edge: whether the sentinel at pred, or in the last row also the one at succ, is a key."""
+        out = []
+        for i, b in enumerate(self.blocks):
+            out.append((shard, version, i, b.geo.pred, b.geo.succ, b.r - self.r, b.n_slots, b.stretches, b.void, b.copied, self.moved if not i else 0, self.n_inserted if not i else 0, self.n_built if not i else 0, b.geo.pred in self.edge, *b.packed()))
+        # the upper sentinel is a row without slots
+        out.append((shard, version, len(self.blocks), self.anchors[-1], self.anchors[-1], 0, 0, 0, 0, 0, 0, 0, 0, self.anchors[-1] in self.edge, b"", b"", b""))
+        return pd.DataFrame(out, columns=_COLUMNS)
 
     @classmethod
-    def load(cls, raw: bytes) -> ShardFilter:
-        plain, blocks = pickle.loads(raw)
-        out = cls(plain["t"], plain["r"], plain["width"], plain["anchors"], [])
-        out.__dict__.update(plain)
-        for (a, b), (entries, n_slots, stretches, void) in zip(zip(out.anchors, out.anchors[1:], strict=False), blocks, strict=True):
-            block = out._block(a, b)
-            block.entries, block.n_slots, block.stretches, block.void = entries, n_slots, stretches, void
+    def from_rows(cls, rows: pd.DataFrame, t: int, r: int, width: int = WIDTH, **options) -> ShardFilter:
+        rows = rows.sort_values("block")
+        anchors = [int(a) for a in rows["pred"]]
+        out = cls(t, r, width, anchors, [], n_inserted=int(rows["n_inserted"].sum()), n_built=int(rows["n_built"].sum()), moved=int(rows["moved"].sum()), **options)
+        out.edge = {a for a, e in zip(anchors, rows["edge"], strict=True) if e and a in (anchors[0], anchors[-1])}
+        for x in rows.iloc[:-1].itertuples(index=False):
+            block = out._block(int(x.pred), int(x.succ), int(x.extra))
+            block.n_slots, block.stretches, block.void, block.copied = int(x.n_slots), int(x.stretches), int(x.void), int(x.copied)
+            block.unpack(x.occupieds, x.runends, x.slots)
             out.blocks.append(block)
         return out
 
@@ -284,18 +327,20 @@ class ShardFilter:
         slots, used = sum(b.n_slots for b in self.blocks), sum(len(b.entries) for b in self.blocks)
         return {
             "blocks": len(self.blocks), "anchors": len(self.anchors), "entries": used, "slots": slots, "stretches": sum(b.stretches for b in self.blocks),
+            "moved": self.moved, "copied": sum(b.copied for b in self.blocks), "inserted": self.n_inserted,
             "bits": sum(b.bits() for b in self.blocks) + (self.width + ANCHOR_BITS) * len(self.anchors),
         }
 
 
 @dataclass
 class DynamicFilter:
-    """Shards of a dynamic filter as rows (shard, version, state); an update rewrites only the shards that it touches."""
+    """STATE rows, one for each block; an update rewrites only the shards that it touches.  options: those of ShardFilter."""
 
     state: DataFrame
     bounds: list
     t: int
     r: int
+    options: dict = field(default_factory=dict)
 
     @classmethod
     def build(cls, df: DataFrame, key: str = "key", t: int = 1024, r: int = 8, shards: int = 8, bounds: list | None = None, **options) -> DynamicFilter:
@@ -306,26 +351,47 @@ class DynamicFilter:
         def one(pdf: pd.DataFrame) -> pd.DataFrame:
             s = int(pdf["shard"].iloc[0])
             shard = ShardFilter.build([int(k) for k in pdf["key"].dropna()], max(0, ends[s] - 1) if s else 0, ends[s + 1], t, r, seed=s, **options)
-            return pd.DataFrame({"shard": [s], "version": [0], "state": [_with_first(shard, pdf).dump()]})
+            return _with_first(shard, pdf).rows(s, 0)
 
         # every shard exists, also without keys
         every = keys.sparkSession.range(len(bounds) + 1).select(F.col("id").cast("int").alias("shard"), F.lit(None).cast("long").alias("key"))
         dealt = keys.select(shard_of(F.col("key"), bounds).alias("shard"), F.col("key").cast("long").alias("key")).union(every)
-        return cls(dealt.groupBy("shard").applyInPandas(one, STATE), bounds, t, r)
+        return cls(dealt.groupBy("shard").applyInPandas(one, STATE), bounds, t, r, options)
+
+    def _loader(self):
+        t, r, options = self.t, self.r, self.options
+
+        def load(rows: pd.DataFrame) -> ShardFilter:
+            return ShardFilter.from_rows(rows, t, r, seed=int(rows["shard"].iloc[0]), **options)
+
+        return load
 
     def apply(self, ops: DataFrame, clean_copies: bool = False) -> DynamicFilter:
         """ops(op "insert" or "delete", key, seq): applied by seq inside each shard."""
         dealt = ops.select(shard_of(F.col("key"), self.bounds).alias("shard"), "op", F.col("key").cast("long").alias("key"), "seq")
+        load = self._loader()
 
         def one(state: pd.DataFrame, todo: pd.DataFrame) -> pd.DataFrame:
             if not len(todo):
                 return state
-            shard = ShardFilter.load(state["state"].iloc[0])
+            shard = load(state)
             for op, key in todo.sort_values(["seq", "key"])[["op", "key"]].itertuples(index=False):
                 _change(shard, op, int(key), clean_copies)
-            return pd.DataFrame({"shard": state["shard"], "version": state["version"] + 1, "state": [shard.dump()]})
+            return shard.rows(int(state["shard"].iloc[0]), int(state["version"].iloc[0]) + 1)
 
-        return DynamicFilter(self.state.groupBy("shard").cogroup(dealt.groupBy("shard")).applyInPandas(one, STATE), self.bounds, self.t, self.r)
+        return DynamicFilter(self.state.groupBy("shard").cogroup(dealt.groupBy("shard")).applyInPandas(one, STATE), self.bounds, self.t, self.r, self.options)
+
+    def compact(self) -> DynamicFilter:
+        """The inverse of stretches, where deletes have left slots free."""
+        load = self._loader()
+
+        def one(state: pd.DataFrame) -> pd.DataFrame:
+            shard = load(state)
+            for b in shard.blocks:
+                b.compact(shard.factor)
+            return shard.rows(int(state["shard"].iloc[0]), int(state["version"].iloc[0]) + 1)
+
+        return DynamicFilter(self.state.groupBy("shard").applyInPandas(one, STATE), self.bounds, self.t, self.r, self.options)
 
     def insert(self, df: DataFrame, key: str = "key") -> DynamicFilter:
         return self.apply(df.select(F.lit("insert").alias("op"), F.col(key).alias("key"), F.col(key).alias("seq")))
@@ -339,32 +405,36 @@ class DynamicFilter:
     def probe(self, queries: DataFrame) -> DataFrame:
         """(query_id, positive): a query asks every shard that it meets, and a shard's own bound is a key of the shard above."""
         parts = queries.select("query_id", "lo", "hi", F.explode(F.sequence(shard_of(F.col("lo"), self.bounds), shard_of(F.col("hi"), self.bounds))).alias("shard"))
+        load = self._loader()
 
         def one(state: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
             if not len(state):
                 return pd.DataFrame({"query_id": asked["query_id"], "positive": False})
-            shard = ShardFilter.load(state["state"].iloc[0])
+            if not len(asked):
+                return pd.DataFrame({"query_id": [], "positive": []}).astype({"query_id": "int64", "positive": bool})
+            shard = load(state)
             return pd.DataFrame({"query_id": asked["query_id"], "positive": [_ask(shard, int(a), int(b)) for a, b in zip(asked["lo"], asked["hi"], strict=True)]})
 
         answered = self.state.groupBy("shard").cogroup(parts.groupBy("shard")).applyInPandas(one, "query_id long, positive boolean")
         return answered.groupBy("query_id").agg(F.bool_or("positive").alias("positive"))
 
     def stats(self) -> DataFrame:
-        def one(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for pdf in frames:
-                yield pd.DataFrame([{"shard": int(s), "version": int(v), **ShardFilter.load(x).stats()} for s, v, x in pdf.itertuples(index=False)], columns=["shard", "version", "blocks", "anchors", "entries", "slots", "stretches", "bits"])
+        """A row for each shard: blocks, anchors, entries, slots, stretches, entries moved by splits, copies for lost bits, inserts, bits."""
+        load, names = self._loader(), ["shard", "version", "blocks", "anchors", "entries", "slots", "stretches", "moved", "copied", "inserted", "bits"]
+
+        def one(state: pd.DataFrame) -> pd.DataFrame:
+            return pd.DataFrame([{"shard": int(state["shard"].iloc[0]), "version": int(state["version"].iloc[0]), **load(state).stats()}], columns=names)
 
-        return self.state.mapInPandas(one, "shard int, version long, blocks long, anchors long, entries long, slots long, stretches long, bits long")
+        return self.state.groupBy("shard").applyInPandas(one, "shard int, " + ", ".join(f"{c} long" for c in names[1:]))
 
     def lengths(self) -> DataFrame:
         """(missing, n): stored infixes by how many of their m bits are gone."""
-        m = self.r + math.ceil(math.log2(self.t))
+        load = self._loader()
 
-        def one(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for pdf in frames:
-                yield pd.DataFrame({"missing": [m - b for x in pdf["state"] for block in ShardFilter.load(x).blocks for _, b in block.entries]}, dtype="int32")
+        def one(state: pd.DataFrame) -> pd.DataFrame:
+            return pd.DataFrame({"missing": [block.geo.m - b for block in load(state).blocks for _, b in block.entries]}, dtype="int32")
 
-        return self.state.mapInPandas(one, "missing int").groupBy("missing").agg(F.count("*").alias("n"))
+        return self.state.groupBy("shard").applyInPandas(one, "missing int").groupBy("missing").agg(F.count("*").alias("n"))
 
 
 def _with_first(shard: ShardFilter, pdf: pd.DataFrame) -> ShardFilter:

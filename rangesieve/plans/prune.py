@@ -2,12 +2,19 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.geometry import Geometry
+from ..operators.anchors import shard_bounds, shard_of
 from ..operators.blocks import Block
 
+FILTERS = "file string, pred long, succ long, q_base long, q_count int, n_keys int, occupieds binary, runends binary, slots binary"
+
 
 def predicate_range(op: str, value: int, width: int = 62) -> tuple[int, int]:
     """[lo, hi] of a comparison of an integer key."""
@@ -20,55 +27,83 @@ def prefix_range(prefix: bytes, length: int) -> tuple[bytes, bytes]:
     return prefix, prefix.ljust(length, b"\xff")
 
 
+def file_keys(spark: SparkSession, path: str, key: str) -> DataFrame:
+    """(file, key) of a table, distinct."""
+    return spark.read.parquet(path).select(F.col("_metadata.file_path").alias("file"), F.col(key).cast("long").alias("key")).where("key IS NOT NULL").distinct()
+
+
 def file_filters(spark: SparkSession, path: str, key: str, t: int = 256, r: int = 8) -> DataFrame:
-    """(file, blocks): one small filter for each file of a table whose key is a BIGINT; a task reads one file's keys, sorted."""
-    rows = spark.read.parquet(path).select(F.col("_metadata.file_path").alias("file"), F.col(key).cast("long").alias("key"))
+    """FILTERS rows, one for each block of t keys of each file of a table whose key is a BIGINT; no task holds more than a block."""
     m = r + max(1, (t - 1).bit_length())
+    order = Window.partitionBy("file").orderBy("key")
+    ranked = file_keys(spark, path, key).withColumn("block", F.floor((F.row_number().over(order) - 1) / t))
+    # t keys at most
+    lists = ranked.groupBy("file", "block").agg(F.sort_array(F.collect_list("key")).alias("keys"))
+    after = F.lead(F.col("keys")[0]).over(Window.partitionBy("file").orderBy("block"))
+    bounded = lists.select("file", F.col("keys")[0].alias("pred"), F.coalesce(after, F.array_max("keys")).alias("succ"), "keys")
+
+    def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = []
+            for file, low, high, keys in zip(*(b.column(c).to_pylist() for c in ("file", "pred", "succ", "keys")), strict=True):
+                inner = [x for x in keys if low < x < high]
+                if not inner:
+                    out.append((file, low, high, 0, 0, 0, b"", b"", b""))
+                    continue
+                g = Geometry(low, high, 62, m)
+                packed = Block.pack(np.array([g.infix(x) for x in inner]), g.low, g.high, r)
+                out.append((file, low, high, packed.q_base, len(packed.occupieds), len(packed.slots), *packed.to_bytes()))
+            kinds = (pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)] if out else [pa.array([], k) for k in kinds], names=[f.split()[0] for f in FILTERS.split(", ")])
+
+    return bounded.mapInArrow(build, FILTERS)
 
-    def build(pdf):
-        import numpy as np
-        import pandas as pd
 
-        keys = np.unique(pdf["key"].dropna().to_numpy())
-        out = []
-        for a in range(0, max(1, len(keys) - 1), t):
-            part = keys[a : a + t + 1]
-            low, high = int(part[0]), int(part[-1])
-            if len(part) < 3:
-                out.append((pdf["file"].iloc[0], low, high, 0, 0, 0, b"", b"", b""))
-                continue
-            g = Geometry(low, high, 62, m)
-            b = Block.pack(np.array([g.infix(int(x)) for x in part[1:-1]]), g.low, g.high, r)
-            out.append((pdf["file"].iloc[0], low, high, b.q_base, len(b.occupieds), len(b.slots), *b.to_bytes()))
-        return pd.DataFrame(out, columns=["file", "pred", "succ", "q_base", "q_count", "n_keys", "occupieds", "runends", "slots"])
+def met_in_shards(queries: DataFrame, spans: DataFrame, low: str, high: str, bounds: list) -> DataFrame:
+    """queries x spans that overlap: both are dealt to the shards that they touch and meet there by an equi-join.
 
-    return rows.groupBy("file").applyInPandas(build, "file string, pred long, succ long, q_base long, q_count int, n_keys int, occupieds binary, runends binary, slots binary")
+    A pair that meets in several shards comes out once, in the shard where the later of both begins.
+    """
+    many = lambda a, b: F.explode(F.sequence(shard_of(F.col(a), bounds), shard_of(F.col(b), bounds)))
+    q, s = queries.withColumn("_s", many("lo", "hi")), spans.withColumn("_t", many(low, high))
+    joined = q.join(s, (F.col("_s") == F.col("_t")) & (F.col("hi") >= F.col(low)) & (F.col("lo") <= F.col(high)))
+    return joined.where(F.col("_s") == F.greatest(shard_of(F.col("lo"), bounds), shard_of(F.col(low), bounds))).drop("_s", "_t")
 
 
-def surviving_files(filters: DataFrame, queries: DataFrame, t: int = 256, r: int = 8) -> DataFrame:
+def surviving_files(filters: DataFrame, queries: DataFrame, t: int = 256, r: int = 8, min_max_only: bool = False) -> DataFrame:
     """(query_id, file): the files that may hold a key of a query's range; min and max alone rule out the first, the blocks the rest."""
     m = r + max(1, (t - 1).bit_length())
-    met = queries.select("query_id", "lo", "hi").join(filters, (F.col("hi") >= F.col("pred")) & (F.col("lo") <= F.col("succ")))
+    spans = filters.groupBy("file").agg(F.min("pred").alias("pred"), F.max("succ").alias("succ")) if min_max_only else filters
+    met = met_in_shards(queries.select("query_id", "lo", "hi"), spans, "pred", "succ", shard_bounds(filters, "pred"))
+    if min_max_only:
+        return met.select("query_id", "file").distinct()
 
-    def ask(frames):
-        for pdf in frames:
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
             keep = []
-            for x in pdf.itertuples(index=False):
-                ends = x.lo <= x.pred <= x.hi or x.lo <= x.succ <= x.hi
-                if ends or not x.n_keys:
+            for lo, hi, pred, succ, base, count, n, *raw in zip(*(b.column(c).to_pylist() for c in ("lo", "hi", "pred", "succ", "q_base", "q_count", "n_keys", "occupieds", "runends", "slots")), strict=True):
+                ends = lo <= pred <= hi or lo <= succ <= hi
+                if ends or not n:
                     keep.append(ends)
                     continue
-                g = Geometry(x.pred, x.succ, 62, m)
-                b = Block.from_bytes(r, x.q_base, x.q_count, x.n_keys, x.occupieds, x.runends, x.slots)
-                keep.append(b.probe(g.infix(max(x.lo, x.pred)), g.infix(min(x.hi, x.succ))) != "none")
-            yield pdf.loc[keep, ["query_id", "file"]]
+                g = Geometry(pred, succ, 62, m)
+                keep.append(Block.from_bytes(r, base, count, n, *raw).probe(g.infix(max(lo, pred)), g.infix(min(hi, succ))) != "none")
+            yield b.select(["query_id", "file"]).filter(pa.array(keep, pa.bool_()))
 
-    return met.mapInPandas(ask, "query_id long, file string").distinct()
+    return met.mapInArrow(ask, f"query_id {queries.schema['query_id'].dataType.simpleString()}, file string").distinct()
 
 
-def guarded_lookup(spark: SparkSession, path: str, key: str, queries: DataFrame, filters: DataFrame) -> DataFrame:
+def guarded_lookup(spark: SparkSession, path: str, key: str, queries: DataFrame, filters: DataFrame, survivors: DataFrame | None = None) -> DataFrame:
     """Rows of the table in any of the query ranges, read from the surviving files only; the file list is metadata."""
-    files = sorted(r["file"] for r in surviving_files(filters, queries).select("file").distinct().collect())
-    table = spark.read.parquet(*files) if files else spark.read.parquet(path).limit(0)
-    inside: Column = F.col(key).between(F.col("lo"), F.col("hi"))
-    return table.join(F.broadcast(queries.select("query_id", "lo", "hi")), inside)
+    survivors = surviving_files(filters, queries) if survivors is None else survivors
+    files = sorted(r["file"] for r in survivors.select("file").distinct().collect())
+    rows = spark.read.parquet(*files) if files else spark.read.parquet(path).limit(0)
+    spread = rows.withColumn("_low", F.col(key).cast("long"))
+    return met_in_shards(queries.select("query_id", "lo", "hi"), spread, "_low", "_low", shard_bounds(filters, "pred")).drop("_low")
+
+
+def read_cost(spark: SparkSession, path: str, key: str, survivors: DataFrame) -> tuple[int, int]:
+    """(files, rows) that all queries together read when each opens its surviving files."""
+    sizes = spark.read.parquet(path).groupBy(F.col("_metadata.file_path").alias("file")).agg(F.count(key).alias("n"))
+    r = survivors.join(sizes, "file").agg(F.count("*").alias("files"), F.coalesce(F.sum("n"), F.lit(0)).alias("rows")).first()
+    return r["files"], r["rows"]

@@ -31,7 +31,7 @@ def apply_stream(ops: DataFrame, f: DynamicFilter, path: str, checkpoint: str) -
 
     def one(batch: DataFrame, epoch: int) -> None:
         # a replayed epoch starts from the version before it and overwrites its own
-        before = DynamicFilter(batch.sparkSession.read.schema(f.state.schema).parquet(f"{path}/version={epoch}"), f.bounds, f.t, f.r)
+        before = DynamicFilter(batch.sparkSession.read.schema(f.state.schema).parquet(f"{path}/version={epoch}"), f.bounds, f.t, f.r, f.options)
         held["filter"] = commit(before.apply(batch.select("op", "key", "seq")), path, epoch + 1)
 
     return ops.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start(), held
