@@ -314,3 +314,64 @@ def _late(spark: SparkSession, d: str) -> DataFrame:
     from .streaming.updates import late_rows
 
     return late_rows(spark.read.parquet(f"{d}/events.parquet"))
+
+
+# functions for SQL users
+
+
+@register("unpack_block", duck.keys_with("clustered", "SELECT block_id, infix FROM infixes"))
+def _unpack(spark: SparkSession, d: str) -> DataFrame:
+    """Packed blocks back to infixes, by a table function in SQL."""
+    from .functions.udfs import register_functions
+
+    register_functions(spark)
+    f = _built(spark, d)
+    packed = written(f.packed())
+    return spark.sql(f"SELECT p.block_id, u.infix FROM {{p}} p, LATERAL unpack_block({f.r}, p.q_base, p.q_count, p.n_keys, p.occupieds, p.runends, p.slots) u", p=packed)
+
+
+_NODES = "SELECT query_id, level::INTEGER AS level, p AS prefix FROM (SELECT query_id, lo, hi, level, unnest(range(lo >> level::INTEGER, (hi >> level::INTEGER) + 1)) AS p FROM queries, range(0, 6) AS r(level)) WHERE p << level::INTEGER >= lo AND ((p + 1) << level::INTEGER) - 1 <= hi AND (level = 5 OR (p >> 1) << (level + 1)::INTEGER < lo OR (((p >> 1) + 1) << (level + 1)::INTEGER) - 1 > hi)"
+
+
+@register("dyadic_cover", f"WITH {k.range_queries_sql('skewed', 'held_out', 100)} {_NODES}")
+def _cover(spark: SparkSession, d: str) -> DataFrame:
+    """The fewest aligned intervals of up to 32 values that make up each range."""
+    from .functions.udfs import register_functions
+
+    register_functions(spark)
+    asked = k.range_queries(k.integer_keys(spark, d, "skewed"), "held_out", 100)[1]
+    return spark.sql("SELECT q.query_id, c.level, c.prefix FROM {q} q, LATERAL dyadic_cover(q.lo, q.hi, 5) c", q=asked)
+
+
+@register("rank_select", duck.keys_with("clustered", "SELECT count(DISTINCT block_id)::BIGINT AS blocks, 0::BIGINT AS wrong FROM infixes"))
+def _rank_select(spark: SparkSession, d: str) -> DataFrame:
+    """In every block, the last occupied quotient is where select finds the last one, and rank counts all ones before it."""
+    from .functions.udfs import rank_bits, select_bits
+
+    packed = written(_built(spark, d).packed()).where("n_keys > 0")
+    ones = F.length(F.regexp_replace(F.array_join(F.transform(F.sequence(F.lit(1), F.octet_length("occupieds")), lambda i: F.lpad(F.conv(F.hex(F.substring("occupieds", i, F.lit(1))), 16, 2), 8, "0")), ""), "0", ""))
+    asked = packed.select(ones.alias("ones"), "occupieds", select_bits(F.col("occupieds"), ones - 1).alias("place"))
+    return asked.agg(F.count("*").alias("blocks"), F.sum((rank_bits(F.col("occupieds"), F.col("place")) != F.col("ones") - 1).cast("long")).alias("wrong"))
+
+
+@register("anchor_search", f"WITH {k.range_queries_sql('clustered', 'same_dist', 1 << 10)}, {duck.filter_ctes(T, R)} SELECT count(*)::BIGINT AS n, count(a.key)::BIGINT AS n_near, sum(a.key % 1000003)::BIGINT AS checksum FROM queries q ASOF LEFT JOIN anchors a ON q.lo >= a.key")
+def _search(spark: SparkSession, d: str) -> DataFrame:
+    """Anchors few enough for every task, searched as one sorted array."""
+    from .operators.anchors import search_anchors
+
+    keys, asked = k.range_queries(written(k.integer_keys(spark, d, "clustered")), "same_dist", 1 << 10)
+    from .operators.base import BaseFilter
+
+    near = search_anchors(asked.select("query_id", "lo"), "lo", BaseFilter.build(keys, t=T, eps=2.0 / 2**R, sorted_input=True).anchors)
+    return near.agg(F.count("*").alias("n"), F.count("near_key").alias("n_near"), F.sum(F.col("near_key") % 1000003).alias("checksum"))
+
+
+@register("anchor_prefix_rounds", f"WITH {k.range_queries_sql('clustered', 'same_dist', 1 << 10)}, {duck.filter_ctes(T, R)}, firsts AS (SELECT key FROM anchors WHERE anchor_no % 4 = 0) SELECT query_id, max(62 - {duck.bitlen('xor(lo, key)')})::INTEGER AS prefix_len FROM queries, firsts GROUP BY query_id")
+def _rounds(spark: SparkSession, d: str) -> DataFrame:
+    """The longest prefix that a query shares with the first anchor of a group, by halving the length: one equi-join for each step."""
+    from .operators.anchors import longest_prefix_rounds, prefix_hash_table
+    from .operators.base import BaseFilter
+
+    keys, asked = k.range_queries(written(k.integer_keys(spark, d, "clustered")), "same_dist", 1 << 10)
+    table = written(prefix_hash_table(BaseFilter.build(keys, t=T, eps=2.0 / 2**R, sorted_input=True).anchors, 62, 4))
+    return longest_prefix_rounds(asked.select("query_id", "lo"), "lo", table, 62).select("query_id", "prefix_len")

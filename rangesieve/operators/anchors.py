@@ -7,10 +7,14 @@ last anchor of the shards before comes from a table with one row for each shard.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..plans.lineage import written
 
@@ -151,3 +155,39 @@ def longest_prefix_rounds(points: DataFrame, at: str, prefixes: DataFrame, width
         found = F.coalesce("_hit", F.lit(False)) | (F.col("_mid") == 0)
         now = now.withColumn("_lo", F.when(found, F.col("_mid")).otherwise(F.col("_lo"))).withColumn("_hi", F.when(found, F.col("_hi")).otherwise(F.greatest(F.col("_mid") - 1, F.col("_lo")))).drop("_p", "_q", "_hit", "_mid")
     return now.withColumnRenamed("_lo", "prefix_len").drop("_hi")
+
+
+#: Anchors that one task may hold to search them itself: 8 MB of integers.
+BROADCAST_ANCHORS = 1 << 20
+
+
+def search_anchors(points: DataFrame, at: str, anchors: DataFrame, key: str = "key", width: int = 62) -> DataFrame:
+    """points with near_key, the greatest anchor at or before `at`, and steps, how many bytes a descent in a plain trie of them would read.
+
+    For at most BROADCAST_ANCHORS integer anchors, which travel to every task as one sorted array; more are an error, and `predecessors`
+    is the way for them.
+    """
+    n = anchors.count()
+    if n > BROADCAST_ANCHORS:
+        raise ValueError(f"{n} anchors are too many for one task")
+    spark = points.sparkSession
+    held = spark.sparkContext.broadcast(np.sort(anchors.select(key).toArrow().column(0).to_numpy()))
+    top = -(-width // 8)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        every = held.value
+        for b in batches:
+            x = b.column(b.schema.get_field_index(at)).to_numpy(zero_copy_only=False)
+            i = np.searchsorted(every, x, side="right") - 1
+            shared = np.zeros(len(x), np.int64)
+            for k in (i, i + 1):
+                inside = (k >= 0) & (k < len(every))
+                other = every[np.clip(k, 0, max(0, len(every) - 1))] if len(every) else x
+                apart = (x ^ other).astype(np.uint64)
+                same = np.sum([(apart >> np.uint64(8 * (top - 1 - j))) == 0 for j in range(top)], axis=0)
+                shared = np.maximum(shared, np.where(inside, same, 0))
+            near = pa.array(every[np.clip(i, 0, max(0, len(every) - 1))] if len(every) else x, pa.int64(), mask=i < 0)
+            yield pa.RecordBatch.from_arrays([*b.columns, near, pa.array(np.minimum(shared + 1, top).astype(np.int32))], names=[*b.schema.names, "near_key", "steps"])
+
+    schema = T.StructType([*points.schema.fields, T.StructField("near_key", T.LongType()), T.StructField("steps", T.IntegerType())])
+    return points.mapInArrow(run, schema)
