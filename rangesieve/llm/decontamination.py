@@ -5,7 +5,7 @@ last few words at a text position, how far the search may jump without missing a
 bucket of patterns that end in these words is compared word by word.  All documents of a slice are searched side by side.
 
 Defined results: a null or wordless text has no words, no hits and is clean; a null or wordless item has no window;
-repeated items and items of equal windows all count as occurring; repeated rows each give a row; an empty benchmark leaves
+repeated items and items of equal windows all count as occurring; an item without item_id makes hits, but is not listed; repeated rows each give a row; an empty benchmark leaves
 every document clean; input columns named like an output column are replaced.
 """
 
@@ -64,8 +64,8 @@ class PatternGroup:
 class PatternSet:
     """All windows of the given items, compiled for search."""
 
-    def __init__(self, items: list[tuple[str, str | None]], width: int = 13):
-        texts = [(str(k), LOWER[np.frombuffer((t or "").encode(), dtype=np.uint8)]) for k, t in items if k is not None]
+    def __init__(self, items: list[tuple[str | None, str | None]], width: int = 13):
+        texts = [(None if k is None else str(k), LOWER[np.frombuffer((t or "").encode(), dtype=np.uint8)]) for k, t in items]
         hashed = []
         for name, data in texts:
             starts, ends, _ = find_words(data, np.array([0, len(data)]), NON_ALNUM)
@@ -79,7 +79,7 @@ class PatternSet:
             for i in range(len(ids) - m + 1 if m else 0):
                 found.setdefault(m, {}).setdefault(ids[i : i + m].tobytes(), []).append(name)
         self.groups = [
-            PatternGroup(m, min(3, m), np.frombuffer(b"".join(p), dtype=np.uint32).reshape(-1, m), [sorted(set(v)) for v in p.values()]).build(self.radix)
+            PatternGroup(m, min(3, m), np.frombuffer(b"".join(p), dtype=np.uint32).reshape(-1, m), [sorted(set(v) - {None}) for v in p.values()]).build(self.radix)
             for m, p in sorted(found.items())
         ]
 
