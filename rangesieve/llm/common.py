@@ -68,8 +68,8 @@ def joined_to_key(rows: DataFrame, key: str, found: DataFrame, copies: int = 16)
     key: a column of both, which the result keeps.
     """
     salt = F.pmod(F.monotonically_increasing_id(), F.lit(copies)).cast("int")
-    many = found.select(F.col(key).alias("_key"), *(F.col(c) for c in found.columns if c != key), F.explode(F.array(*map(F.lit, range(copies)))).alias("_copy"))
-    return rows.withColumn("_salt", salt).join(many, (F.col(key) == F.col("_key")) & (F.col("_salt") == F.col("_copy")), "left").drop("_salt", "_copy", "_key")
+    many = found.select(F.col(key).alias("_join_key"), *(F.col(c) for c in found.columns if c != key), F.explode(F.array(*map(F.lit, range(copies)))).alias("_join_copy"))
+    return rows.withColumn("_join_salt", salt).join(many, (F.col(key) == F.col("_join_key")) & (F.col("_join_salt") == F.col("_join_copy")), "left").drop("_join_salt", "_join_copy", "_join_key")
 
 
 #: Bits of the table that thins out rows before an exchange: 1 MB, whatever the data.
