@@ -49,12 +49,14 @@ PICK_BITS = 1 << 25
 STEP_PAIRS, STEP_BYTES = 1 << 19, 4 << 20
 CLASS = np.dtype([("cls", "<u8"), ("s1", "<u8"), ("s2", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("n", "<u2")])
 ENTRY = np.dtype([("word", "<u4"), ("at", "<u4"), ("pos", "u1")])
+#: Columns in whose bytes there is nothing to find.
+HASHED = ("cls", "s1", "s2")
 #: Bit of `pos` that tells that the word belongs to the shorter prefix under which the class can be found.
 INDEXED = 128
 #: Buckets of hot words.
 HOT_BUCKET = 1 << 30
 _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
-_LISTED = "doc_id long, lines array<int>, c1 array<long>, c2 array<long>, segment int, cells binary, counts binary"
+_LISTED = "doc_id long, lines array<int>, c1 array<long>, c2 array<long>, segment int, cells binary, counts binary, n_words long"
 _PACKED = "bucket int, classes binary, entries binary"
 _MEMBER = "star long, cls long, dense boolean, doc long, line int, s1 long, s2 long, n int, pos int"
 _MET = f"a long, b long, {_MEMBER}"
@@ -68,10 +70,10 @@ class Lines:
         starts, ends, first = find_words(data, offsets)
         of_row = np.repeat(np.arange(len(offsets) - 1), np.diff(first))
         breaks = np.flatnonzero(data == 10)
-        line = np.searchsorted(breaks, starts) + of_row
-        self.head = np.flatnonzero(np.diff(line, prepend=-1))
+        of_break = np.repeat(np.arange(len(breaks) + 1), np.diff(np.concatenate([[0], np.searchsorted(starts, breaks), [len(starts)]])))
+        self.head = np.flatnonzero(np.diff(of_break + of_row, prepend=-1))
         self.ends = np.append(self.head[1:], len(starts))[: len(self.head)]
-        before = np.searchsorted(breaks, starts[self.head])
+        before = of_break[self.head]
         padded = np.concatenate([[-1], breaks, [len(data)]])
         self.row = of_row[self.head]
         self.lo = np.maximum(padded[before] + 1, offsets[self.row])
@@ -106,12 +108,12 @@ def list_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         np.add.at(counters, counter_of(lines.words), np.uint32(1))
         at = pa.array(np.searchsorted(lines.row, np.arange(batch.num_rows + 1)), pa.int32())
         lists = [pa.ListArray.from_arrays(at, pa.array(x)) for x in (lines.number, lines.c1.view(np.int64), lines.c2.view(np.int64))]
-        yield pa.RecordBatch.from_arrays([batch.column(0), *lists, *(pa.nulls(batch.num_rows, t) for t in (pa.int32(), pa.binary(), pa.binary()))], names=names)
+        yield pa.RecordBatch.from_arrays([batch.column(0), *lists, *(pa.nulls(batch.num_rows, t) for t in (pa.int32(), pa.binary(), pa.binary(), pa.int64()))], names=names)
     used = np.flatnonzero(counters)
     cuts = np.searchsorted(used, np.arange(0, (1 << COUNTER_BITS) + 1, SEGMENT))
     for k in np.flatnonzero(np.diff(cuts)).tolist():
         part = used[cuts[k] : cuts[k + 1]]
-        row = [pa.nulls(1, pa.int64()), *(pa.nulls(1, pa.list_(t)) for t in (pa.int32(), pa.int64(), pa.int64())), pa.array([k], pa.int32()), pa.array([by_bytes(np.diff((part % SEGMENT).astype(np.uint16), prepend=np.uint16(0)))], pa.binary()), pa.array([by_bytes(counters[part])], pa.binary())]
+        row = [pa.nulls(1, pa.int64()), *(pa.nulls(1, pa.list_(t)) for t in (pa.int32(), pa.int64(), pa.int64())), pa.array([k], pa.int32()), pa.array([by_bytes(np.diff((part % SEGMENT).astype(np.uint16), prepend=np.uint16(0)))], pa.binary()), pa.array([by_bytes(counters[part])], pa.binary()), pa.array([int(counters[part].sum(dtype=np.int64))])]
         yield pa.RecordBatch.from_arrays(row, names=names)
 
 
@@ -230,7 +232,10 @@ def dense_bytes(rows: np.ndarray, ascending: str) -> bytes:
     """The rows column by column and byte by byte, the ascending column as steps."""
     parts = []
     for c in rows.dtype.names:
-        parts.append(by_bytes(np.diff(rows[c], prepend=rows[c].dtype.type(0)) if c == ascending else rows[c]))
+        if c in HASHED:
+            parts.append(rows[c].tobytes())
+        else:
+            parts.append(by_bytes(np.diff(rows[c], prepend=rows[c].dtype.type(0)) if c == ascending else rows[c]))
     return b"".join(parts)
 
 
@@ -241,7 +246,7 @@ def from_dense(raw: list[bytes], dtype: np.dtype, ascending: str) -> np.ndarray:
         at = 0
         for c in dtype.names:
             wide = dtype[c].itemsize
-            column = from_bytes(x[at : at + k * wide], dtype[c])
+            column = np.frombuffer(x, dtype[c], k, at) if c in HASHED else from_bytes(x[at : at + k * wide], dtype[c])
             out[c][to : to + k] = np.cumsum(column, dtype=dtype[c]) if c == ascending else column
             at += k * wide
         to += k
@@ -257,13 +262,41 @@ def unpack(group: pa.Table) -> tuple[np.ndarray, np.ndarray]:
     return classes, e
 
 
-def compatible(x: dict[str, np.ndarray], i: np.ndarray, j: np.ndarray, num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
-    """(which pairs of one word pass the filters, bits in which the sketches differ); caps of n and pos only weaken the filters."""
-    ni, nj, pi, pj = x["n"][i], x["n"][j], x["pos"][i], x["pos"][j]
-    apart = (np.bitwise_count(x["s1"][i] ^ x["s1"][j]) + np.bitwise_count(x["s2"][i] ^ x["s2"][j])).astype(np.int64)
-    fit = (apart * (num + den) <= (ni + nj) * (den - num)) & (den * np.minimum(ni, nj) >= num * np.maximum(ni, nj))
-    fit &= np.minimum(ni - (pi & (INDEXED - 1)), nj - (pj & (INDEXED - 1))) >= -(-num * (ni + nj) // (num + den))
-    return (fit | (np.maximum(ni, nj) == 65535)) & (((pi | pj) & INDEXED) > 0) & (x["cls"][i] != x["cls"][j]), apart
+def compatible(x: dict[str, np.ndarray], i: np.ndarray, j: np.ndarray, num: int, den: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(i, j, bits in which the sketches differ) of the pairs of one word that pass the filters; caps of n and pos only weaken the filters."""
+    ni, nj = x["n"][i], x["n"][j]
+    # length, and the word is in the shorter prefix of one of them
+    keep = np.flatnonzero((den * np.minimum(ni, nj) >= num * np.maximum(ni, nj)) & (((x["pos"][i] | x["pos"][j]) & INDEXED) > 0) | (np.maximum(ni, nj) == 65535))
+    for c in ("s1", "s2"):
+        i, j, ni, nj = i[keep], j[keep], ni[keep], nj[keep]
+        more = np.bitwise_count(x[c][i] ^ x[c][j]).astype(np.int32)
+        apart = more if c == "s1" else apart[keep] + more
+        keep = np.flatnonzero((apart * (num + den) <= (ni + nj) * (den - num)) | (np.maximum(ni, nj) == 65535))
+    i, j, ni, nj, apart = i[keep], j[keep], ni[keep], nj[keep], apart[keep]
+    place = np.minimum(ni - (x["pos"][i] & (INDEXED - 1)), nj - (x["pos"][j] & (INDEXED - 1))) >= -(-num * (ni + nj) // (num + den))
+    keep = (place | (np.maximum(ni, nj) == 65535)) & ((x["cls"][i] != x["cls"][j]) | (x["s1"][i] != x["s1"][j]))
+    return i[keep], j[keep], apart[keep].astype(np.int64)
+
+
+def first_lines(classes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(row of the first line of each class, classes in the order of these lines; the number of each row's class)."""
+    rank = np.empty(len(classes), np.int64)
+    rank[np.lexsort((classes["line"], classes["doc"]))] = np.arange(len(classes))
+    key = classes["cls"] + mix64(classes["s1"])
+    order = np.argsort(key)
+    new = new_runs(key[order])
+    if (~new & new_runs(classes["cls"][order], classes["s1"][order])).any():
+        order = np.lexsort((classes["s1"], classes["cls"]))
+        new = new_runs(classes["cls"][order], classes["s1"][order])
+    head = np.flatnonzero(new)
+    least = np.minimum.reduceat(rank[order], head) if len(head) else head
+    number = np.empty(len(head), np.int64)
+    number[np.argsort(least)] = np.arange(len(head))
+    of = np.empty(len(classes), np.int64)
+    of[order] = np.repeat(number, np.diff(np.append(head, len(order))))
+    row = np.empty(len(classes), np.int64)
+    row[rank] = np.arange(len(classes))
+    return row[np.sort(least)], of
 
 
 def meet(group: pa.Table, num: int, den: int) -> pa.Table:
@@ -274,20 +307,20 @@ def meet(group: pa.Table, num: int, den: int) -> pa.Table:
     """
     bucket = group.column("bucket")[0].as_py()
     classes, e = unpack(group)
-    # a word with one entry pairs nothing
-    order = np.argsort(e["word"], kind="stable")
-    word = e["word"][order]
+    first, of = first_lines(classes)
+    if len(first) >= 1 << 24:
+        raise ValueError("a bucket holds too many classes")
+    # one number for word, class and place: sorted, a word's classes stand in the order of their first lines, each once
+    key = np.sort((e["word"].astype(np.uint64) << np.uint64(32)) | (of[e["at"]].astype(np.uint64) << np.uint64(8)) | e["pos"].astype(np.uint64))
+    key = key[new_runs(key >> np.uint64(8))]
+    word = key >> np.uint64(32)
     new = new_runs(word)
-    e = e[order[~(new & np.append(new[1:], True))]]
-    at = e["at"]
-    x = {c: classes[c][at] for c in ("cls", "s1", "doc", "line")} | {"word": e["word"], "pos": e["pos"], "at": at}
-    # of a class that several tasks sent, the first line counts
-    order = np.lexsort((x["line"], x["doc"], x["s1"], x["cls"], x["word"]))
-    order = order[new_runs(x["word"][order], x["cls"][order], x["s1"][order])]
-    order = order[np.lexsort((x["line"][order], x["doc"][order], x["word"][order]))]
-    x = {c: v[order] for c, v in x.items()}
-    x |= {"n": classes["n"][x["at"]].astype(np.int64), "s2": classes["s2"][x["at"]], "pos": x["pos"].astype(np.int64)}
-    total = len(order)
+    # a word with one class pairs nothing
+    key = key[~(new & np.append(new[1:], True))[: len(key)]]
+    at = first[((key >> np.uint64(8)) & np.uint64((1 << 24) - 1)).astype(np.int64)]
+    x = {c: classes[c][at] for c in ("cls", "s1", "s2", "doc", "line")}
+    x |= {"word": key >> np.uint64(32), "pos": (key & np.uint64(255)).astype(np.int32), "n": classes["n"][at].astype(np.int32)}
+    total = len(key)
     head = np.flatnonzero(new_runs(x["word"]))
     size = np.diff(np.append(head, total))
     start = np.repeat(head, size)
@@ -301,13 +334,12 @@ def meet(group: pa.Table, num: int, den: int) -> pa.Table:
         room = np.cumsum(np.minimum(left, 64)) <= STEP_PAIRS
         room[0] = True
         todo, chunk = open_[room], np.minimum(left[room], 64)
-        cuts = np.cumsum(chunk) - chunk
         j = np.repeat(todo, chunk)
-        i = np.repeat(start[todo] + step[room] - cuts, chunk) + np.arange(len(j))
-        fit, apart = compatible(x, i, j, num, den)
-        touched[i[fit]] = True
-        best[todo] = np.minimum(best[todo], np.minimum.reduceat(np.where(fit, (apart << 40) | i, far), cuts))
-        partners[todo] += np.add.reduceat(fit.astype(np.int64), cuts)
+        i = np.repeat(start[todo] + step[room] - np.cumsum(chunk) + chunk, chunk) + np.arange(len(j))
+        i, j, apart = compatible(x, i, j, num, den)
+        touched[i] = True
+        np.minimum.at(best, j, (apart << 40) | i)
+        np.add.at(partners, j, 1)
         step[room] += 64
         more = ~room | (left > 64)
         open_, step = open_[more], step[more]
@@ -320,7 +352,7 @@ def meet(group: pa.Table, num: int, den: int) -> pa.Table:
     order = np.lexsort((b, a))
     order = order[new_runs(a[order], b[order])]
     a, b = a[order].view(np.int64), b[order].view(np.int64)
-    star = mix64((x["word"][member].astype(np.uint64) << np.uint64(32)) + np.uint64(0 if bucket >= HOT_BUCKET else bucket)).view(np.int64)
+    star = mix64((x["word"][member] << np.uint64(32)) + np.uint64(0 if bucket >= HOT_BUCKET else bucket)).view(np.int64)
     found = [star, x["cls"][member].view(np.int64), dense[member], x["doc"][member], x["line"][member], x["s1"][member].view(np.int64), x["s2"][member].view(np.int64), x["n"][member].astype(np.int32), x["pos"][member].astype(np.int32)]
     columns = [pa.array(np.concatenate([v, np.zeros(len(member), np.int64)]), mask=np.arange(len(v) + len(member)) >= len(v)) for v in (a, b)]
     columns += [pa.array(np.concatenate([np.zeros(len(a), v.dtype), v]), mask=np.arange(len(a) + len(v)) < len(a)) for v in found]
@@ -397,7 +429,7 @@ def confirm(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[p
 def cell_pairs(cell: pa.Table, num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
     """(row, row) of a cell's pairs that pass the filters; the second stands later and isn't settled."""
     x = {c: cell.column(c).to_numpy() for c in ("star", "cls", "doc", "line", "n", "pos", "block")}
-    x |= {c: cell.column(c).to_numpy().view(np.uint64) for c in ("s1", "s2")} | {"n": x["n"].astype(np.int64), "pos": x["pos"].astype(np.int64)}
+    x |= {c: cell.column(c).to_numpy().view(np.uint64) for c in ("s1", "s2")} | {"n": x["n"].astype(np.int32), "pos": x["pos"].astype(np.int32)}
     asks = np.asarray(cell.column("asks").to_numpy(zero_copy_only=False), dtype=bool)
     across = cell.column("i")[0].as_py() != cell.column("j")[0].as_py()
     order = np.lexsort((x["line"], x["doc"], x["star"]))
@@ -410,11 +442,12 @@ def cell_pairs(cell: pa.Table, num: int, den: int) -> tuple[np.ndarray, np.ndarr
             part = late[k : k + max(1, STEP_PAIRS // len(rows))]
             j = np.repeat(rows[part], part)
             i = rows[np.arange(len(j)) - np.repeat(np.cumsum(part) - part, part)]
-            fit = compatible(x, i, j, num, den)[0]
+            i, j, _ = compatible(x, i, j, num, den)
             if across:
-                fit &= x["block"][i] != x["block"][j]
-            left.append(i[fit])
-            right.append(j[fit])
+                fit = x["block"][i] != x["block"][j]
+                i, j = i[fit], j[fit]
+            left.append(i)
+            right.append(j)
     none = [np.zeros(0, np.int64)]
     return np.concatenate(left or none), np.concatenate(right or none)
 
@@ -460,7 +493,7 @@ def _judged_lines(docs: DataFrame, num: int, den: int) -> tuple[DataFrame, DataF
     levels = np.zeros(1 << COUNTER_BITS, dtype=np.uint8)
     for r in parts:
         levels[r["segment"] * SEGMENT : (r["segment"] + 1) * SEGMENT] = np.frombuffer(r["levels"], np.uint8)
-    words = known.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0] // 6
+    words = listed.agg(F.coalesce(F.sum("n_words"), F.lit(0))).first()[0]
     buckets = int(words * (den - num) / den // BUCKET_WORDS) + 1
     shared = spark.sparkContext.broadcast(levels)
     packed = known.mapInArrow(lambda b: Prefixes(shared.value, num, den, buckets)(b), _PACKED)
