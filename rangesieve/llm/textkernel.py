@@ -17,6 +17,9 @@ SLICE_ROWS = 20_000
 
 _MULT = np.uint64(0x9E3779B97F4A7C15 | 1)
 _MULT_INV = np.uint64(pow(int(_MULT), -1, 1 << 64))
+#: Bytes of a segment up to which it is hashed in steps of eight.
+LONG_SEGMENT = 256
+_FIRST_BYTES = np.array([(1 << 8 * i) - 1 for i in range(9)], dtype=np.uint64)
 _WORD_MULT = np.uint64(0xD6E8FEB86659FD93)
 _WORD_INV = np.uint64(pow(int(_WORD_MULT), -1, 1 << 64))
 
@@ -98,7 +101,31 @@ def find_words(data: np.ndarray, rows: np.ndarray, separators: np.ndarray = SPAC
 
 
 def segment_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each byte segment [start, end); segments are in order and do not overlap."""
+    """A 64-bit hash of each byte segment [start, end); segments are in order and do not overlap.
+
+    Eight bytes of all segments at a time; those longer than LONG_SEGMENT are hashed by running sums instead.
+    """
+    length = ends - starts
+    out = mix64(length.astype(np.uint64))
+    padded = np.zeros(len(data) + 8, dtype=np.uint8)
+    padded[: len(data)] = data
+    eights = np.ndarray((len(data) + 1,), "<u8", padded, 0, (1,))
+    live = np.flatnonzero(length <= LONG_SEGMENT)
+    at, left = starts[live], length[live]
+    while len(live):
+        x = (out[live] ^ (eights[at] & _FIRST_BYTES[np.minimum(left, 8)])) * _MULT
+        x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+        out[live] = x ^ (x >> np.uint64(32))
+        more = np.flatnonzero(left > 8)
+        live, at, left = live[more], at[more] + 8, left[more] - 8
+    out = mix64(out)
+    long = np.flatnonzero(length > LONG_SEGMENT)
+    if len(long):
+        out[long] = _summed_hashes(data, starts[long], ends[long])
+    return out
+
+
+def _summed_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     out = np.empty(len(starts), dtype=np.uint64)
     at = 0
     while at < len(starts):
