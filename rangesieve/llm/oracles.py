@@ -40,6 +40,33 @@ SELECT d.doc_id, len(w)::BIGINT AS n_words, coalesce(n, 0)::BIGINT AS n_hit, coa
 FROM d LEFT JOIN words USING (doc_id) LEFT JOIN found USING (doc_id)
 """
 
+_UPPER_HOST = "coalesce(regexp_extract({u}, '(?s)^.*?://([^/?#]*)([^?#]*)', 1), '')"
+_HOST = lambda u: _lower(_UPPER_HOST.format(u=u))
+_LINK = "(?i)<a\\s[^>]*?href\\s*=\\s*[\"'']?([^\"''\\s>]+)"
+#: Rounds after which ranks stand still to nine digits.
+_ROUNDS = 140
+OP4 = f"""
+WITH RECURSIVE p AS (SELECT page_id, html, {_HOST('url')} AS host, coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)([^?#]*)', 2), '') AS path FROM pages),
+rules AS (SELECT * FROM (VALUES ('block', 'net/', 'net', '/'), ('allow', 'example.net/en/', 'example.net', '/en/'), ('block', 'example.com/de/', 'example.com', '/de/'), ('allow', 'org/fr/', 'org', '/fr/')) AS v(verdict, rule, name, start)),
+fits AS (SELECT page_id, max_by(rule, (length(rule), rule)) AS rule, max_by(verdict, (length(rule), rule)) AS verdict FROM p JOIN rules ON (host = name OR ends_with(host, '.' || name)) AND starts_with(path, start) GROUP BY page_id),
+shares AS (SELECT host, avg(CASE WHEN verdict = 'allow' THEN 1.0 ELSE 0.0 END) AS allow, avg(CASE WHEN verdict = 'block' THEN 1.0 ELSE 0.0 END) AS block FROM p LEFT JOIN fits USING (page_id) GROUP BY host),
+chosen AS (SELECT 'trust' AS kind, host, allow AS s FROM shares WHERE allow > 0 UNION ALL SELECT 'distrust', host, block FROM shares WHERE block > 0),
+seeds AS (SELECT kind, host, s / sum(s) OVER (PARTITION BY kind) AS seed FROM chosen),
+hrefs AS (SELECT host AS src, unnest(regexp_extract_all(coalesce(html, ''), '{_LINK}', 1)) AS u FROM p),
+links AS (SELECT src, dst, count(*) AS n FROM (SELECT src, {_HOST("CASE WHEN starts_with(u, '//') THEN 'http:' || u ELSE u END")} AS dst FROM hrefs WHERE contains(u, '://') OR starts_with(u, '//')) WHERE src <> dst GROUP BY ALL),
+edges AS (SELECT 'trust' AS kind, src, dst, n FROM links UNION ALL SELECT 'distrust', dst, src, n FROM links),
+weighted AS (SELECT kind, src, dst, n / sum(n) OVER (PARTITION BY kind, src) AS w FROM edges),
+nodes AS (SELECT kind, host, coalesce(seed, 0.0) AS seed FROM (SELECT kind, src AS host FROM weighted UNION SELECT kind, dst FROM weighted UNION SELECT kind, host FROM seeds) LEFT JOIN seeds USING (kind, host)),
+ranks AS (
+  SELECT 0 AS round, kind, host, seed AS rank FROM nodes
+  UNION ALL
+  SELECT round, kind, host, seed * (1 - 0.85 * sum(inflow) OVER (PARTITION BY kind)) + 0.85 * inflow FROM (
+    SELECT r.round + 1 AS round, n.kind, n.host, n.seed, coalesce(sum(w.w * r.rank), 0.0) AS inflow
+    FROM nodes n JOIN ranks r ON r.kind = n.kind LEFT JOIN weighted w ON w.kind = n.kind AND w.dst = n.host AND w.src = r.host WHERE r.round < {_ROUNDS} GROUP BY ALL)),
+flows AS (SELECT host, coalesce(sum(rank) FILTER (WHERE kind = 'trust'), 0) AS t, coalesce(sum(rank) FILTER (WHERE kind = 'distrust'), 0) AS x FROM ranks WHERE round = {_ROUNDS} GROUP BY host)
+SELECT page_id, host, path, rule, coalesce(verdict, CASE WHEN x > 0 AND x > 0.5 * (t + x) THEN 'block' ELSE 'allow' END) AS verdict FROM p LEFT JOIN fits USING (page_id) LEFT JOIN flows USING (host)
+"""
+
 OP5 = f"""
 WITH lines AS (SELECT doc_id, line, {_words('t')} AS w FROM (SELECT doc_id, unnest(range(len(s))) AS line, unnest(s) AS t FROM (SELECT doc_id, string_split(text, chr(10)) AS s FROM documents WHERE text IS NOT NULL))),
 sets AS (SELECT doc_id, line, list_sort(list_distinct(w)) AS s FROM lines WHERE len(w) > 0),
@@ -106,4 +133,4 @@ failed AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base
 SELECT *, NOT base_failed AND NOT (n_removed_words > 0 AND (n_words - n_removed_words < 20 OR n_words - n_removed_words < 0.3 * n_words)) AS kept FROM failed
 """
 
-ORACLES: dict[str, str] = {"op2_substring_dedup": OP2, "op3_decontamination": OP3, "op5_line_dedup": OP5, "op6_secret_scan": OP6, "op7_ngram_join": OP7, "op8_quality": OP8}
+ORACLES: dict[str, str] = {"op2_substring_dedup": OP2, "op3_decontamination": OP3, "op4_url_filter": OP4, "op5_line_dedup": OP5, "op6_secret_scan": OP6, "op7_ngram_join": OP7, "op8_quality": OP8}

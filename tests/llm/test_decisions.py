@@ -174,7 +174,7 @@ def test_sql(spark, name):
     from rangesieve.llm import queries
 
     con = duckdb.connect()
-    for t in ("documents", "benchmark"):
+    for t in ("documents", "benchmark", "pages"):
         con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{D}/{t}.parquet'")
     want = con.execute(ORACLES[name])
     columns = [c[0] for c in want.description]
