@@ -22,8 +22,6 @@ from .common import cut_lineage, table
 
 #: Blocks that the source of the smallest positive target gets at least, so that rounding is a few per cent of any target.
 LEAST_BLOCKS = 50
-#: Rows of a range of the seeded order, on average; a source has as many ranges, and only those with an edge are sorted.
-RANGE_ROWS = 20_000
 WEIGHTS = (3, 1, 2)
 RESULTS = ("size", "source_size", "target", "taken", "shard_taken")
 
@@ -104,7 +102,8 @@ def mix_sources(docs: DataFrame, n_shards: int = 8, seats: int = 20_000, seed: i
     quotas = spark.createDataFrame([(s, k, n, block) for s in sizes for k, n in enumerate(blocks[s])], "source string, shard int, blocks long, block_tokens long")
 
     # an edge lies some words into a pass over the source's order
-    bits = max([0, *((r["rows"] // RANGE_ROWS).bit_length() for r in totals)])
+    # as many ranges of the order as each has rows, so that neither their list nor one of them is long
+    bits = max([0, *(r["rows"].bit_length() // 2 for r in totals)])
     part = F.shiftright(F.col("k.at"), 64 - bits) if bits else F.lit(0).cast("long")
     sums = light.groupBy("source", part.alias("part")).agg(F.sum("size").alias("n"))
     before = Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
