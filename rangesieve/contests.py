@@ -47,13 +47,17 @@ def _h(*parts: str) -> str:
     return k.h60_duck(" || '#' || ".join(p if p.startswith("'") else f"({p})::VARCHAR" for p in parts))
 
 
-TRIE_SQL = _sql(
-    f"""near AS (SELECT key, lag(key) OVER (ORDER BY key) AS p, lead(key) OVER (ORDER BY key) AS q FROM keys),
-deep AS (SELECT key, least(62, greatest(coalesce(62 - {duck.bitlen('xor(key, p)')}, -1), coalesce(62 - {duck.bitlen('xor(key, q)')}, -1)) + 1)::INTEGER AS depth FROM near),
-kept AS (SELECT (key >> (62 - depth)) << (62 - depth) AS first, ((key >> (62 - depth)) << (62 - depth)) + (1::BIGINT << (62 - depth)) - 1 AS last FROM deep),
-hit AS (SELECT DISTINCT query_id FROM queries JOIN kept ON first <= hi AND last >= lo)""",
-    HIT,
-)
+def _trie_sql(more: int = 0, tag_bits: int = 0) -> str:
+    """more: real bits beyond those that tell a key from its neighbours; tag_bits: hashed ones, which refine points."""
+    tag = lambda x: f"{_h(repr('suffix'), x)} % {1 << tag_bits}"
+    fits = f" AND (lo <> hi OR tag = {tag('lo')})" if tag_bits else ""
+    return _sql(
+        f"""near AS (SELECT key, lag(key) OVER (ORDER BY key) AS p, lead(key) OVER (ORDER BY key) AS q FROM keys),
+deep AS (SELECT key, least(62, greatest(coalesce(62 - {duck.bitlen('xor(key, p)')}, -1), coalesce(62 - {duck.bitlen('xor(key, q)')}, -1)) + 1 + {more})::INTEGER AS depth FROM near),
+kept AS (SELECT (key >> (62 - depth)) << (62 - depth) AS first, ((key >> (62 - depth)) << (62 - depth)) + (1::BIGINT << (62 - depth)) - 1 AS last, {tag('key') if tag_bits else 0} AS tag FROM deep),
+hit AS (SELECT DISTINCT query_id FROM queries JOIN kept ON first <= hi AND last >= lo{fits})""",
+        HIT, "mixed", 1 if tag_bits else SHORT,
+    )
 
 
 def _levels_sql(size: str, place: Callable[[int], str], bitmap: str) -> str:
@@ -134,28 +138,30 @@ hit AS (SELECT DISTINCT query_id FROM both_ JOIN stored USING (b, f))""",
     HIT, "mixed", 1,
 )
 
-ALONE: dict[str, tuple[type, str | None, int]] = {
-    "base_truncated_trie": (baselines.TruncatedTrie, TRIE_SQL, SHORT),
-    "base_dyadic_bloom": (baselines.DyadicBloom, _levels_sql("CASE WHEN level = 0 THEN whole // 2 ELSE greatest(64, (whole - whole // 2) // {levels}) END", _BIT, "level"), SHORT),
-    "base_shared_bitmap": (baselines.SharedDyadicBitmap, _levels_sql("whole", _BIT, "0"), SHORT),
-    "base_prefix_hash_bitmap": (baselines.PrefixHashBitmap, _levels_sql("whole", _WORD, "0"), SHORT),
-    "base_spline_bitmap": (baselines.SplineBitmap, _spline_sql(), SHORT),
-    "base_pruned_spline": (baselines.PrunedSplineBitmap, _spline_sql(64), SHORT),
-    "base_local_hash": (baselines.LocalHashSet, RING_SQL, SHORT),
-    "base_prefix_suffix": (baselines.PrefixSuffixTable, _sql(_table_ctes(0), HIT), SHORT),
-    "base_prefix_suffix_extra": (baselines.PrefixSuffixTableExtraBit, _sql(_table_ctes(1), HIT), SHORT),
-    "base_point_bloom": (baselines.PointBloom, BLOOM_SQL, 1),
-    "base_point_cuckoo": (baselines.PointCuckoo, CUCKOO_SQL, 1),
-    "exact": (baselines.ExactRange, _sql("hit AS (SELECT query_id FROM truth WHERE NOT empty)", HIT), SHORT),
-    "no_filter": (baselines.NoFilter, _sql("hit AS (SELECT query_id FROM queries)", HIT), SHORT),
+ALONE: dict[str, tuple[Callable[[DataFrame], object], str | None, int]] = {
+    "base_truncated_trie": (baselines.TruncatedTrie.build, _trie_sql(), SHORT),
+    "base_truncated_trie_real": (lambda keys: baselines.TruncatedTrie.build(keys, 4), _trie_sql(4), SHORT),
+    "base_truncated_trie_hashed": (lambda keys: baselines.TruncatedTrie.build(keys, 4, "hashed"), _trie_sql(0, 4), 1),
+    "base_dyadic_bloom": (baselines.DyadicBloom.build, _levels_sql("CASE WHEN level = 0 THEN whole // 2 ELSE greatest(64, (whole - whole // 2) // {levels}) END", _BIT, "level"), SHORT),
+    "base_shared_bitmap": (baselines.SharedDyadicBitmap.build, _levels_sql("whole", _BIT, "0"), SHORT),
+    "base_prefix_hash_bitmap": (baselines.PrefixHashBitmap.build, _levels_sql("whole", _WORD, "0"), SHORT),
+    "base_spline_bitmap": (baselines.SplineBitmap.build, _spline_sql(), SHORT),
+    "base_pruned_spline": (baselines.PrunedSplineBitmap.build, _spline_sql(64), SHORT),
+    "base_local_hash": (baselines.LocalHashSet.build, RING_SQL, SHORT),
+    "base_prefix_suffix": (baselines.PrefixSuffixTable.build, _sql(_table_ctes(0), HIT), SHORT),
+    "base_prefix_suffix_extra": (baselines.PrefixSuffixTableExtraBit.build, _sql(_table_ctes(1), HIT), SHORT),
+    "base_point_bloom": (baselines.PointBloom.build, BLOOM_SQL, 1),
+    "base_point_cuckoo": (baselines.PointCuckoo.build, CUCKOO_SQL, 1),
+    "exact": (baselines.ExactRange.build, _sql("hit AS (SELECT query_id FROM truth WHERE NOT empty)", HIT), SHORT),
+    "no_filter": (baselines.NoFilter.build, _sql("hit AS (SELECT query_id FROM queries)", HIT), SHORT),
 }
 
-for _name, (_cls, _oracle, _length) in ALONE.items():
+for _name, (_make, _oracle, _length) in ALONE.items():
 
     @register(_name, _oracle)
-    def _alone(spark: SparkSession, d: str, cls: type = _cls, length: int = _length) -> DataFrame:
+    def _alone(spark: SparkSession, d: str, make: Callable = _make, length: int = _length) -> DataFrame:
         keys, asked = k.range_queries(written(k.integer_keys(spark, d, "skewed")), "mixed", length)
-        return metrics.fpr(range_is_empty(asked, keys).join(cls.build(keys).probe(asked), "query_id"))
+        return metrics.fpr(range_is_empty(asked, keys).join(make(keys).probe(asked), "query_id"))
 
 
 HYBRID_LONG = 1 << 12
@@ -163,23 +169,26 @@ _EPS = 0.01
 _HYBRID_BPK = (3.125 + math.log2(SHORT / _EPS)) / 0.95
 
 
-def _hybrid_sql() -> str:
+def _hybrid_sql(intersect: bool) -> str:
     every = k.range_queries_sql("skewed", "mixed", 64)
     long = k.range_queries_sql("skewed", "mixed", HYBRID_LONG).split("queries AS (", 1)[1]
     head = every.replace("queries AS (", "short AS (", 1) + f", long AS ({long}, queries AS (SELECT 2 * query_id AS query_id, lo, hi, kind FROM short UNION ALL SELECT 2 * query_id + 1, lo, hi, kind FROM long)"
     base = f"{duck.filter_ctes(1024, 8)}, {duck.verdict_ctes(1024, 8)}".replace("verdicts AS", "judged AS")
     small = "narrow AS (SELECT * FROM queries WHERE hi - lo + 1 <= 128)"
-    return f"WITH {head}, {small}, {_table_ctes(0, _HYBRID_BPK, SHORT, 'narrow')}, {base}, verdicts AS (SELECT query_id, empty, CASE WHEN hi - lo + 1 <= {SHORT} THEN {HIT} ELSE cause IN ('anchor', 'infix') END AS positive FROM judged) {COUNTS}"
+    both = f"{HIT} AND cause IN ('anchor', 'infix')" if intersect else HIT
+    return f"WITH {head}, {small}, {_table_ctes(0, _HYBRID_BPK, SHORT, 'narrow')}, {base}, verdicts AS (SELECT query_id, empty, CASE WHEN hi - lo + 1 <= {SHORT} THEN {both} ELSE cause IN ('anchor', 'infix') END AS positive FROM judged) {COUNTS}"
+
 
+for _name, _intersect in (("hybrid_probe", False), ("hybrid_intersect", True)):
 
-@register("hybrid_probe", _hybrid_sql())
-def _hybrid(spark: SparkSession, d: str) -> DataFrame:
-    """Ranges of 64 go to the table, ranges of 4,096 to the base filter."""
-    all_keys = written(k.integer_keys(spark, d, "skewed"))
-    keys, short = k.range_queries(all_keys, "mixed", 64)
-    _, long = k.range_queries(all_keys, "mixed", HYBRID_LONG)
-    asked = short.withColumn("query_id", 2 * F.col("query_id")).union(long.withColumn("query_id", 2 * F.col("query_id") + 1))
-    return metrics.fpr(range_is_empty(asked, keys).join(baselines.HybridFilter.build(keys, SHORT, _EPS).probe(asked), "query_id"))
+    @register(_name, _hybrid_sql(_intersect))
+    def _hybrid(spark: SparkSession, d: str, intersect: bool = _intersect) -> DataFrame:
+        """Ranges of 64 go to the table, or to both filters, ranges of 4,096 to the base filter."""
+        all_keys = written(k.integer_keys(spark, d, "skewed"))
+        keys, short = k.range_queries(all_keys, "mixed", 64)
+        _, long = k.range_queries(all_keys, "mixed", HYBRID_LONG)
+        asked = short.withColumn("query_id", 2 * F.col("query_id")).union(long.withColumn("query_id", 2 * F.col("query_id") + 1))
+        return metrics.fpr(range_is_empty(asked, keys).join(baselines.HybridFilter.build(keys, SHORT, _EPS, intersect=intersect).probe(asked), "query_id"))
 
 
 @register("base_tuned_trie_bloom")
