@@ -59,7 +59,7 @@ _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
 _LISTED = "doc_id long, lines array<int>, c1 array<long>, c2 array<long>, segment int, cells binary, counts binary, n_words long"
 _PACKED = "bucket int, classes binary, entries binary"
 _MEMBER = "star long, cls long, dense boolean, doc long, line int, s1 long, s2 long, n int, pos int"
-_MET = f"a long, b long, {_MEMBER}"
+_MET = f"a long, b long, b_doc long, b_line int, {_MEMBER}"
 _LINE = "doc_id long, line int, c1 long, c2 long, text binary"
 
 
@@ -302,7 +302,8 @@ def first_lines(classes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def meet(group: pa.Table, num: int, den: int) -> pa.Table:
     """The entries of one bucket to _MET rows.
 
-    With a and b: b is the closest class that stands before a under one of its words and passes the filters.  With a star: the members
+    With a and b: b is the closest class that stands before a under one of its words and passes the filters; doc and line are those of the
+    first line of a, as every entry of a class for a word comes to one bucket.  With a star: the members
     of a word some of whose classes have more than one such partner, or that has too many classes; dense ones may have more than one.
     """
     bucket = group.column("bucket")[0].as_py()
@@ -348,14 +349,18 @@ def meet(group: pa.Table, num: int, den: int) -> pa.Table:
     crowded = (np.bincount(group_of, dense, minlength=len(head)) > 0)[group_of] if total else dense
     member = np.flatnonzero(crowded & (touched | (partners > 0) | large))
     got = np.flatnonzero(partners > 0)
-    a, b = x["cls"][got], x["cls"][best[got] & ((1 << 40) - 1)]
-    order = np.lexsort((b, a))
-    order = order[new_runs(a[order], b[order])]
-    a, b = a[order].view(np.int64), b[order].view(np.int64)
+    other = best[got] & ((1 << 40) - 1)
+    order = np.lexsort((x["cls"][other], x["cls"][got]))
+    order = order[new_runs(x["cls"][got[order]], x["cls"][other[order]])]
+    got, other = got[order], other[order]
+    nothing = np.zeros(len(got), np.int64)
+    pair = [x["cls"][got].view(np.int64), x["cls"][other].view(np.int64), x["doc"][other], x["line"][other]]
+    of_a = [nothing, nothing, nothing.astype(bool), x["doc"][got], x["line"][got], *[nothing] * 4]
     star = mix64((x["word"][member] << np.uint64(32)) + np.uint64(0 if bucket >= HOT_BUCKET else bucket)).view(np.int64)
     found = [star, x["cls"][member].view(np.int64), dense[member], x["doc"][member], x["line"][member], x["s1"][member].view(np.int64), x["s2"][member].view(np.int64), x["n"][member].astype(np.int32), x["pos"][member].astype(np.int32)]
-    columns = [pa.array(np.concatenate([v, np.zeros(len(member), np.int64)]), mask=np.arange(len(v) + len(member)) >= len(v)) for v in (a, b)]
-    columns += [pa.array(np.concatenate([np.zeros(len(a), v.dtype), v]), mask=np.arange(len(a) + len(v)) < len(a)) for v in found]
+    place = np.arange(len(got) + len(member))
+    columns = [pa.array(np.concatenate([v, np.zeros(len(member), v.dtype)]), mask=place >= len(got)) for v in pair]
+    columns += [pa.array(np.concatenate([u.astype(v.dtype), v]), mask=None if k in (3, 4) else place < len(got)) for k, (u, v) in enumerate(zip(of_a, found, strict=True))]
     return pa.table(columns, names=[c.split()[0] for c in _MET.split(", ")])
 
 
@@ -453,9 +458,9 @@ def cell_pairs(cell: pa.Table, num: int, den: int) -> tuple[np.ndarray, np.ndarr
 
 
 def needed(cell: pa.Table, num: int, den: int) -> pa.Table:
-    """(star, i, j, cls): whose line the cell needs."""
+    """(star, i, j, cls, doc, line): whose line the cell needs."""
     i, j = cell_pairs(cell, num, den)
-    return cell.select(["star", "i", "j", "cls"]).take(pa.array(np.unique(np.concatenate([i, j]))))
+    return cell.select(["star", "i", "j", "cls", "doc", "line"]).take(pa.array(np.unique(np.concatenate([i, j]))))
 
 
 def settle(cell: pa.Table, num: int, den: int) -> pa.Table:
@@ -500,8 +505,8 @@ def _judged_lines(docs: DataFrame, num: int, den: int) -> tuple[DataFrame, DataF
     met = cut_lineage(packed.groupBy("bucket").applyInArrow(lambda g: meet(g, num, den), _MET))
 
     def texts_of(classes: DataFrame) -> DataFrame:
-        """(c1, c2, doc, line, text) of the first lines of the classes (c1)."""
-        wanted = cut_lineage(classes.join(first, "c1"))
+        """(c1, c2, doc, line, text) of the first lines (c1, doc, line) of classes."""
+        wanted = cut_lineage(classes.distinct())
         held = wanted.select((_place(F.col("doc"), F.col("line")) + 1).alias("p")).groupBy(F.bitmap_bucket_number("p").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("bits")).collect()
         bits = np.zeros(PICK_BITS // 8, dtype=np.uint8)
         for r in held:
@@ -509,17 +514,18 @@ def _judged_lines(docs: DataFrame, num: int, den: int) -> tuple[DataFrame, DataF
             bits[(r["k"] - 1) * 4096 : r["k"] * 4096] = np.frombuffer(r["bits"], np.uint8)
         there = spark.sparkContext.broadcast(bits)
         picked = known.mapInArrow(lambda b: picker(there.value)(b), _LINE)
-        return cut_lineage(picked.join(wanted.withColumnRenamed("doc", "doc_id"), ["doc_id", "line", "c1", "c2"]).select("c1", "c2", F.col("doc_id").alias("doc"), "line", "text").dropDuplicates(["c1", "c2"]))
+        return cut_lineage(picked.join(wanted.withColumnRenamed("doc", "doc_id"), ["doc_id", "line", "c1"]).select("c1", "c2", F.col("doc_id").alias("doc"), "line", "text").dropDuplicates(["c1", "c2"]))
 
-    pairs = cut_lineage(met.where("a IS NOT NULL").select("a", "b").distinct())
-    texts = texts_of(pairs.select(F.explode(F.array("a", "b")).alias("c1")).distinct())
+    pairs = cut_lineage(met.where("a IS NOT NULL").select("a", "doc", "line", "b", "b_doc", "b_line").distinct())
+    ends = F.explode(F.array(F.struct(F.col("a").alias("c1"), "doc", "line"), F.struct(F.col("b").alias("c1"), F.col("b_doc").alias("doc"), F.col("b_line").alias("line"))))
+    texts = texts_of(pairs.select(ends.alias("e")).select("e.*"))
     ta = texts.select(F.col("c1").alias("a"), F.col("c2").alias("a2"), F.struct("doc", "line").alias("_fa"), F.col("text").alias("ta"))
     tb = texts.select(F.col("c1").alias("b"), F.struct("doc", "line").alias("_fb"), F.col("text").alias("tb"))
-    both = pairs.join(ta, "a").join(tb, "b").where("_fb < _fa").select("a", "a2", "ta", "tb")
+    both = pairs.select("a", "b").join(ta, "a").join(tb, "b").where("_fb < _fa").select("a", "a2", "ta", "tb")
     gone = cut_lineage(both.mapInArrow(lambda b: confirm(b, num, den), "c1 long, c2 long, s1 long").distinct())
 
     # what that leaves open meets all members of its stars
-    member = met.where("star IS NOT NULL").drop("a", "b")
+    member = met.where("star IS NOT NULL").drop("a", "b", "b_doc", "b_line")
     asking = cut_lineage(member.where("dense").select("star", "cls", "s1").distinct().join(gone.select(F.col("c1").alias("cls"), "s1"), ["cls", "s1"], "left_anti"))
     if not asking.isEmpty():
         stars = asking.select("star").distinct()
@@ -533,8 +539,8 @@ def _judged_lines(docs: DataFrame, num: int, den: int) -> tuple[DataFrame, DataF
         large = F.col("blocks") > 1
         placed = placed.select("*", large.alias("large"), F.when(large, F.col("star")).otherwise(F.pmod(F.xxhash64("star"), F.lit(cells))).alias("cell"), F.least("block", "_o").alias("i"), F.greatest("block", "_o").alias("j")).drop("_o", "blocks")
         keys = ["large", "cell", "i", "j"]
-        wanted = cut_lineage(placed.groupBy(*keys).applyInArrow(lambda g: needed(g, num, den), "star long, i long, j long, cls long"))
-        held = texts_of(wanted.select(F.col("cls").alias("c1")).distinct()).select(F.col("c1").alias("cls"), "c2", "text")
+        wanted = cut_lineage(placed.groupBy(*keys).applyInArrow(lambda g: needed(g, num, den), "star long, i long, j long, cls long, doc long, line int"))
+        held = texts_of(wanted.select(F.col("cls").alias("c1"), "doc", "line")).select(F.col("c1").alias("cls"), "c2", "text")
         work = placed.join(wanted, ["star", "i", "j", "cls"], "left_semi").join(held, "cls")
         gone = cut_lineage(gone.select("c1", "c2").union(work.groupBy(*keys).applyInArrow(lambda g: settle(g, num, den), "c1 long, c2 long")).distinct())
     # the lines that stay are the first ones of the classes that stay
