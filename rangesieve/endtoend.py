@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from .baselines import filters as baselines
 from .catalogue import R, T, VARIANTS, register
-from .contests import _grow_sql, doublings
+from .contests import doublings
 from .functions.entropy import Codebook, bisection_codes, compression_ratio, encode_columns, entropy_bits, huffman_lengths, mean_length, symbol_counts
 from .functions.geometry import Geometry
 from .operators.anchors import range_is_empty, shard_bounds
@@ -196,11 +196,8 @@ def _trie_sizes(spark: SparkSession, d: str) -> DataFrame:
 
 # updates of the base filter
 
-_STEPPED = _grow_sql("skewed", ("base",), False).replace("'base' AS f", "'base' AS f")
-
-
-def _stages(spark: SparkSession, d: str, **options) -> list[tuple[int, DynamicFilter, DataFrame]]:
-    keys = written(doublings(k.integer_keys(spark, d, "skewed")))
+def _stages(spark: SparkSession, d: str, name: str = "skewed", **options) -> list[tuple[int, DynamicFilter, DataFrame]]:
+    keys = written(doublings(k.integer_keys(spark, d, name)))
     f = DynamicFilter.build(keys.where("step = 0").select("key"), t=T, r=R, bounds=shard_bounds(keys.select("key"), shards=8), **options)
     out = []
     for step in range(1, 7):
@@ -243,11 +240,12 @@ def _duplicates(spark: SparkSession, d: str) -> DataFrame:
 
 @register("dyn_fpr_by_doubling")
 def _by_doubling(spark: SparkSession, d: str) -> DataFrame:
-    """False positives as the keys double, with remainders of one length and with a bit more for each doubling."""
+    """False positives of ranges anywhere as uniform keys double, with remainders of one length and with a bit more for each doubling."""
     rows = []
     for widening in ("none", "per_doubling"):
-        for step, f, keys in _stages(spark, d, widening=widening):
-            asked = written(keys.where(k.h60(F.concat(F.lit("near"), F.col("key").cast("string"))) % 4 == 0).select(F.col("key").alias("query_id"), (F.col("key") + 1).alias("lo"), (F.col("key") + 1024).alias("hi")))
+        for step, f, keys in _stages(spark, d, "uniform", widening=widening):
+            lo = k.h60(F.concat(F.lit("ask"), F.col("key").cast("string")))
+            asked = written(k.integer_keys(spark, d, "uniform").select(F.col("key").alias("query_id"), lo.alias("lo"), (lo + 1023).alias("hi")))
             r = metrics.fpr(range_is_empty(asked, keys).join(f.probe(asked), "query_id")).first()
             s = f.stats().agg(F.sum("bits").alias("bits"), F.sum("entries").alias("entries"), F.sum("slots").alias("slots")).first()
             rows.append((widening, step, r["n_empty"], r["false_positives"], r["false_negatives"], s["bits"], round(s["entries"] / max(1, s["slots"]), 4)))

@@ -42,3 +42,23 @@ def test_stream_of_updates(spark, tmp_path):
     deleted = {r["key"] for r in events.where("event_type = 'error'").select(F.unix_micros(F.col("ts").cast("timestamp")).alias("key")).collect()}
     points = spark.createDataFrame([(i, x, x) for i, x in enumerate(sorted(inserted - deleted))], "query_id long, lo long, hi long")
     assert held["filter"].probe(points).where("not positive").count() == 0
+
+
+def test_filters_of_windows(spark, tmp_path):
+    events = spark.read.parquet(f"{D}/events.parquet").select("event_id", "ts", "event_type").orderBy("event_id").limit(80)
+    events.repartition(2).write.parquet(f"{tmp_path}/events")
+    stream = updates.window_filters(spark, spark.readStream.schema(events.schema).parquet(f"{tmp_path}/events"), f"{tmp_path}/windows", f"{tmp_path}/checkpoint", t=16)
+    stream.awaitTermination(300)
+    keys = [r["key"] for r in updates.window_keys(events).select("key").distinct().collect()]
+    asked = spark.createDataFrame([(i, x, x) for i, x in enumerate(keys)] + [(900, 5, 9)], "query_id long, lo long, hi long")
+    found = {r["query_id"]: r["positive"] for r in updates.probe_windows(spark, asked, f"{tmp_path}/windows", t=16).collect()}
+    assert all(found[i] for i in range(len(keys))) and not found[900]
+
+
+def test_saved_string_filter_answers_alike(spark, tmp_path):
+    words = spark.createDataFrame([(f"w{i * 37 % 1000:04d}",) for i in range(500)], "key string")
+    f = BaseFilter.build(words, t=32, eps=2 / 256)
+    store.save_base(f, str(tmp_path))
+    again = store.load_base(spark, str(tmp_path))
+    asked = spark.createDataFrame([(i, f"w{i:04d}", f"w{i:04d}") for i in range(0, 1000, 7)], "query_id long, lo string, hi string")
+    assert sorted(map(tuple, f.probe(asked).collect())) == sorted(map(tuple, again.probe(asked).collect()))
