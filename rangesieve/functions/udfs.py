@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from ..operators.blocks import Block, rank, select
@@ -17,26 +18,26 @@ def _bits(raw: bytes) -> np.ndarray:
     return np.unpackbits(np.frombuffer(raw, np.uint8)).astype(bool)
 
 
-@pandas_udf("int")
+@pandas_udf(T.IntegerType())
 def rank_bits(bits: pd.Series, place: pd.Series) -> pd.Series:
     """Ones before a place of a bitmap, most significant bit first."""
     return pd.Series([None if b is None or pd.isna(p) else rank(_bits(b), int(p)) for b, p in zip(bits, place, strict=True)], dtype="Int32")
 
 
-@pandas_udf("int")
+@pandas_udf(T.IntegerType())
 def select_bits(bits: pd.Series, number: pd.Series) -> pd.Series:
     """Place of the number-th one, from 0; the length of the bitmap if there are fewer."""
     return pd.Series([None if b is None or pd.isna(i) else select(_bits(b), int(i)) for b, i in zip(bits, number, strict=True)], dtype="Int32")
 
 
-@pandas_udf("boolean")
+@pandas_udf(T.BooleanType())
 def range_maybe(r: pd.Series, q_base: pd.Series, q_count: pd.Series, n_keys: pd.Series, occupieds: pd.Series, runends: pd.Series, slots: pd.Series, low: pd.Series, high: pd.Series) -> pd.Series:
     """Whether a packed block may hold an infix from low to high."""
     rows = zip(r, q_base, q_count, n_keys, occupieds, runends, slots, low, high, strict=True)
     return pd.Series([Block.from_bytes(int(a), int(b), int(c), int(n), o, e, s).probe(int(x), int(y)) != "none" for a, b, c, n, o, e, s, x, y in rows])
 
 
-@udtf(returnType="infix: bigint")
+@udtf(returnType=T.StructType([T.StructField("infix", T.LongType())]))
 class UnpackBlock:
     """The infixes of a packed block, in order."""
 
@@ -55,7 +56,7 @@ def dyadic_nodes(lo: int, hi: int, depth: int) -> Iterator[tuple[int, int]]:
         lo += 1 << level
 
 
-@udtf(returnType="level: int, prefix: bigint")
+@udtf(returnType=T.StructType([T.StructField("level", T.IntegerType()), T.StructField("prefix", T.LongType())]))
 class DyadicCover:
     """The fewest aligned intervals that make up a range."""
 
@@ -66,7 +67,7 @@ class DyadicCover:
 def encoder(book: Codebook):
     """A function of byte strings that gives their codes, zero-padded to bytes, in a codebook of bounded size."""
 
-    @pandas_udf("binary")
+    @pandas_udf(T.BinaryType())
     def encode_key(key: pd.Series) -> pd.Series:
         return key.map(lambda x: None if x is None else to_bytes(book.encode(x.encode() if isinstance(x, str) else bytes(x))))
 
