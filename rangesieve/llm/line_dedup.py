@@ -36,7 +36,7 @@ LEVELS = 8
 #: A word with more occurrences has its classes dealt over several buckets, and meets them in cells.
 HOT_WORD = 200_000
 #: Prefix words that meet in one exchange bucket; bounds the memory of the task that reads it.
-BUCKET_WORDS = 300_000
+BUCKET_WORDS = 100_000
 #: Prefix words that a task of the exchange gathers before it sends them.
 SEND_WORDS = 1_000_000
 #: Classes of one word that a bucket compares itself; more are a star.
@@ -59,7 +59,7 @@ _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
 _LISTED = "doc_id long, lines array<int>, c1 array<long>, c2 array<long>, segment int, cells binary, counts binary, n_words long"
 _PACKED = "bucket int, classes binary, entries binary"
 _MEMBER = "star long, cls long, dense boolean, doc long, line int, s1 long, s2 long, n int, pos int"
-_MET = f"a long, b long, b_doc long, b_line int, {_MEMBER}"
+_MET = f"a long, b long, apart int, b_doc long, b_line int, {_MEMBER}"
 _LINE = "doc_id long, line int, c1 long, c2 long, text binary"
 
 
@@ -353,8 +353,9 @@ def meet(group: pa.Table, num: int, den: int) -> pa.Table:
     order = np.lexsort((x["cls"][other], x["cls"][got]))
     order = order[new_runs(x["cls"][got[order]], x["cls"][other[order]])]
     got, other = got[order], other[order]
+    apart = (best[got] >> 40).astype(np.int32)
     nothing = np.zeros(len(got), np.int64)
-    pair = [x["cls"][got].view(np.int64), x["cls"][other].view(np.int64), x["doc"][other], x["line"][other]]
+    pair = [x["cls"][got].view(np.int64), x["cls"][other].view(np.int64), apart, x["doc"][other], x["line"][other]]
     of_a = [nothing, nothing, nothing.astype(bool), x["doc"][got], x["line"][got], *[nothing] * 4]
     star = mix64((x["word"][member] << np.uint64(32)) + np.uint64(0 if bucket >= HOT_BUCKET else bucket)).view(np.int64)
     found = [star, x["cls"][member].view(np.int64), dense[member], x["doc"][member], x["line"][member], x["s1"][member].view(np.int64), x["s2"][member].view(np.int64), x["n"][member].astype(np.int32), x["pos"][member].astype(np.int32)]
@@ -413,7 +414,7 @@ def similar(x: np.ndarray, y: np.ndarray, texts: list[bytes], num: int, den: int
 
 
 def confirm(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
-    """(a, a2, ta, tb) to the (c1, c2, s1) of the lines ta that are similar to their tb; s1: half of the sketch."""
+    """(a, a2, ta, tb, doc, line) to the (c1, c2, s1, doc, line) of the lines ta that are similar to their tb; s1: half of the sketch."""
     for batch in batches:
         size = np.cumsum([len(a) + len(b) for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)])
         at = 0
@@ -427,7 +428,7 @@ def confirm(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[p
             pair, words = of[order] >> 1, words[order]
             both = np.bincount(pair[1:][(words[1:] == words[:-1]) & (pair[1:] == pair[:-1])], minlength=part.num_rows)
             fit = den * both >= num * (np.bincount(pair, minlength=part.num_rows) - both)
-            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sketch.copy().view(np.int64))], names=["c1", "c2", "s1"]).filter(pa.array(fit))
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(sketch.copy().view(np.int64)), part.column(4), part.column(5)], names=["c1", "c2", "s1", "doc", "line"]).filter(pa.array(fit))
             at = to
 
 
@@ -516,13 +517,23 @@ def _judged_lines(docs: DataFrame, num: int, den: int) -> tuple[DataFrame, DataF
         picked = known.mapInArrow(lambda b: picker(there.value)(b), _LINE)
         return cut_lineage(picked.join(wanted.withColumnRenamed("doc", "doc_id"), ["doc_id", "line", "c1"]).select("c1", "c2", F.col("doc_id").alias("doc"), "line", "text").dropDuplicates(["c1", "c2"]))
 
-    pairs = cut_lineage(met.where("a IS NOT NULL").select("a", "doc", "line", "b", "b_doc", "b_line").distinct())
+    pairs = cut_lineage(met.where("a IS NOT NULL").select("a", "doc", "line", "b", "b_doc", "b_line", "apart").distinct())
     ends = F.explode(F.array(F.struct(F.col("a").alias("c1"), "doc", "line"), F.struct(F.col("b").alias("c1"), F.col("b_doc").alias("doc"), F.col("b_line").alias("line"))))
     texts = texts_of(pairs.select(ends.alias("e")).select("e.*"))
     ta = texts.select(F.col("c1").alias("a"), F.col("c2").alias("a2"), F.struct("doc", "line").alias("_fa"), F.col("text").alias("ta"))
     tb = texts.select(F.col("c1").alias("b"), F.struct("doc", "line").alias("_fb"), F.col("text").alias("tb"))
-    both = pairs.select("a", "b").join(ta, "a").join(tb, "b").where("_fb < _fa").select("a", "a2", "ta", "tb")
-    gone = cut_lineage(both.mapInArrow(lambda b: confirm(b, num, den), "c1 long, c2 long, s1 long").distinct())
+
+    def confirmed(some: DataFrame) -> DataFrame:
+        both = some.select("a", "b").join(ta, "a").join(tb, "b").where("_fb < _fa").select("a", "a2", "ta", "tb", "_fa.doc", "_fa.line")
+        return both.mapInArrow(lambda b: confirm(b, num, den), "c1 long, c2 long, s1 long, doc long, line int").distinct()
+
+    # the closest of the earlier classes that the words propose, and the others only where that one isn't similar
+    closest = cut_lineage(pairs.groupBy("a", "doc", "line").agg(F.min(F.struct("apart", "b", "b_doc", "b_line")).alias("m")).select("a", "doc", "line", "m.b"))
+    gone = cut_lineage(confirmed(closest))
+    settled = gone.select(F.col("c1").alias("a"), "doc", "line")
+    rest = cut_lineage(pairs.join(closest, ["a", "doc", "line", "b"], "left_anti").join(settled, ["a", "doc", "line"], "left_anti"))
+    if not rest.isEmpty():
+        gone = cut_lineage(gone.union(confirmed(rest)).distinct())
 
     # what that leaves open meets all members of its stars
     member = met.where("star IS NOT NULL").drop("a", "b", "b_doc", "b_line")
