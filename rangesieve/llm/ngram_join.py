@@ -6,7 +6,7 @@ one-deletion neighbourhoods are searched too counts twice, since it tolerates on
 of its band and, as the larger side, probes the cheapest sufficient units in its own and the next smaller band, by the frequency
 of their subsets where it was signed.  Segments without shingles are the last resort, and are then keyed by exact set size.
 
-Equal sets are one class before anything is compared.  A signature bucket yields stars: its members, each with the signatures that it
+Equal sets are one class before anything is compared.  A group of signature buckets yields stars: its members, each with the signatures that it
 asks for and has, around the smallest probing set.  A pair of classes belongs to the smallest star in which one asks for what the other
 has, and is looked at there alone.  Large stars are cut into blocks, and each pair of blocks is one cell of work; parity sketches rule
 out most pairs of a cell, and exact counts on whole texts decide the others.  So every link is verified and counted, while what leaves
@@ -29,8 +29,10 @@ from pyspark.sql import functions as F
 from .common import components, cut_lineage, sifted, table
 from .textkernel import LOWER, find_words, mix64, run_hashes, segment_hashes, text_slices, window_starts
 
-#: Shingles whose signatures meet in one exchange bucket; bounds the memory of the task that reads it.
+#: Shingles whose signatures are sorted in one bucket; bounds the memory of that step.
 BUCKET_SHINGLES = 1_000_000
+#: Groups that buckets meet in, and buckets of a group at most: a pair that shares signatures in many buckets comes out once for each group.
+GROUPS, GROUP_BUCKETS = 32, 8
 #: Shingles whose corpus frequency is known when segments are priced; all others count as rare.
 FREQUENT_SHINGLES = 1 << 17
 #: Bands of sets up to this size index and probe one-deletion neighbourhoods in all segments, larger ones in none.
@@ -239,16 +241,43 @@ def signer(width: int, num: int, den: int, buckets: int, frequent: np.ndarray, c
     return run
 
 
+def group_count(buckets: int) -> int:
+    """As many groups at any size until they would hold more than GROUP_BUCKETS buckets."""
+    return min(buckets, max(GROUPS, -(-buckets // GROUP_BUCKETS)))
+
+
 def stars(group: pa.Table) -> pa.Table:
-    """Candidate pairs of one bucket: (doc, centre, asks, has).
+    """Candidate pairs of a group of buckets, each once: (doc, centre, asks, has).
 
     asks and has are 64-bit masks of the signatures that doc probes there, and of all it has there: two documents of a star can be
     needed as a pair only if one asks for what the other has.
     """
-    packs = list(zip(*(group.column(c).to_pylist() for c in ("ids", "sigs", "rows")), strict=True))
-    sigs = np.concatenate([np.frombuffer(s, np.uint64) for _, s, _ in packs])
-    docs = np.concatenate([np.frombuffer(i, np.int64)[np.frombuffer(r, np.uint16)] for i, _, r in packs])
-    del packs
+    bucket, parts = group.column("bucket").to_numpy(), []
+    for b in np.unique(bucket):
+        some = group.take(pa.array(np.flatnonzero(bucket == b)))
+        packs = list(zip(*(some.column(c).to_pylist() for c in ("ids", "sigs", "rows")), strict=True))
+        sigs = np.concatenate([np.frombuffer(s, np.uint64) for _, s, _ in packs])
+        docs = np.concatenate([np.frombuffer(i, np.int64)[np.frombuffer(r, np.uint16)] for i, _, r in packs])
+        del some, packs
+        parts.append(_merged(*_bucket_stars(sigs, docs)))
+    docs, centre, asks, has = _merged(*(np.concatenate(c) for c in zip(*parts, strict=True)))
+    return pa.table({"doc": docs, "centre": centre, "asks": asks.view(np.int64), "has": has.view(np.int64)})
+
+
+def _merged(docs: np.ndarray, centre: np.ndarray, asks: np.ndarray, has: np.ndarray) -> tuple[np.ndarray, ...]:
+    """One row for each (doc, centre), its masks united."""
+    if not len(docs):
+        return docs, centre, asks, has
+    order = np.lexsort((centre, docs))
+    docs, centre = docs[order], centre[order]
+    new = np.ones(len(docs), dtype=bool)
+    new[1:] = (docs[1:] != docs[:-1]) | (centre[1:] != centre[:-1])
+    at = np.flatnonzero(new)
+    return docs[at], centre[at], np.bitwise_or.reduceat(asks[order], at), np.bitwise_or.reduceat(has[order], at)
+
+
+def _bucket_stars(sigs: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, ...]:
+    """(doc, centre, asks, has) of a bucket, a row for each signature that doc shares with a centre."""
     order = np.argsort(sigs)
     sigs, docs = sigs[order], docs[order]
     roles, sigs = sigs & np.uint64(3), sigs >> np.uint64(2)
@@ -257,23 +286,15 @@ def stars(group: pa.Table) -> pa.Table:
     wide = np.repeat(size > 1, size)
     sigs, docs, roles, size = sigs[wide], docs[wide], roles[wide], size[size > 1]
     if not len(sigs):
-        return pa.table({c: pa.array([], pa.int64()) for c in ("doc", "centre", "asks", "has")})
+        return docs, docs, sigs, sigs
     head = np.cumsum(size) - size
     none = np.iinfo(np.int64).max
     probes = (roles & PROBE) > 0
     centre = np.minimum.reduceat(np.where(probes, docs, none), head)
     met = (centre < none) & (np.maximum.reduceat(roles & INDEX, head) > 0)
     centre, met = np.repeat(centre, size), np.repeat(met, size) & (docs != np.repeat(centre, size))
-    docs, centre, probes = docs[met], centre[met], probes[met]
     has = np.uint64(1) << (mix64(sigs[met]) >> np.uint64(58))
-    order = np.lexsort((centre, docs))
-    docs, centre, has, asks = docs[order], centre[order], has[order], np.where(probes, has, np.uint64(0))[order]
-    new = np.ones(len(docs), dtype=bool)
-    new[1:] = (docs[1:] != docs[:-1]) | (centre[1:] != centre[:-1])
-    at = np.flatnonzero(new)
-    if not len(at):
-        return pa.table({c: pa.array([], pa.int64()) for c in ("doc", "centre", "asks", "has")})
-    return pa.table({"doc": docs[at], "centre": centre[at], "asks": np.bitwise_or.reduceat(asks, at).view(np.int64), "has": np.bitwise_or.reduceat(has, at).view(np.int64)})
+    return docs[met], centre[met], np.where(probes[met], has, np.uint64(0)), has
 
 
 def _meet(asks: np.ndarray, has: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
@@ -435,7 +456,7 @@ def join_ngrams(docs: DataFrame, num: int = 75, den: int = 100, width: int = 5)
     # texts of a repeated doc_id that don't count must not stand for an equal set of another document
     idle = cut_lineage(known.join(first.select(F.col("doc_id").alias("_i"), F.col("text_hash").alias("_t")), (F.col("doc_id") == F.col("_i")) & (F.col("text_hash") != F.col("_t"))).select("doc_id", "text_hash").distinct())
     packed = given.where("doc_id is not null").join(idle, ["doc_id", "text_hash"], "left_anti").select("doc_id", "text").mapInArrow(signer(width, num, den, buckets, word[order], often[order]), "bucket int, ids binary, sigs binary, rows binary")
-    found = packed.groupBy("bucket").applyInArrow(stars, "doc long, centre long, asks long, has long")
+    found = packed.groupBy((F.col("bucket") % group_count(buckets)).alias("group")).applyInArrow(stars, "doc long, centre long, asks long, has long")
     of = member.select(F.col("doc_id").alias("_m"), "class_id")
     masks = (F.bit_or("asks").alias("asks"), F.bit_or("has").alias("has"))
     mapped = found.groupBy("doc", "centre").agg(*masks)

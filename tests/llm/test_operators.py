@@ -233,6 +233,28 @@ def test_ngram_join_counts_every_link(spark, monkeypatch):
     assert sorted(map(tuple, links.collect())) == want and len(want) > 6 * len(heads)
 
 
+def test_more_buckets_make_no_more_candidate_rows(spark, monkeypatch):
+    made, real, r = spark.sparkContext.accumulator(0), ngram_join.stars, random.Random(5)
+
+    def counted(group):
+        out = real(group)
+        made.add(out.num_rows)
+        return out
+
+    monkeypatch.setattr(ngram_join, "stars", counted)
+    words = [f"w{r.randrange(5000)}" for _ in range(300)]
+    texts = [" ".join(words[:k] + [f"x{k}"] + words[k + 1 :]) for k in range(0, 280, 7)]
+    data = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    rows, found = [], []
+    for shingles in (250, 50):
+        before = made.value
+        monkeypatch.setattr(ngram_join, "BUCKET_SHINGLES", shingles)
+        found.append(sorted(map(tuple, ngram_join.join_ngrams(data)[0].collect())))
+        rows.append(made.value - before)
+    assert found[0] == found[1] and {f[3:] for f in found[0]} == {(0, 39)}
+    assert 0 < rows[1] <= 1.5 * rows[0]
+
+
 def test_ngram_join_of_versions(spark):
     one, two = (" ".join(f"{c}{k}" for k in range(60)) for c in "ab")
     a, b = (r["t"] for r in spark.createDataFrame([(one,), (two,)], "t string").orderBy(F.xxhash64("t")).collect())
