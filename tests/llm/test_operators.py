@@ -383,6 +383,29 @@ def test_loose_personal_data_is_added(spark):
         assert "ident" in got[4 * k] and got[4 * k + 1] == ["account"] and got[4 * k + 2] == ["spelled"] and not got[4 * k + 3], k
 
 
+def test_every_labelled_candidate_is_fitted(spark, monkeypatch):
+    r, seen, real = random.Random(3), [], personal_data.fitted
+    monkeypatch.setattr(personal_data, "fitted", lambda cells: seen.extend(cells) or real(cells))
+    accounts = [f"DE{r.randrange(10, 99)}{r.randrange(10**17, 10**18)}" for _ in range(5000)]
+    data = [(k, "pay " + " or ".join(accounts[50 * k : 50 * k + 50])) for k in range(100)] + [(100 + k, f"{k}.1.1.1 and {k}.1.1.999") for k in range(250)]
+    personal_data.find_personal_data(spark.createDataFrame(data, "doc_id long, text string"))
+    number = lambda kind: sum(c[4] for c in seen if c[3][-1] == 1 + personal_data.KINDS.index(kind))
+    # the digits of an account are a card's candidate too
+    assert (number("account"), number("card"), number("ip")) == (5000, 5000, 500) and len(seen) < 200
+
+
+def test_counted_rows_boost_as_repeated_ones():
+    r = random.Random(6)
+    x = [[float(r.randrange(5)), float(r.randrange(4))] for _ in range(60)]
+    y, n = [int(a + b > 4) ^ (r.random() < 0.1) for a, b in x], [r.randrange(1, 9) for _ in x]
+    much = lambda rows: [v for v, k in zip(rows, n, strict=True) for _ in range(k)]
+    (a, counted), (b, repeated) = personal_data.boost(x, y, count=n), personal_data.boost(much(x), much(y))
+    assert a == pytest.approx(b) and len(counted) == len(repeated)
+    assert [a + sum(t.value(v) for t in counted) for v in x] == pytest.approx([b + sum(t.value(v) for t in repeated) for v in x], abs=1e-6)
+    scores = [a + sum(t.value(v) for t in counted) for v in x]
+    assert personal_data.calibrated(scores, y, 0.9, n) == personal_data.calibrated(much(scores), much(y), 0.9)
+
+
 def test_boosting_separates():
     r = random.Random(5)
     x = [[r.random(), r.random(), float(r.randrange(3))] for _ in range(400)]
