@@ -13,6 +13,10 @@ from ..functions.geometry import Geometry
 from ..operators.anchors import shard_bounds, shard_of
 from ..operators.blocks import Block
 
+#: Queries of a cell in which they meet rows or blocks, and cells at most; more queries make fuller cells, none is left out.
+CELL_QUERIES, CELLS = 64, 4096
+#: Queries that one row brings to a block, about.
+BLOCK_QUERIES = 1 << 16
 FILTERS = "file string, pred long, succ long, q_base long, q_count int, n_keys int, occupieds binary, runends binary, slots binary"
 
 
@@ -51,7 +55,7 @@ def file_filters(spark: SparkSession, path: str, key: str, t: int = 256, r: int
                     out.append((file, low, high, 0, 0, 0, b"", b"", b""))
                     continue
                 g = Geometry(low, high, 62, m)
-                packed = Block.pack(np.array([g.infix(x) for x in inner]), g.low, g.high, r)
+                packed = Block.pack(g.infix(np.array(inner, dtype=np.int64)), g.low, g.high, r)
                 out.append((file, low, high, packed.q_base, len(packed.occupieds), len(packed.slots), *packed.to_bytes()))
             kinds = (pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)] if out else [pa.array([], k) for k in kinds], names=[f.split()[0] for f in FILTERS.split(", ")])
@@ -59,12 +63,17 @@ def file_filters(spark: SparkSession, path: str, key: str, t: int = 256, r: int
     return bounded.mapInArrow(build, FILTERS)
 
 
+def cell_bounds(queries: DataFrame) -> list:
+    """Bounds for met_in_shards: their number follows from the queries, as each row of a shard is compared with all queries there."""
+    return shard_bounds(queries, "lo", shards=max(1, min(CELLS, queries.count() // CELL_QUERIES)))
+
+
 def met_in_shards(queries: DataFrame, spans: DataFrame, low: str, high: str, bounds: list) -> DataFrame:
     """queries x spans that overlap: both are dealt to the shards that they touch and meet there by an equi-join.
 
     A pair that meets in several shards comes out once, in the shard where the later of both begins.
     """
-    many = lambda a, b: F.explode(F.sequence(shard_of(F.col(a), bounds), shard_of(F.col(b), bounds)))
+    many = lambda a, b: shard_of(F.col(a), bounds) if a == b else F.explode(F.sequence(shard_of(F.col(a), bounds), shard_of(F.col(b), bounds)))
     q, s = queries.withColumn("_s", many("lo", "hi")), spans.withColumn("_t", many(low, high))
     joined = q.join(s, (F.col("_s") == F.col("_t")) & (F.col("hi") >= F.col(low)) & (F.col("lo") <= F.col(high)))
     return joined.where(F.col("_s") == F.greatest(shard_of(F.col("lo"), bounds), shard_of(F.col(low), bounds))).drop("_s", "_t")
@@ -74,23 +83,34 @@ def surviving_files(filters: DataFrame, queries: DataFrame, t: int = 256, r: int
     """(query_id, file): the files that may hold a key of a query's range; min and max alone rule out the first, the blocks the rest."""
     m = r + max(1, (t - 1).bit_length())
     spans = filters.groupBy("file").agg(F.min("pred").alias("pred"), F.max("succ").alias("succ")) if min_max_only else filters
-    met = met_in_shards(queries.select("query_id", "lo", "hi"), spans, "pred", "succ", shard_bounds(filters, "pred"))
+    met = met_in_shards(queries.select("query_id", "lo", "hi"), spans.select("file", "pred", "succ"), "pred", "succ", cell_bounds(queries))
     if min_max_only:
         return met.select("query_id", "file").distinct()
+    # a block is read once for many queries; BLOCK_QUERIES in a row, about
+    some = F.pmod(F.xxhash64("query_id"), F.lit(1 + queries.count() // BLOCK_QUERIES))
+    asked = met.groupBy("file", "pred", some.alias("_part")).agg(F.collect_list(F.struct("query_id", "lo", "hi")).alias("asked")).join(filters, ["file", "pred"])
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            keep = []
-            for lo, hi, pred, succ, base, count, n, *raw in zip(*(b.column(c).to_pylist() for c in ("lo", "hi", "pred", "succ", "q_base", "q_count", "n_keys", "occupieds", "runends", "slots")), strict=True):
-                ends = lo <= pred <= hi or lo <= succ <= hi
-                if ends or not n:
-                    keep.append(ends)
-                    continue
-                g = Geometry(pred, succ, 62, m)
-                keep.append(Block.from_bytes(r, base, count, n, *raw).probe(g.infix(max(lo, pred)), g.infix(min(hi, succ))) != "none")
-            yield b.select(["query_id", "file"]).filter(pa.array(keep, pa.bool_()))
-
-    return met.mapInArrow(ask, f"query_id {queries.schema['query_id'].dataType.simpleString()}, file string").distinct()
+            lists = b.column(b.schema.get_field_index("asked"))
+            ids, lows, highs = lists.flatten().flatten()
+            lows, highs = lows.to_numpy(zero_copy_only=False), highs.to_numpy(zero_copy_only=False)
+            size = lists.value_lengths().to_numpy(zero_copy_only=False)
+            ends, keep = np.cumsum(size), np.zeros(len(ids), dtype=bool)
+            fields = zip(*(b.column(b.schema.get_field_index(c)).to_pylist() for c in ("pred", "succ", "q_base", "q_count", "n_keys", "occupieds", "runends", "slots")), strict=True)
+            for start, end, (pred, succ, base, count, n, *raw) in zip((ends - size).tolist(), ends.tolist(), fields, strict=True):
+                lo, hi = lows[start:end], highs[start:end]
+                hit = ((lo <= pred) & (pred <= hi)) | ((lo <= succ) & (succ <= hi))
+                if n:
+                    g = Geometry(pred, succ, 62, m)
+                    # a positive answer of Block.probe: an infix between those of the ends
+                    infixes = Block.from_bytes(r, base, count, n, *raw).infixes()
+                    hit |= np.searchsorted(infixes, g.infix(np.maximum(lo, pred))) < np.searchsorted(infixes, g.infix(np.minimum(hi, succ)), side="right")
+                keep[start:end] = hit
+            files = b.column(b.schema.get_field_index("file")).take(pa.array(np.repeat(np.arange(b.num_rows), size)[keep]))
+            yield pa.RecordBatch.from_arrays([ids.filter(pa.array(keep)), files], names=["query_id", "file"])
+
+    return asked.mapInArrow(ask, f"query_id {queries.schema['query_id'].dataType.simpleString()}, file string").distinct()
 
 
 def guarded_lookup(spark: SparkSession, path: str, key: str, queries: DataFrame, filters: DataFrame, survivors: DataFrame | None = None) -> DataFrame:
@@ -99,7 +119,7 @@ def guarded_lookup(spark: SparkSession, path: str, key: str, queries: DataFrame,
     files = sorted(r["file"] for r in survivors.select("file").distinct().collect())
     rows = spark.read.parquet(*files) if files else spark.read.parquet(path).limit(0)
     spread = rows.withColumn("_low", F.col(key).cast("long"))
-    return met_in_shards(queries.select("query_id", "lo", "hi"), spread, "_low", "_low", shard_bounds(filters, "pred")).drop("_low")
+    return met_in_shards(queries.select("query_id", "lo", "hi"), spread, "_low", "_low", cell_bounds(queries)).drop("_low")
 
 
 def read_cost(spark: SparkSession, path: str, key: str, survivors: DataFrame) -> tuple[int, int]:

@@ -1,8 +1,13 @@
 """Files of the key-value table, and what the registered queries read."""
 
+import bisect
+
 from pyspark.sql import functions as F
 
 from rangesieve import endtoend
+from rangesieve.functions.geometry import Geometry
+from rangesieve.operators.blocks import Block
+from rangesieve.plans import prune
 
 D = "/root/testdata/sf0.001"
 
@@ -12,3 +17,28 @@ def test_a_file_holds_the_keys_of_one_number(spark):
     number = F.pmod(F.col("key"), F.lit(endtoend.FILES)).alias("number")
     pairs = spark.read.parquet(path).select(F.col("_metadata.file_path").alias("file"), number).distinct().collect()
     assert len(pairs) == len({r["file"] for r in pairs}) == len({r["number"] for r in pairs}) == endtoend.FILES
+
+
+def test_many_queries_meet_rows_in_many_cells(spark, tmp_path, monkeypatch):
+    spark.range(0, 40_000, 2).selectExpr("(id * 48271) % 2147483647 AS key").repartition(4, "key").sortWithinPartitions("key").write.parquet(f"{tmp_path}/t")
+    key = F.col("id") * 48271 % 2147483647
+    asked = spark.range(10_000).select(F.col("id").alias("query_id"), key.alias("lo"), (key + F.col("id") % 3).alias("hi")).cache()
+    filters = prune.file_filters(spark, f"{tmp_path}/t", "key").cache()
+    seen, real = [], prune.met_in_shards
+    monkeypatch.setattr(prune, "met_in_shards", lambda q, s, a, b, bounds: seen.append(len(bounds)) or real(q, s, a, b, bounds))
+    survivors = prune.surviving_files(filters, asked)
+    found = prune.guarded_lookup(spark, f"{tmp_path}/t", "key", asked, filters, survivors)
+    keys = sorted(r[0] for r in spark.read.parquet(f"{tmp_path}/t").collect())
+    hits = lambda lo, hi: bisect.bisect_right(keys, hi) - bisect.bisect_left(keys, lo)
+    assert found.count() == sum(hits(r["lo"], r["hi"]) for r in asked.collect())
+    assert min(seen) >= 100
+
+    # the answers are those of one block for one query at a time
+    want = set()
+    for f in filters.collect():
+        g, block = Geometry(f["pred"], f["succ"], 62, 16), Block.from_bytes(8, f["q_base"], f["q_count"], f["n_keys"], f["occupieds"], f["runends"], f["slots"])
+        for q in asked.where((F.col("hi") >= f["pred"]) & (F.col("lo") <= f["succ"])).collect():
+            ends = q["lo"] <= f["pred"] <= q["hi"] or q["lo"] <= f["succ"] <= q["hi"]
+            if ends or f["n_keys"] and block.probe(g.infix(max(q["lo"], f["pred"])), g.infix(min(q["hi"], f["succ"]))) != "none":
+                want.add((q["query_id"], f["file"]))
+    assert set(map(tuple, survivors.collect())) == want
