@@ -42,3 +42,18 @@ def test_many_queries_meet_rows_in_many_cells(spark, tmp_path, monkeypatch):
             if ends or f["n_keys"] and block.probe(g.infix(max(q["lo"], f["pred"])), g.infix(min(q["hi"], f["succ"]))) != "none":
                 want.add((q["query_id"], f["file"]))
     assert set(map(tuple, survivors.collect())) == want
+
+
+def test_doublings_ask_one_table_of_ranges(spark, monkeypatch):
+    class Stage:
+        def probe(self, asked):
+            return asked.select("query_id", F.lit(True).alias("positive"))
+
+        def stats(self):
+            return spark.sql("SELECT 1L AS bits, 1L AS entries, 2L AS slots")
+
+    made, keys = [], spark.range(100).select(F.col("id").alias("key"))
+    monkeypatch.setattr(endtoend, "_stages", lambda *a, **o: [(step, Stage(), keys) for step in (0, 1, 2)])
+    monkeypatch.setattr(endtoend.k, "integer_keys", lambda *a: made.append(a) or keys)
+    rows = endtoend._by_doubling(spark, D).collect()
+    assert len(made) == 1 and [(r["n_empty"], r["false_positives"], r["false_negatives"]) for r in rows] == [(100, 100, 0)] * 6
