@@ -65,8 +65,8 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
-    """(slice of rows, bytes of their texts, row offsets into those bytes); a null text has no bytes."""
+def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = SLICE_BYTES) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """(slice of rows, bytes of their texts, row offsets into those bytes), `most` bytes or one text; a null text has no bytes."""
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -78,7 +78,7 @@ def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iter
         data = np.frombuffer(raw, dtype=np.uint8) if raw is not None else np.zeros(0, np.uint8)
         at = 0
         while at < batch.num_rows:
-            to = int(np.searchsorted(where, where[at] + SLICE_BYTES, side="right")) - 1
+            to = int(np.searchsorted(where, where[at] + most, side="right")) - 1
             to = min(max(to, at + 1), at + SLICE_ROWS, batch.num_rows)
             yield batch.slice(at, to - at), data[where[at] : where[to]], where[at : to + 1] - where[at]
             at = to

@@ -3,8 +3,11 @@
 import hashlib
 import random
 import re
+import tracemalloc
 import zlib
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -318,6 +321,27 @@ def test_cleaned_texts_lose_boilerplate(spark):
     assert out == {i: f"\n{own(i)}" for i in range(40)} | {50: data[-1][1]}
 
 
+def test_quality_kernels_hold_little_at_once():
+    texts = [" ".join(f"w{(7 * i + k) % 5000}" for k in range(300)) + "\nlast line" for i in range(2500)]
+    n = np.arange(len(texts))
+    batch = pa.RecordBatch.from_arrays([*(pa.array(x) for x in (n, ["a"] * len(n), n, n)), pa.array(texts)], names=["_id", "_host", "_text_hash", "_row", "text"])
+    assert batch.nbytes > 3 << 20
+    tracemalloc.start()
+    found = pa.Table.from_batches(b.select(["_row", "n_words"]) for b in quality.measure(iter([batch])))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert found["n_words"].to_pylist() == [302] * len(n) and found["_row"].to_pylist() == n.tolist()
+    # slices of 2 MB took 124 MB
+    assert peak < 60 << 20
+    gone = quality.measure(iter([batch.slice(0, 1)])).__next__().column("_lines")[0].as_py()
+    lines = pa.array([None if k % 2 else gone for k in n.tolist()], pa.list_(pa.int64()))
+    given = pa.RecordBatch.from_arrays([batch.column("_id"), batch.column("text"), lines], names=["doc_id", "text", "lines"])
+    parts = list(quality.clean_texts(iter([given])))
+    assert max(p.num_rows for p in parts) <= 1000
+    kept = [x for p in parts for x in p.column("text").to_pylist()]
+    assert [x for p in parts for x in p.column("doc_id").to_pylist()] == n.tolist() and kept[1::2] == texts[1::2] and kept[0] == ""
+
+
 def test_mixing(docs, rows, none):
     out, quotas = mixing.mix_sources(docs, seats=500)
     got = out.select("doc_id", "source", F.col("size"), "source_size", "target", "taken").collect()
