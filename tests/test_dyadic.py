@@ -5,16 +5,18 @@ import pytest
 from pyspark.sql import functions as F
 
 from rangesieve.baselines import filters
-from rangesieve.functions.md5 import h60_numbers
+from rangesieve.functions import md5
 
 
-def test_hashes_equal_those_of_spark(spark):
+@pytest.mark.parametrize("few", [0, 1000])
+def test_hashes_equal_those_of_spark(spark, monkeypatch, few):
+    monkeypatch.setattr(md5, "FEW", few)
     numbers = [0, 9, 10, 99, 12345, 10**17, 10**18 - 1, 2**62, 2**63 - 1, -1, -(2**63)]
     df = spark.createDataFrame([(level, x) for level in (0, 7, 12) for x in numbers], "level long, x long")
     # the last text takes more than one block of md5
     for word in ("bit0", "word1", "w" * 50):
         rows = df.select("level", "x", filters.salted(word, F.col("level"), F.col("x")).alias("h")).collect()
-        got = h60_numbers(word, np.array([r["level"] for r in rows]), np.array([r["x"] for r in rows]))
+        got = md5.h60_numbers(word, np.array([r["level"] for r in rows]), np.array([r["x"] for r in rows]))
         assert got.tolist() == [r["h"] for r in rows]
 
 
