@@ -57,3 +57,15 @@ def test_doublings_ask_one_table_of_ranges(spark, monkeypatch):
     monkeypatch.setattr(endtoend.k, "integer_keys", lambda *a: made.append(a) or keys)
     rows = endtoend._by_doubling(spark, D).collect()
     assert len(made) == 1 and [(r["n_empty"], r["false_positives"], r["false_negatives"]) for r in rows] == [(100, 100, 0)] * 6
+
+
+def _long_words(spark, tmp_path):
+    """Five words: three are longer than 32 bytes, of which two share these, and one has 3,000."""
+    long = "abc" + "x" * 40
+    spark.createDataFrame([(f"{long} abcd {long}Y",), ("abc" + "z" * 2997,), ("abc",)], "text string").write.parquet(f"{tmp_path}/documents.parquet")
+    return str(tmp_path)
+
+
+def test_inserts_count_words_of_any_length(spark, tmp_path):
+    cases = {r["case"]: r["n"] for r in endtoend._case_counts(spark, _long_words(spark, tmp_path)).collect()}
+    assert sum(cases.values()) == 5
