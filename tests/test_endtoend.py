@@ -69,3 +69,10 @@ def _long_words(spark, tmp_path):
 def test_inserts_count_words_of_any_length(spark, tmp_path):
     cases = {r["case"]: r["n"] for r in endtoend._case_counts(spark, _long_words(spark, tmp_path)).collect()}
     assert sum(cases.values()) == 5
+
+
+def test_deletes_take_words_of_any_length(spark, tmp_path, monkeypatch):
+    seen, real = [], endtoend.enhanced_updates
+    monkeypatch.setattr(endtoend, "enhanced_updates", lambda keys: seen.append(keys) or real(keys))
+    assert [r["missed_after"] for r in endtoend._enh_delete(spark, _long_words(spark, tmp_path)).collect()] == [0]
+    assert sorted(len(r["key"]) for r in seen[0].collect()) == [3, 4, 43, 44, 3000]
