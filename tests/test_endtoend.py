@@ -2,6 +2,7 @@
 
 import bisect
 
+import pytest
 from pyspark.sql import functions as F
 
 from rangesieve import endtoend
@@ -76,3 +77,12 @@ def test_deletes_take_words_of_any_length(spark, tmp_path, monkeypatch):
     monkeypatch.setattr(endtoend, "enhanced_updates", lambda keys: seen.append(keys) or real(keys))
     assert [r["missed_after"] for r in endtoend._enh_delete(spark, _long_words(spark, tmp_path)).collect()] == [0]
     assert sorted(len(r["key"]) for r in seen[0].collect()) == [3, 4, 43, 44, 3000]
+
+
+def test_insert_cases_and_their_sql_count_words_of_any_length(spark, tmp_path):
+    duckdb = pytest.importorskip("duckdb")
+    d = _long_words(spark, tmp_path)
+    (found,) = endtoend._cases(spark, d).collect()
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{d}/documents.parquet/*.parquet'")
+    assert tuple(found) == con.execute(endtoend._WORD_COUNT).fetchone() == (5, 0)
